@@ -8,9 +8,16 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+from uuid import uuid4
+
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from fuzzyfeat.llm.jaccard import jaccard_components
+from fuzzyfeat.llm.packing import assign, token_pieces
+from fuzzyfeat.llm.sharding import external_shuffle
+from fuzzyfeat.llm.warc import read_warc, write_warc
+from fuzzyfeat.session import materialise, shared_folder
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -19,6 +26,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_external_shuffle(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").withColumn("size", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long") + 1)
+    shards = external_shuffle(docs, 8, size_col="size")
+    crc = F.crc32(F.coalesce("text", F.lit("")).cast("binary"))
+    return shards.select("doc_id", "size", crc.alias("text_crc32"), F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
+
+
 def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_components(table(spark, sf_dir, "documents"), k=3, threshold=(90, 100))
 
@@ -38,8 +52,22 @@ FROM d LEFT JOIN n ON n.doc_id = d.doc_id JOIN (SELECT doc_id, min(m) AS m FROM
 """
 
 
+def op3_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = table(spark, sf_dir, "pages")
+    files = write_warc(pages, f"{shared_folder(spark).rstrip('/')}/warc-{uuid4().hex}")
+    records = read_warc(spark, files)
+    number = lambda c: F.expr(f"try_cast(substring_index({c}, ':', -1) AS bigint)")
+    rows = records.filter(F.col("record_type").isin("response", "revisit"))
+    return rows.select(number("record_id").alias("page_id"), "payload_bytes", "payload_digest", "record_type", number("refers_to").alias("refers_to"))
+
+
+def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pieces = token_pieces(table(spark, sf_dir, "documents")).withColumn("ids_crc32", F.crc32("ids")).drop("ids")
+    return assign(materialise(pieces)).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op2_ngram_jaccard_join": op2_ngram_jaccard_join}
+    return {f.__name__: f for f in (op1_external_shuffle, op2_ngram_jaccard_join, op3_warc, op8_best_fit_packing)}
 
 
 def oracle_sql() -> dict[str, str]:
