@@ -13,9 +13,11 @@ from uuid import uuid4
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from fuzzyfeat.llm.decontamination import contaminated
 from fuzzyfeat.llm.jaccard import jaccard_components
 from fuzzyfeat.llm.packing import assign, token_pieces
 from fuzzyfeat.llm.sharding import external_shuffle
+from fuzzyfeat.llm.toxicity import toxicity
 from fuzzyfeat.llm.warc import read_warc, write_warc
 from fuzzyfeat.session import materialise, shared_folder
 
@@ -61,13 +63,21 @@ def op3_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select(number("record_id").alias("page_id"), "payload_bytes", "payload_digest", "record_type", number("refers_to").alias("refers_to"))
 
 
+def op6_template_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     pieces = token_pieces(table(spark, sf_dir, "documents")).withColumn("ids_crc32", F.crc32("ids")).drop("ids")
     return assign(materialise(pieces)).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_external_shuffle, op2_ngram_jaccard_join, op3_warc, op8_best_fit_packing)}
+    return {f.__name__: f for f in (op1_external_shuffle, op2_ngram_jaccard_join, op3_warc, op6_template_decontamination, op7_toxicity, op8_best_fit_packing)}
 
 
 def oracle_sql() -> dict[str, str]:
