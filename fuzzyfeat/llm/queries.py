@@ -13,6 +13,7 @@ from uuid import uuid4
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from fuzzyfeat.llm import _spans, pii, secrets
 from fuzzyfeat.llm.decontamination import contaminated
 from fuzzyfeat.llm.jaccard import jaccard_components
 from fuzzyfeat.llm.packing import assign, token_pieces
@@ -63,6 +64,10 @@ def op3_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select(number("record_id").alias("page_id"), "payload_bytes", "payload_digest", "record_type", number("refers_to").alias("refers_to"))
 
 
+def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.secret_spans(table(spark, sf_dir, "documents")).select("doc_id", *_spans.digests(secrets.KINDS))
+
+
 def op6_template_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -76,8 +81,12 @@ def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return assign(materialise(pieces)).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
 
 
+def op9_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.pii_spans(table(spark, sf_dir, "documents")).select("doc_id", *_spans.digests(pii.KINDS))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_external_shuffle, op2_ngram_jaccard_join, op3_warc, op6_template_decontamination, op7_toxicity, op8_best_fit_packing)}
+    return {f.__name__: f for f in (op1_external_shuffle, op2_ngram_jaccard_join, op3_warc, op5_secret_scan, op6_template_decontamination, op7_toxicity, op8_best_fit_packing, op9_pii)}
 
 
 def oracle_sql() -> dict[str, str]:
