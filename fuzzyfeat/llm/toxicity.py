@@ -25,7 +25,7 @@ from fuzzyfeat.llm import _text
 from fuzzyfeat.session import prepare
 
 WINDOW, STRIDE = 32, 24
-SAMPLE, SAMPLE_CHARS = 4096, 20_000
+SAMPLE, SAMPLE_CHARS = 3000, 20_000
 VOCABULARY, LEAST_HELD, TRIGRAMS, BEGINNINGS, BEGIN_BYTES = 4096, 4, 4096, 8192, 5
 WORD_DIM, CHAR_DIM, BEGIN_DIM, HIDDEN = 10, 6, 8, 8
 THRESHOLD, DECAY = 0.3, 0.6
@@ -42,7 +42,7 @@ class Tokens:
         self.hashes = _text.span_hashes(lowered, self.starts, self.ends)
         self.beginnings = (_text.span_hashes(lowered, self.starts, np.minimum(self.ends, self.starts + BEGIN_BYTES)) % np.uint64(BEGINNINGS)).astype(np.int64)
         padded = np.concatenate([[32], np.where(letters, lowered, 32), [32, 32]]).astype(np.int64)
-        self.trigrams = ((padded[:-3] * 961 + padded[1:-2] * 31 + padded[2:-1]) * 2654435761 >> 7) % TRIGRAMS  # centred on each byte
+        self.trigrams = (((padded[:-3] * 961 + padded[1:-2] * 31 + padded[2:-1]) * 2654435761 >> 7) % TRIGRAMS).astype(np.uint16)  # centred on each byte
         first = np.searchsorted(self.starts, offsets)
         count = np.diff(first)
         windows = np.where(count > 0, 1 + np.maximum(0, -(-(count - WINDOW) // STRIDE)), 0)
@@ -50,13 +50,36 @@ class Tokens:
         doc = np.repeat(np.arange(len(count)), windows)
         at = first[doc] + (np.arange(len(doc)) - self.bounds[doc]) * STRIDE
         self.at, self.length = at, np.minimum(WINDOW, first[doc + 1] - at)
+        self.first, self.offsets = first, offsets
+
+    @classmethod
+    def joined(cls, parts: list["Tokens"]) -> "Tokens":
+        """The tokens of all parts, as those of one run."""
+        out = cls.__new__(cls)
+        n_bytes, n_words, n_windows = (np.cumsum([0] + [len(getattr(p, x)) for p in parts]) for x in ("trigrams", "starts", "at"))
+        for name, shift in (("starts", n_bytes), ("ends", n_bytes), ("at", n_words)):
+            setattr(out, name, np.concatenate([getattr(p, name) + s for p, s in zip(parts, shift, strict=False)]))
+        for name, shift in (("first", n_words), ("offsets", n_bytes), ("bounds", n_windows)):
+            setattr(out, name, np.concatenate([np.zeros(1, np.int64)] + [getattr(p, name)[1:] + s for p, s in zip(parts, shift, strict=False)]))
+        for name in ("hashes", "beginnings", "trigrams", "length"):
+            setattr(out, name, np.concatenate([getattr(p, name) for p in parts]))
+        return out
+
+    def part(self, a: int, b: int) -> "Tokens":
+        """The tokens of documents a to b."""
+        out = Tokens.__new__(Tokens)
+        byte, word, window = (slice(x[a], x[b]) for x in (self.offsets, self.first, self.bounds))
+        out.trigrams, out.hashes, out.beginnings, out.length = self.trigrams[byte], self.hashes[word], self.beginnings[word], self.length[window]
+        out.starts, out.ends, out.at = self.starts[word] - byte.start, self.ends[word] - byte.start, self.at[window] - word.start
+        out.offsets, out.first, out.bounds = self.offsets[a : b + 1] - byte.start, self.first[a : b + 1] - word.start, self.bounds[a : b + 1] - window.start
+        return out
 
     def chars(self, table: np.ndarray) -> np.ndarray:
         """Mean trigram embedding of each word."""
         if not len(self.starts):
             return np.zeros((0, table.shape[1]), f32)
         edges = np.stack([self.starts, self.ends], 1).reshape(-1)
-        rows = table[np.concatenate([self.trigrams, [0]])]
+        rows = table[np.append(self.trigrams, np.uint16(0))]
         return np.add.reduceat(rows, edges, axis=0)[::2] / (self.ends - self.starts)[:, None].astype(f32)
 
 
@@ -204,18 +227,17 @@ def fit(texts: list[str], labels: list[int], seed: int = 5, warm_up: int = 200,
     """Train on labelled texts: warm_up steps on single windows, then at least `steps` on whole documents through their highest window."""
     labels = np.asarray(labels, f32)
     column = pa.array(texts, pa.large_string())
-    whole = [Tokens(data, offsets) for _, _, data, offsets in _text.runs(column, 1 << 40)]
-    if not whole or not len(whole[0].hashes) or labels.min() == labels.max():
+    parts = [Tokens(data, offsets) for _, _, data, offsets in _text.runs(column)]
+    if not parts or not any(len(p.hashes) for p in parts) or labels.min() == labels.max():
         model = Network(np.zeros(0, np.uint64), seed)
         model.base = float(labels.mean()) if len(labels) else 0.0
         model.p["out"][:] = 0
         model.p["bias"][:] = np.log((model.base + 1e-3) / (1 - model.base + 1e-3))
         return model
-    tokens = whole[0]
+    tokens = Tokens.joined(parts)
+    del parts
     doc_of = np.repeat(np.arange(len(texts)), np.diff(tokens.bounds))
-    first = np.searchsorted(tokens.starts, np.concatenate([[0], np.cumsum([len(x.encode()) for x in texts])]))
-    pairs = np.unique(np.stack([tokens.hashes, np.repeat(np.arange(len(texts)), np.diff(first)).astype(np.uint64)], 1), axis=0)
-    known, held = np.unique(pairs[:, 0], return_counts=True)
+    known, held = np.unique(np.concatenate([np.unique(tokens.hashes[tokens.first[d] : tokens.first[d + 1]]) for d in range(len(texts))]), return_counts=True)
     known, held = known[held >= LEAST_HELD], held[held >= LEAST_HELD]
     model = Network(np.sort(known[np.lexsort((known, -held))[:VOCABULARY]]), seed)
     model.base = float(labels.mean())
@@ -229,7 +251,7 @@ def fit(texts: list[str], labels: list[int], seed: int = 5, warm_up: int = 200,
     full = np.flatnonzero(count)
     rounds = max(rounds, -(-steps * batch // len(full)))
     for turn in range(rounds):
-        logits = model.window_logits(tokens)
+        logits = np.concatenate([model.window_logits(tokens.part(a, min(a + 200, len(texts)))) for a in range(0, len(texts), 200)])
         top = np.array([tokens.bounds[d] + np.argmax(logits[tokens.bounds[d] : tokens.bounds[d + 1]]) for d in full])
         some = g.permutation(len(full))
         for at in range(0, len(some), batch):
@@ -252,8 +274,8 @@ def training_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_
     return [r["text"] or "" for r in rows], [r["toxic"] for r in rows]
 
 
-def score(docs: DataFrame, model: Network) -> DataFrame:
-    """(doc_id, score) of every row."""
+def score(docs: DataFrame, model: Network, keep: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, score) of every row; keep: further columns to carry."""
     spark = prepare(docs.sparkSession)
     model.moments = {}
     shared = spark.sparkContext.broadcast(model)
@@ -261,12 +283,22 @@ def score(docs: DataFrame, model: Network) -> DataFrame:
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for first, end, data, offsets in _text.runs(batch.column(1)):
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, end - first), pa.array(shared.value.document_scores(Tokens(data, offsets)))], ["doc_id", "score"])
+                part = batch.slice(first, end - first)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(shared.value.document_scores(Tokens(data, offsets))), *part.columns[2:]], ["doc_id", "__score", *part.schema.names[2:]])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(work, "doc_id long, score double")
+    fields = "".join(f", `{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
+    scored = docs.select(F.col("doc_id").cast("long"), F.col("text").alias("__text"), *keep).mapInArrow(work, f"doc_id long, __score double{fields}")
+    return scored if keep else scored.withColumnRenamed("__score", "score")
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """(doc_id, held_out, score, predicted) of every document, by a network fitted on the labelled sample."""
     model = fit(*training_rows(docs, labels))
     return score(docs, model).select("doc_id", held_out().alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
+
+
+def drop_toxic(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    """The documents that score under the threshold, as they came: scored and filtered in one pass."""
+    model = fit(*training_rows(docs, labels))
+    others = tuple(c for c in docs.columns if c != "doc_id")
+    return score(docs, model, keep=others).filter(F.col("__score") < threshold).select(docs.columns)
