@@ -13,9 +13,12 @@ from uuid import uuid4
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+import corpus_pipeline
 from fuzzyfeat.llm import _spans, pii, secrets
 from fuzzyfeat.llm.decontamination import contaminated
 from fuzzyfeat.llm.jaccard import jaccard_components
+from fuzzyfeat.llm.language import identify
+from fuzzyfeat.llm.multi_index import nearest
 from fuzzyfeat.llm.packing import assign, token_pieces
 from fuzzyfeat.llm.sharding import external_shuffle
 from fuzzyfeat.llm.toxicity import toxicity
@@ -64,6 +67,10 @@ def op3_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select(number("record_id").alias("page_id"), "payload_bytes", "payload_digest", "record_type", number("refers_to").alias("refers_to"))
 
 
+def op4_multi_index_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return nearest(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0)
+
+
 def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.secret_spans(table(spark, sf_dir, "documents")).select("doc_id", *_spans.digests(secrets.KINDS))
 
@@ -85,8 +92,16 @@ def op9_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.pii_spans(table(spark, sf_dir, "documents")).select("doc_id", *_spans.digests(pii.KINDS))
 
 
+def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return identify(table(spark, sf_dir, "pages"), table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_external_shuffle, op2_ngram_jaccard_join, op3_warc, op5_secret_scan, op6_template_decontamination, op7_toxicity, op8_best_fit_packing, op9_pii)}
+    operators = (
+        op1_external_shuffle, op2_ngram_jaccard_join, op3_warc, op4_multi_index_search, op5_secret_scan, op6_template_decontamination,
+        op7_toxicity, op8_best_fit_packing, op9_pii, op10_language_id,
+    )
+    return {f.__name__: f for f in operators} | {"pipeline": corpus_pipeline.run}
 
 
 def oracle_sql() -> dict[str, str]:
