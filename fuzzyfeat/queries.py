@@ -14,7 +14,7 @@ from fuzzyfeat.functions import udx
 from fuzzyfeat.operators import features, infogain, metrics, sampling, validity
 from fuzzyfeat.operators.fcm import Centroids, FcmModel, distance_column, fit_many, membership_column, seeds
 from fuzzyfeat.operators.prepare import fit_scaler
-from fuzzyfeat.sources.tables import load
+from fuzzyfeat.sources.tables import load, stream_table
 from fuzzyfeat.streaming import ops
 
 ALPHA, SEEDED = 3.0, 3
@@ -233,7 +233,7 @@ def _sqlfunc(spark, sf_dir):
     udx.register(spark)
     _, _, packed, model = _seeded(spark, sf_dir, "quality")
     packed.select("row_id", distance_column(model).alias("d")).createOrReplaceTempView("distances_of_rows")
-    return spark.sql(f"SELECT row_id, cast(j AS bigint) AS j, round(w, 5) AS w FROM distances_of_rows LATERAL VIEW posexplode(fuzzy_membership(d, {ALPHA}D)) AS j, w")
+    return spark.sql(f"SELECT row_id, cast(j AS bigint) AS j, round(w, 5) AS w FROM (SELECT row_id, fuzzy_membership(d, {ALPHA}D) AS p FROM distances_of_rows) LATERAL VIEW posexplode(p) AS j, w")
 
 
 @query("udtf_memberships", SQL["fcm_membership_quality"])
@@ -248,12 +248,12 @@ def _augmented(name, T, spark, sf_dir):
     df, scaler, _, model = _seeded(spark, sf_dir, name)
     out = features.augment(df, scaler, model, T)
     extra = [F.round(f"p_{j + 1}", 5).alias(f"p_{j + 1}") for j in range(SEEDED)] if T == 2 else []
-    return out.select("row_id", "z", F.round("b", 5).alias("b"), *extra)
+    return out.select("row_id", "z", "b", *extra)
 
 
 def _augmented_sql(name, T):
     rows = ", ".join(f"round(max(CASE WHEN j = {j} THEN w END), 5) AS p_{j + 1}" for j in range(SEEDED))
-    return f"WITH {fixture_cte(name)}, {gain_ctes(name)}, {fcm_ctes(name, SEEDED, 0)} SELECT row_id, cast(min(CASE WHEN r = 1 THEN j END) AS int) AS z, round(max(w6), 5) AS b{', ' + rows if T == 2 else ''} FROM (SELECT *, round(w, 6) AS w6, row_number() OVER (PARTITION BY row_id ORDER BY round(w, 6) DESC, j) AS r FROM w0) q GROUP BY row_id"
+    return f"WITH {fixture_cte(name)}, {gain_ctes(name)}, {fcm_ctes(name, SEEDED, 0)} SELECT row_id, cast(min(CASE WHEN r = 1 THEN j END) AS int) AS z, max(w6) AS b{', ' + rows if T == 2 else ''} FROM (SELECT *, round(w, 6) AS w6, row_number() OVER (PARTITION BY row_id ORDER BY round(w, 6) DESC, j) AS r FROM w0) q GROUP BY row_id"
 
 
 query("cluster_features_t1_traffic", _augmented_sql("traffic", 1))(partial(_augmented, "traffic", 1))
@@ -388,7 +388,7 @@ def _cube(spark, sf_dir):
     return labelled(spark, sf_dir, "orders").cube(F.col("c_mktsegment").alias("segment"), "label").agg(F.count("*").alias("n"), F.round(F.avg(F.when(F.col("o_orderstatus") == "O", 1.0).otherwise(0.0)), 6).alias("open_share"))
 
 
-@query("json_map_array_functions", "SELECT event_id, cast(json_extract_string(props, '$.k') AS int) AS k, list_sum(list_transform(range(1, 4), lambda i: i * cast(json_extract_string(props, '$.k') AS int))) AS total, upper(event_type) AS kind FROM events")
+@query("json_map_array_functions", "SELECT event_id, cast(json_extract_string(props, '$.k') AS int) AS k, cast(list_sum(list_transform(range(1, 4), lambda i: i * cast(json_extract_string(props, '$.k') AS int))) AS bigint) AS total, upper(event_type) AS kind FROM events")
 def _functions(spark, sf_dir):
     k = F.get_json_object("props", "$.k").cast("int")
     return load(spark, sf_dir, "events").select("event_id", k.alias("k"), F.aggregate(F.transform(F.sequence(F.lit(1), F.lit(3)), lambda i: i * k), F.lit(0).cast("bigint"), lambda a, x: a + x).alias("total"), F.upper("event_type").alias("kind"))
@@ -400,10 +400,7 @@ query("date_features_lineitem", "SELECT cast(month(l_shipdate) AS int) AS m, cas
 
 # --- streams -------------------------------------------------------------------------------------------------------------
 def _stream(spark, sf_dir):
-    schema = load(spark, sf_dir, "events").schema
-    path = f"{sf_dir}/events.parquet"
-    stream = spark.readStream.schema(schema).option("pathGlobFilter", "*").parquet(path)
-    return stream.withColumn("ts", F.col("ts").cast("timestamp"))
+    return stream_table(spark, sf_dir, "events")
 
 
 query("stream_tumbling", "SELECT date_trunc('day', ts) AS window_start, event_type, count(*) AS n, round(avg(value), 4) AS mean_value FROM events GROUP BY 1, 2")(lambda s, d: ops.run_once(ops.tumbling(_stream(s, d)), "complete").select(F.col("window_start").cast("timestamp_ntz").alias("window_start"), "event_type", "n", F.round("mean_value", 4).alias("mean_value")))

@@ -9,6 +9,7 @@ from fuzzyfeat import fixtures
 from fuzzyfeat.operators import metrics, sampling
 from fuzzyfeat.operators.augmented import CacModel, fit_cac
 from fuzzyfeat.operators.selection import CfsSelector
+from fuzzyfeat.sources.tables import stream_table
 from fuzzyfeat.streaming import ops
 
 K, FOLDS, ROUNDS = (2, 3, 5), 3, 15
@@ -73,7 +74,6 @@ def stream_score(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events scored as a stream by a model trained on the table: the same answers as in batch."""
     rows, _ = split(spark, sf_dir, "traffic")
     model = fit_cac(rows, fixtures.SPECS["traffic"], [2, 3], "dt", 1, q=FOLDS, max_iter=ROUNDS)
-    raw = spark.read.parquet(f"{sf_dir}/events.parquet").schema
-    stream = spark.readStream.schema(raw).parquet(f"{sf_dir}/events.parquet")
+    stream = stream_table(spark, sf_dir, "events")
     shaped = stream.select(F.col("event_id").alias("row_id"), "value", F.get_json_object("props", "$.k").cast("double").alias("k"), F.hour("ts").cast("double").alias("hour"), "event_type")
     return ops.run_once(ops.score(shaped, model).select("row_id", "z", "prediction"))
