@@ -105,7 +105,7 @@ class Network:
         self.p = {"words": make(len(vocabulary) + 1, WORD_DIM), "chars": make(TRIGRAMS, CHAR_DIM, s=0.15), "begins": make(BEGINNINGS, BEGIN_DIM, s=0.15), "attend": make(2 * HIDDEN, HIDDEN), "query": make(HIDDEN), "out": make(2 * HIDDEN), "bias": np.array([-1.0], f32)}
         for side in "fb":
             self.p |= {f"wx{side}": make(dim, 3 * HIDDEN), f"wh{side}": make(HIDDEN, 3 * HIDDEN), f"b{side}": np.zeros(3 * HIDDEN, f32)}
-        self.base = 0.0
+        self.base, self.constant = 0.0, False
         self.moments = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in self.p.items()}
         self.steps = 0
 
@@ -218,7 +218,7 @@ class Network:
     def document_scores(self, tokens: Tokens) -> np.ndarray:
         count = np.diff(tokens.bounds)
         out = np.full(len(count), self.base, np.float64)
-        if count.any():
+        if count.any() and not self.constant:
             out[count > 0] = sigmoid(np.maximum.reduceat(self.window_logits(tokens), tokens.bounds[:-1][count > 0]).astype(np.float64))
         return out
 
@@ -231,8 +231,7 @@ def fit(texts: list[str], labels: list[int], seed: int = 5, warm_up: int = 200,
     if not parts or not any(len(p.hashes) for p in parts) or labels.min() == labels.max():
         model = Network(np.zeros(0, np.uint64), seed)
         model.base = float(labels.mean()) if len(labels) else 0.0
-        model.p["out"][:] = 0
-        model.p["bias"][:] = np.log((model.base + 1e-3) / (1 - model.base + 1e-3))
+        model.constant = True
         return model
     tokens = Tokens.joined(parts)
     del parts
