@@ -24,5 +24,6 @@ def joined(spans: str | Column) -> Column:
 def digests(kinds: tuple[str, ...]) -> list[Column]:
     """n_<kind> of the base spans, base_sha256 and spans."""
     base = F.filter("spans", lambda s: s["base"])
-    counts = [F.size(F.filter(base, lambda s, k=k: s["kind"] == k)).cast("long").alias(f"n_{k}") for k in kinds]
+    of_kind = lambda k: F.size(F.filter(base, lambda s: s["kind"] == k)).cast("long").alias(f"n_{k}")
+    counts = [of_kind(k) for k in kinds]
     return [*counts, F.sha2(joined(base), 256).alias("base_sha256"), joined("spans").alias("spans")]
