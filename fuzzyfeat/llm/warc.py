@@ -1,7 +1,7 @@
 """WARC archives: a writer with revisit records, and a Python data source that reads archives headers first.
 
-Reading: a partition is a file, or a range of a file that a sidecar-free scan can start in (uncompressed files are cut at
-fixed offsets; a reader of a range starts at its first record head). Predicates on the record type, and equality, IN or
+Reading: a partition is a file, or with range_bytes a range of an uncompressed file, whose reader steps from record head to
+record head until its range begins (no search for marks, which a payload may hold too). Predicates on the record type, and equality, IN or
 prefix predicates on other header fields, are pushed into the source: it parses a record's head, tests it, and steps over
 a payload that is unwanted (a seek in plain files; in gzip members the bytes are inflated but never decoded or kept).
 
@@ -27,7 +27,6 @@ from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, In, In
 
 from fuzzyfeat.session import prepare
 
-RANGE_BYTES = 64 << 20
 HTTP = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\n\r\n"
 DATE = "2024-01-01T00:00:00Z"
 SCHEMA = "record_type string, record_id string, target_uri string, payload_digest string, refers_to string, payload_bytes long, payload binary, headers map<string,string>"
@@ -110,9 +109,8 @@ class _Stream:
     """Sequential bytes of a plain or gzip archive with a cheap skip."""
 
     def __init__(self, raw, compressed: bool):
-        self.raw = gzip.GzipFile(fileobj=raw) if compressed else raw
         self.compressed = compressed
-        self.buffered = io.BufferedReader(self.raw, 1 << 18) if compressed else raw
+        self.buffered = io.BufferedReader(gzip.GzipFile(fileobj=raw) if compressed else raw, 1 << 18)
 
     def head(self) -> bytes | None:
         """The next record's head without its blank line, or None at the end."""
@@ -128,9 +126,13 @@ class _Stream:
             lines.append(line)
 
     def read(self, n: int) -> bytes:
-        return self.buffered.read(n)
+        """A record's block; the two line ends after it go too."""
+        block = self.buffered.read(n)
+        self.buffered.read(4)
+        return block
 
     def skip(self, n: int) -> None:
+        n += 4
         if not self.compressed:
             self.buffered.seek(n, 1)
             return
@@ -162,9 +164,9 @@ class WarcReader(DataSourceReader):
             store, root = open_store(folder)
             found = store.get_file_info(fs.FileSelector(root, recursive=True))
             named = sorted(f"{folder.rstrip('/')}/{x.path[len(root.rstrip('/')) + 1 :]}" for x in found if x.is_file and re.search(r"\.warc(\.gz)?$", x.path) and not x.base_name.startswith("."))
-        out, step = [], int(self.options.get("range_bytes", RANGE_BYTES))
+        out, step = [], int(self.options.get("range_bytes", 0))
         for path in named:
-            if path.endswith(".gz"):
+            if path.endswith(".gz") or not step:
                 out.append(Range(path, 0, None))
             else:
                 store, inner = open_store(path)
@@ -181,18 +183,17 @@ class WarcReader(DataSourceReader):
         store, inner = open_store(partition.path)
         compressed = partition.path.endswith(".gz")
         with store.open_input_stream(inner, compression=None) if compressed else store.open_input_file(inner) as raw:
-            if partition.start:
-                at = _next_record(raw, partition.start, partition.end)
-                if at is None:
-                    return
-                raw.seek(at)
             stream = _Stream(raw, compressed)
-            while partition.end is None or raw.tell() < partition.end or not partition.start and raw.tell() == 0:
+            while partition.end is None or stream.buffered.tell() < partition.end:
+                before = not compressed and stream.buffered.tell() < partition.start
                 head = stream.head()
                 if head is None:
                     return
                 fields = {k.strip().lower(): v.strip() for k, _, v in (x.partition(":") for x in head.decode("utf-8", "replace").splitlines()[1:])}
                 size = int(fields["content-length"])
+                if before:  # a range's reader steps from head to head until its own begins
+                    stream.skip(size)
+                    continue
                 row = {c: fields.get(f) for c, f in FIELDS.items()}
                 for c in ("record_id", "refers_to"):
                     row[c] = row[c] and row[c].strip("<>")
@@ -213,26 +214,6 @@ class WarcReader(DataSourceReader):
                 yield row["record_type"], row["record_id"], row["target_uri"], digest, row["refers_to"], length, payload, fields
 
 
-def _next_record(raw, start: int, end: int) -> int | None:
-    """Offset of the first record head that follows a record's end at or after start, within [start, end)."""
-    mark, at, kept = b"\r\n\r\nWARC/1.", max(0, start - 4), b""
-    raw.seek(at)
-    while at < end + len(mark):
-        block = raw.read(1 << 16)
-        if not block:
-            return None
-        hay = kept + block
-        position = 0
-        while (i := hay.find(mark, position)) >= 0:
-            offset = at - len(kept) + i + 4
-            if re.match(rb"WARC/1\.[01]\r\nWARC-Type: [a-z]+\r\n", hay[i + 4 : i + 60]) or len(hay) < i + 60:
-                return offset if start <= offset < end else None
-            position = i + 1
-        at += len(block)
-        kept = hay[-80:]
-    return None
-
-
 class WarcSource(DataSource):
     """format("warc"): options path or files (one per line), record_type, payload (false: heads only), range_bytes."""
 
