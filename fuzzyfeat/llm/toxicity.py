@@ -228,10 +228,10 @@ def fit(texts: list[str], labels: list[int], seed: int = 5, warm_up: int = 200,
     labels = np.asarray(labels, f32)
     column = pa.array(texts, pa.large_string())
     parts = [Tokens(data, offsets) for _, _, data, offsets in _text.runs(column)]
-    if not parts or not any(len(p.hashes) for p in parts) or labels.min() == labels.max():
+    said = np.concatenate([np.diff(p.bounds) > 0 for p in parts]) if parts else np.zeros(0, bool)
+    if not (said & (labels == 1)).any() or not (said & (labels == 0)).any():
         model = Network(np.zeros(0, np.uint64), seed)
-        model.base = float(labels.mean()) if len(labels) else 0.0
-        model.constant = True
+        model.base, model.constant = float(labels.mean()) if len(labels) else 0.0, True
         return model
     tokens = Tokens.joined(parts)
     del parts
