@@ -27,6 +27,12 @@ def basic_features(p: str | Column) -> tuple[Column, Column]:
     return (F.array_position(r, F.array_max(r)) - 1).cast("int"), F.array_max(r)
 
 
+def crisp_cluster(distances: str | Column) -> Column:
+    """Index of the nearest centroid alone, as a crisp clustering has it; the lowest on ties."""
+    r = F.transform(distances, lambda d: F.round(d, 9))
+    return (F.array_position(r, F.array_min(r)) - 1).cast("int")
+
+
 def extended_features(p: str | Column, k: int) -> list[Column]:
     return [F.get(p, F.lit(j)).alias(f"p_{j + 1}") for j in range(k)]
 

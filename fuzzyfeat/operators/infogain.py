@@ -62,3 +62,16 @@ def pair_uncertainty(df: DataFrame, spec: list[Feature], bins: int = 10, label:
     one = rows.groupBy("f", "g", "a").agg(F.sum("n").alias("n"), F.first("t").alias("t")).groupBy("f", "g").agg(_entropy("n", "t").alias("ha"))
     two = rows.groupBy("f", "g", "b").agg(F.sum("n").alias("n"), F.first("t").alias("t")).groupBy("f", "g").agg(_entropy("n", "t").alias("hb"))
     return joint.join(one, ["f", "g"]).join(two, ["f", "g"]).select("f", "g", F.coalesce(F.try_divide(2 * (F.col("ha") + F.col("hb") - F.col("hj")), F.when(F.col("ha") + F.col("hb") > 1e-12, F.col("ha") + F.col("hb"))), F.lit(0.0)).alias("su"))
+
+
+def binary_splits(df: DataFrame, spec: list[Feature], label: str = "label", bins: int = 10) -> DataFrame:
+    """(feature, cut, gain, gain_ratio) of each threshold between bins of the continuous features: the root level of a tree, from one pass of counts."""
+    numeric = [f for f in spec if f.kind == "continuous"]
+    counts = counts_table(df, numeric, label, bins).filter("bin IS NOT NULL").select("feature", F.col("bin").cast("int").alias("bin"), "label", "n")
+    sides = counts.select("feature", "label", "n", F.explode(F.sequence(F.lit(0), F.lit(bins - 2))).alias("cut"), "bin").groupBy("feature", "cut", "label").agg(F.sum(F.when(F.col("bin") <= F.col("cut"), F.col("n")).otherwise(0)).alias("l"), F.sum(F.when(F.col("bin") > F.col("cut"), F.col("n")).otherwise(0)).alias("r"))
+    whole = sides.withColumn("t", F.col("l") + F.col("r")).withColumns({f"{c}a": F.sum(c).over(Window.partitionBy("feature", "cut")) for c in ("l", "r", "t")})
+    part = lambda n, a: F.coalesce(F.sum(F.when(F.col(n) > 0, -F.col(n) / F.col(a) * F.log2(F.col(n) / F.col(a)))), F.lit(0.0))
+    made = whole.groupBy("feature", "cut").agg(part("t", "ta").alias("h"), part("l", "la").alias("hl"), part("r", "ra").alias("hr"), F.first("la").alias("la"), F.first("ra").alias("ra"), F.first("ta").alias("ta")).filter("la > 0 AND ra > 0")
+    gain = F.col("h") - (F.col("la") * F.col("hl") + F.col("ra") * F.col("hr")) / F.col("ta")
+    split = -(F.col("la") / F.col("ta") * F.log2(F.col("la") / F.col("ta")) + F.col("ra") / F.col("ta") * F.log2(F.col("ra") / F.col("ta")))
+    return made.select("feature", "cut", gain.alias("gain"), (gain / split).alias("gain_ratio"))

@@ -427,3 +427,27 @@ query("xor_case")(workloads.xor_case)
 query("ablation_unweighted_traffic")(partial(workloads.per_class, "traffic", "dt", 1, False, weighted=False))
 query("score_unlabelled_quality")(workloads.score_unlabelled)
 query("stream_score")(workloads.stream_score)
+query("subsets_quality")(partial(workloads.subsets, "quality"))
+query("adaboost_rounds_quality")(partial(workloads.boosting_rounds, "quality"))
+query("border_rows_quality")(partial(workloads.border_rows, "quality"))
+query("holdout_choice_traffic")(partial(workloads.per_class, "traffic", "dt", 1, False, evaluator="holdout"))
+query("zscore_normalised_quality")(partial(workloads.per_class, "quality", "dt", 1, False, normalise="zscore"))
+
+
+@query("crisp_clusters_quality", f"WITH {fixture_cte('quality')}, {gain_ctes('quality')}, {fcm_ctes('quality', SEEDED, 0)} SELECT row_id, cast(j AS int) AS z FROM (SELECT row_id, j, row_number() OVER (PARTITION BY row_id ORDER BY round(d2, 9), j) AS r FROM d0) q WHERE r = 1")
+def _crisp(spark, sf_dir):
+    _, _, packed, model = _seeded(spark, sf_dir, "quality")
+    return packed.select("row_id", features.crisp_cluster(distance_column(model)).alias("z"))
+
+
+def _splits_sql(name: str, bins: int = 10) -> str:
+    numeric = ", ".join(f"'{x.name}'" for x in fixtures.SPECS[name] if x.kind == "continuous")
+    part = lambda n, a: f"coalesce(sum(CASE WHEN {n} > 0 THEN -{n} / {a} * log2({n} / {a}) END), 0)"
+    return f"""WITH {fixture_cte(name)}, {gain_ctes(name, bins)}, s AS (SELECT feature, cut, label, sum(CASE WHEN cast(bin AS int) <= cut THEN n ELSE 0 END) AS l, sum(CASE WHEN cast(bin AS int) > cut THEN n ELSE 0 END) AS r FROM (SELECT * FROM c WHERE bin IS NOT NULL AND feature IN ({numeric})) c, (SELECT unnest(range(0, {bins - 1})) AS cut) k GROUP BY feature, cut, label),
+      t AS (SELECT *, l + r AS t, sum(l) OVER (PARTITION BY feature, cut) AS la, sum(r) OVER (PARTITION BY feature, cut) AS ra, sum(l + r) OVER (PARTITION BY feature, cut) AS ta FROM s),
+      e AS (SELECT feature, cut, {part('t', 'ta')} AS h, {part('l', 'la')} AS hl, {part('r', 'ra')} AS hr, any_value(la) AS la, any_value(ra) AS ra, any_value(ta) AS ta FROM t GROUP BY feature, cut)
+      SELECT feature, cast(cut AS int) AS cut, round(h - (la * hl + ra * hr) / ta, 6) AS gain, round((h - (la * hl + ra * hr) / ta) / -(la / ta * log2(la / ta) + ra / ta * log2(ra / ta)), 6) AS gain_ratio FROM e WHERE la > 0 AND ra > 0"""
+
+
+for _name in ("traffic", "quality"):
+    query(f"tree_root_splits_{_name}", _splits_sql(_name))(lambda spark, sf_dir, n=_name: infogain.binary_splits(labelled(spark, sf_dir, n), fixtures.SPECS[n]).select("feature", "cut", F.round("gain", 6).alias("gain"), F.round("gain_ratio", 6).alias("gain_ratio")))

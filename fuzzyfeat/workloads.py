@@ -7,8 +7,10 @@ from pyspark.sql import functions as F
 
 from fuzzyfeat import fixtures
 from fuzzyfeat.operators import metrics, sampling
-from fuzzyfeat.operators.augmented import CacModel, fit_cac
-from fuzzyfeat.operators.selection import CfsSelector
+from fuzzyfeat.operators.augmented import MAX_TRAIN, CacModel, fit_cac, reduce_rows
+from fuzzyfeat.operators.learners.tree import AdaBoostM1, C45Tree
+from fuzzyfeat.operators.prepare import fit_scaler
+from fuzzyfeat.operators.selection import CfsSelector, FilterSelector, WrapperSelector, association, merit
 from fuzzyfeat.sources.tables import stream_table
 from fuzzyfeat.streaming import ops
 
@@ -77,3 +79,40 @@ def stream_score(spark: SparkSession, sf_dir: str) -> DataFrame:
     stream = stream_table(spark, sf_dir, "events")
     shaped = stream.select(F.col("event_id").alias("row_id"), "value", F.get_json_object("props", "$.k").cast("double").alias("k"), F.hour("ts").cast("double").alias("hour"), "event_type")
     return ops.run_once(ops.score(shaped, model).select("row_id", "z", "prediction"))
+
+
+def reduced_design(spark: SparkSession, sf_dir: str, name: str):
+    """The raw columns of the labelled rows as arrays, for selectors and local learners."""
+    df = fixtures.load(spark, sf_dir, name).filter("label IS NOT NULL")
+    scaler = fit_scaler(df, fixtures.SPECS[name])
+    classes = sorted(r[0] for r in df.select("label").distinct().collect())
+    return reduce_rows(df, scaler, "label", FOLDS, MAX_TRAIN, classes)
+
+
+def subsets(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(technique, subset, merit) of each selection technique on the raw columns."""
+    data = reduced_design(spark, sf_dir, name)
+    names, to_class, mutual = association(data.raw, data.y)
+    techniques = {"genetic": CfsSelector(), "exhaustive": CfsSelector("exhaustive"), "filter": FilterSelector(3), "wrapper": WrapperSelector(C45Tree)}
+    rows = []
+    for technique, selector in techniques.items():
+        chosen = selector.select(data.raw, data.y, len(data.classes))
+        rows.append((technique, "+".join(sorted(chosen)), round(merit([names.index(c) for c in chosen], to_class, mutual), 6)))
+    return spark.createDataFrame(rows, "technique string, subset string, merit double")
+
+
+def boosting_rounds(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(round, error, vote) of the boosted trees."""
+    data = reduced_design(spark, sf_dir, name)
+    model = AdaBoostM1(10).fit(data.raw, data.y, len(data.classes))
+    return spark.createDataFrame([(i + 1, float(e), float(v)) for i, (e, v) in enumerate(zip(model.errors, model.votes, strict=False))], "round int, error double, vote double")
+
+
+def border_rows(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Accuracy of the degree-2 machine with and without cluster features, on the rows of weakest membership and on the others."""
+    with_model, test = train(spark, sf_dir, name, "psvm", 1)
+    plain, _ = train(spark, sf_dir, name, "psvm", 0)
+    scored = with_model.transform(test).select("row_id", "label", "b", F.col("prediction").alias("augmented")).join(plain.transform(test).select("row_id", F.col("prediction").alias("plain")), "row_id")
+    cut = scored.approxQuantile("b", [0.25], 0.001)[0]
+    rows = scored.withColumn("zone", F.when(F.col("b") <= cut, "border").otherwise("inside"))
+    return rows.groupBy("zone").agg(F.count("*").alias("n"), *(F.avg((F.col(c) == F.col("label")).cast("double")).alias(c) for c in ("plain", "augmented")))

@@ -2,6 +2,7 @@
 
 import duckdb
 import numpy as np
+import pandas as pd
 import pytest
 
 from fuzzyfeat import fixtures, queries
@@ -69,7 +70,7 @@ def test_model_survives_storage(spark, traffic, tmp_path):
 
 def rows_of(frame):
     names = sorted(frame.columns)
-    clean = lambda x: None if x is None or x != x else round(float(x), 4) if isinstance(x, float | int | np.number) else str(x)
+    clean = lambda x: None if pd.isna(x) else round(float(x), 4) if isinstance(x, float | int | np.number) else str(x)
     return sorted(tuple(str(clean(v)) for v in r) for r in frame[names].itertuples(index=False, name=None))
 
 
