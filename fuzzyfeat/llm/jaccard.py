@@ -14,7 +14,7 @@ The steps, each of them linear in its input:
    bucket's least member (its pivot), and so are those that it left unlinked, in a second round. Since 1 - Jaccard is a
    metric, two members whose distances from a pivot differ by more than 1 - t cannot link.
 4. Only pairs that no pivot rules out and that are not in one component yet are compared themselves, after expansion
-   of the groups to their members. Sizes and 16 class counts of the sets rule out most of them before any set is fetched.
+   of the groups to their members. Sizes and class counts of the sets rule out most pairs before any set is fetched.
 
 Rows of a null or empty text, or of one without words, have an empty set and link with nothing. doc_id is the key: rows
 repeated as a whole come back as often as they went in, with one component.
@@ -35,7 +35,8 @@ from fuzzyfeat.session import materialise, prepare
 
 SKETCH_BITS = 20
 SKETCH_PART = 14
-CLASSES = 16
+LEAST_CLASSES, MOST_CLASSES = 16, 4096
+BROADCAST_IDS = 500_000
 _SIGNED = np.int64
 
 
@@ -57,7 +58,7 @@ def _sketch_rows(k: int):
                 counts += np.bincount((values >> np.uint64(64 - SKETCH_BITS)).astype(np.int64), minlength=len(counts))
         parts = counts.reshape(-1, 1 << SKETCH_PART)
         used = np.flatnonzero(parts.any(axis=1))
-        yield pa.RecordBatch.from_arrays([pa.array(used, pa.int32()), pa.array([parts[i].astype("<i8").tobytes() for i in used], pa.binary())], ["part", "counts"])
+        yield pa.RecordBatch.from_arrays([pa.array(used, pa.int32()), pa.array([parts[i].astype("<u4").tobytes() for i in used], pa.binary())], ["part", "counts"])
 
     return work
 
@@ -65,7 +66,7 @@ def _sketch_rows(k: int):
 def _sketch_sum(key, table):
     total = np.zeros(1 << SKETCH_PART, np.int64)
     for x in table.column("counts"):
-        total += np.frombuffer(x.as_py(), "<i8")
+        total += np.frombuffer(x.as_py(), "<u4" if len(x.as_py()) == 4 << SKETCH_PART else "<i8")
     return pa.table({"part": pa.array([key[0].as_py()], pa.int32()), "counts": pa.array([total.tobytes()], pa.binary())})
 
 
@@ -79,9 +80,32 @@ def shingle_sketch(docs: DataFrame, k: int, text_col: str = "text") -> np.ndarra
 
 
 def _levels(counts: np.ndarray) -> np.ndarray:
-    """Powers of two above the usual cell: cells with no more than chance gives are all alike."""
-    usual = max(1.0, float(np.median(counts))) * 1.5 + 4
-    return np.ceil(np.log2(np.maximum(1, counts / usual))).astype(np.uint8)
+    """The rank of each cell's shingles in the common order: its count. What a dozen documents share stands out from a cell's usual load."""
+    return np.minimum(counts, 2**32 - 1).astype(np.uint32)
+
+
+def _ordered(values: np.ndarray, bounds: np.ndarray, level: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The shingles of each document in the common order, rare ones first, and the document of each."""
+    doc = np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))
+    order = np.lexsort((values, level[(values >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)], doc))
+    return values[order], doc
+
+
+def _in_prefix(bounds: np.ndarray, doc: np.ndarray, numerator: int, denominator: int) -> np.ndarray:
+    length = prefix_length(np.diff(bounds), numerator, denominator)
+    return np.arange(len(doc)) - bounds[doc] < length[doc]
+
+
+def _sums(values: np.ndarray, doc: np.ndarray, n_docs: int) -> np.ndarray:
+    """Sum of the values of each document, modulo 2 ** 64."""
+    total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(values, dtype=np.uint64)])
+    bounds = np.searchsorted(doc, np.arange(n_docs + 1))
+    return total[bounds[1:]] - total[bounds[:-1]]
+
+
+def class_count(n: np.ndarray) -> np.ndarray:
+    """Classes that a set of n is counted in: the power of two at n / 8, within bounds. A shingle's class is its hash modulo that."""
+    return np.clip(2 ** np.floor(np.log2(np.maximum(1, n / 8))).astype(np.int64), LEAST_CLASSES, MOST_CLASSES)
 
 
 def _profile_rows(k: int, numerator: int, denominator: int, levels):
@@ -91,24 +115,28 @@ def _profile_rows(k: int, numerator: int, denominator: int, levels):
             ids, texts = _columns(batch)
             for first, end, data, offsets in _text.runs(texts):
                 values, bounds = _text.shingle_sets(data, offsets, k)
-                n = np.diff(bounds)
-                doc = np.repeat(np.arange(end - first), n)
-                classes = np.bincount(doc * CLASSES + (values & np.uint64(CLASSES - 1)).astype(np.int64), minlength=(end - first) * CLASSES).reshape(-1, CLASSES)
-                low = _text.mix(values)
-                digests = [np.bitwise_xor.reduceat(x, bounds[:-1][n > 0]) if len(x) else x for x in (_text.mix(low + np.uint64(5)),)] + [np.add.reduceat(low, bounds[:-1][n > 0]) if len(low) else low]
-                order = np.lexsort((values, level[(values >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)], doc))
-                ordered, length = values[order], prefix_length(n, numerator, denominator)
-                full = [np.zeros(end - first, np.uint64) for _ in range(3)]
-                for x, d in zip(full, digests, strict=False):
-                    x[n > 0] = d
-                prefixes = [ordered[b : b + p].astype("<u8").tobytes() for b, p in zip(bounds[:-1], length, strict=True)]
-                mixed = _text.mix(ordered)
-                for i in np.flatnonzero(n):
-                    full[2][i] = np.sum(mixed[bounds[i] : bounds[i] + length[i]], dtype=np.uint64)
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(ids[first:end]), pa.array(n, pa.int64()), *(pa.array(x.view(_SIGNED)) for x in full), pa.array(prefixes, pa.binary()), pa.array(list(np.minimum(classes, 2**31 - 1).astype(np.int32)), pa.list_(pa.int32()))],
-                    ["doc_id", "n", "d1", "d2", "g", "prefix", "classes"],
-                )
+                ordered, doc = _ordered(values, bounds, level)
+                per = class_count(np.diff(bounds))
+                begin = np.concatenate([[0], np.cumsum(per)])
+                counts = np.bincount(begin[doc] + (ordered & (per[doc] - 1).astype(np.uint64)).astype(np.int64), minlength=begin[-1])
+                inside = _in_prefix(bounds, doc, numerator, denominator)
+                sums = [_sums(_text.mix(x), d, end - first) for x, d in ((ordered, doc), (ordered ^ np.uint64(0x5BD1E995), doc), (ordered[inside] + np.uint64(9), doc[inside]))]
+                classes = pa.ListArray.from_arrays(pa.array(begin, pa.int32()), pa.array(np.minimum(counts, 32767), pa.int16()))
+                yield pa.RecordBatch.from_arrays([pa.array(ids[first:end]), pa.array(np.diff(bounds), pa.int64()), *(pa.array(x.view(_SIGNED)) for x in sums), classes], ["doc_id", "n", "d1", "d2", "g", "classes"])
+
+    return work
+
+
+def _posting_rows(k: int, numerator: int, denominator: int, levels):
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        level = levels.value
+        for batch in batches:
+            ids, texts = _columns(batch)
+            for first, end, data, offsets in _text.runs(texts):
+                values, bounds = _text.shingle_sets(data, offsets, k)
+                ordered, doc = _ordered(values, bounds, level)
+                inside = _in_prefix(bounds, doc, numerator, denominator)
+                yield pa.RecordBatch.from_arrays([pa.array(ordered[inside].view(_SIGNED)), pa.array(ids[first:end][doc[inside]])], ["token", "node"])
 
     return work
 
@@ -125,119 +153,149 @@ def _set_rows(k: int):
     return work
 
 
-def _posting_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        for at in range(0, len(batch), 512):
-            part = batch.slice(at, 512)
-            prefixes = [np.frombuffer(x.as_py(), "<u8") for x in part.column("prefix")]
-            rows = np.repeat(np.arange(len(part)), [len(x) for x in prefixes])
-            tokens = np.concatenate(prefixes).view(_SIGNED) if prefixes else np.zeros(0, np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(tokens), part.column("node").take(pa.array(rows)), part.column("n").take(pa.array(rows))], ["token", "node", "n"])
+def _anew(name: str):
+    """The key as an expression: a join deals this side out again, so that adaptive execution may split the other at a hot key."""
+    return (F.col(name) + F.lit(0)).alias(name)
+
 
+class _Comparer:
+    """Compares pairs of nodes: by the sizes and class counts of their sets, and by the sets where those don't decide."""
 
-class _Join:
-    """State of one run: what has been compared, what links, and how far each node is from its pivots."""
+    def __init__(self, docs: DataFrame, light: DataFrame, k: int, numerator: int, denominator: int):
+        self.docs, self.light, self.k, self.numerator, self.denominator = docs, light, k, numerator, denominator
 
-    def __init__(self, docs: DataFrame, nodes: DataFrame, k: int, numerator: int, denominator: int):
-        self.nodes, self.numerator, self.denominator = nodes, numerator, denominator
-        self.docs, self.k = docs, k
+    def may_link(self, pairs: DataFrame) -> DataFrame:
+        """The pairs (u, v) with what the sizes and class counts say.
 
-    def sizes_allow(self, a: str, b: str):
-        return F.least(a, b) * self.denominator >= F.greatest(a, b) * self.numerator
+        |A xor B| is at least the sum x of the differences of the class counts, so the distance is at least 2x / (|A| + |B| + x).
+        """
+        for side in ("u", "v"):
+            pairs = pairs.join(self.light.select(F.col("node").alias(side), F.col("n").alias(f"n_{side}"), F.col("classes").alias(f"c_{side}")), side)
+        pairs = pairs.withColumn("c_u", self._folded("c_u", "c_v")).withColumn("c_v", self._folded("c_v", "c_u"))
+        apart = F.aggregate(F.zip_with("c_u", "c_v", lambda x, y: F.abs(x - y)), F.lit(0), lambda s, x: s + x).cast("long")
+        # Sets of sizes that can link have at most twice as many classes as each other; the sizes speak for the others.
+        pairs = pairs.withColumn("x", F.when(F.size("c_u") == F.size("c_v"), F.greatest(apart, F.abs(F.col("n_u") - F.col("n_v")))).otherwise(F.abs(F.col("n_u") - F.col("n_v")))).withColumn("total", F.col("n_u") + F.col("n_v"))
+        return pairs.select("u", "v", (2 * F.col("x") / (F.col("total") + F.col("x"))).alias("least"), (F.col("x") * (self.numerator + self.denominator) <= F.col("total") * (self.denominator - self.numerator)).alias("may"))
 
-    def keep_sets(self, wanted: DataFrame) -> None:
-        """The shingle sets of the nodes that share a prefix shingle with another: each fetched once for all rounds."""
-        texts = self.docs.join(wanted.select(F.col("node").alias("doc_id")).distinct(), "doc_id", "left_semi")
-        sets = texts.dropDuplicates(["doc_id"]).select("doc_id", "text").mapInArrow(_set_rows(self.k), "node long, s array<long>")
-        self.sets = materialise(sets.filter(F.size("s") > 0))
+    @staticmethod
+    def _folded(a: str, b: str):
+        """Counts a in half as many classes, if b has fewer."""
+        half = (F.size(a) / 2).cast("int")
+        added = F.zip_with(F.slice(a, F.lit(1), half), F.slice(a, half + 1, half), lambda x, y: x.cast("int") + y.cast("int"))
+        whole = F.col(a).cast("array<int>")
+        return F.when(F.size(a) > F.size(b), added).otherwise(whole)
+
+    def texts_of(self, ids: DataFrame) -> DataFrame:
+        """The documents with the given ids; these are broadcast to the scan only up to a checked count."""
+        return self.docs.join(F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids, "doc_id", "left_semi")
+
+    def sets_of(self, ids: DataFrame) -> DataFrame:
+        """(node, s) of the nodes in ids."""
+        texts = self.texts_of(materialise(ids.distinct()))
+        return materialise(texts.mapInArrow(_set_rows(self.k), "node long, s array<long>").filter(F.size("s") > 0).dropDuplicates(["node"]))
 
     def compare(self, pairs: DataFrame) -> DataFrame:
-        """(u, v, distance) of the pairs (u, v): 1 - Jaccard in millionths rounded up, and whether they link."""
-        left = pairs.join(self.sets.withColumnsRenamed({"node": "u", "s": "su"}), "u")
-        right = self.sets.select(F.col("node").alias("v"), F.col("s").alias("sv"))
-        met = left.join(right, "v").withColumn("both", F.size(F.array_intersect("su", "sv")).cast("long"))
+        """(u, v, distance, exact, linked): 1 - Jaccard, or a lower bound of it where exact is false."""
+        pairs = materialise(self.may_link(pairs))
+        unlike = pairs.filter("not may").select("u", "v", F.col("least").alias("distance"), F.lit(False).alias("exact"), F.lit(False).alias("linked"))
+        like = pairs.filter("may").select("u", "v")
+        sets = self.sets_of(like.select(F.col("u").alias("doc_id")).unionByName(like.select(F.col("v").alias("doc_id"))))
+        met = like.join(sets.select(F.col("node").alias("u"), F.col("s").alias("su")), "u").join(sets.select(_anew("node").alias("v"), F.col("s").alias("sv")), "v")
+        met = met.withColumn("both", F.size(F.array_intersect("su", "sv")).cast("long"))
         met = met.withColumn("all", F.size("su") + F.size("sv") - F.col("both"))
-        return met.select("u", "v", (1 - F.col("both") / F.col("all")).alias("distance"), (F.col("both") * self.denominator >= F.col("all") * self.numerator).alias("linked"))
+        met = met.select("u", "v", (1 - F.col("both") / F.col("all")).alias("distance"), F.lit(True).alias("exact"), (F.col("both") * self.denominator >= F.col("all") * self.numerator).alias("linked"))
+        return materialise(met.unionByName(unlike))
 
 
 def jaccard_components(docs: DataFrame, k: int = 5, threshold: tuple[int, int] = (80, 100), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_shingles, component_id) of every row: component_id is the least doc_id reachable by links, itself included.
 
-    Null or wordless texts: n_shingles 0 and their own id. Equal sets always link. Extra columns of `docs` are ignored.
+    Null or wordless texts: n_shingles 0 and their own id. Rows without an id link with nothing and have no component. Equal sets always link. Extra columns of `docs` are ignored.
     An empty table gives an empty result.
     """
     spark = prepare(docs.sparkSession)
     numerator, denominator = threshold
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    nameless = docs.filter("doc_id IS NULL").select(F.lit(0).cast("long").alias("doc_id"), "text").mapInArrow(_set_rows(k), "node long, s array<long>")
+    docs = docs.filter("doc_id IS NOT NULL")
     levels = spark.sparkContext.broadcast(_levels(shingle_sketch(docs, k)))
-    profile = docs.mapInArrow(_profile_rows(k, numerator, denominator, levels), "doc_id long, n long, d1 long, d2 long, g long, prefix binary, classes array<int>")
-    profile = materialise(profile)
+    profile = materialise(docs.mapInArrow(_profile_rows(k, numerator, denominator, levels), "doc_id long, n long, d1 long, d2 long, g long, classes array<smallint>"))
     # Equal sets collapse; of each, the least id is the node.
-    nodes = materialise(profile.filter("n > 0").groupBy("n", "d1", "d2").agg(F.min("doc_id").alias("node"), F.min("g").alias("g"), F.min("prefix").alias("prefix"), F.min("classes").alias("classes")))
+    nodes = materialise(profile.filter("n > 0").groupBy("n", "d1", "d2").agg(F.min("doc_id").alias("node"), F.min("g").alias("g"), F.min("classes").alias("classes")))
     # Equal size and prefix: one group, whose least node leads it.
-    groups = nodes.groupBy("n", "g").agg(F.min("node").alias("leader"), F.min("prefix").alias("prefix"), F.count("*").alias("members"))
-    members = nodes.join(groups.select(F.col("n") + F.lit(0).alias("n"), "g", "leader", "members").toDF("n", "g", "leader", "members"), ["n", "g"]).select("node", "leader", "n", "classes", "members")
-    members = materialise(members)
-    postings = groups.select(F.col("leader").alias("node"), "n", "prefix").mapInArrow(_posting_rows, "token long, node long, n long")
-    postings = materialise(postings)
-    pivots = postings.groupBy("token").agg(F.min("node").alias("pivot"), F.min_by("n", "node").alias("pivot_n"), F.count("*").alias("held")).filter("held > 1")
-    shared = materialise(postings.join(pivots.select((F.col("token") + F.lit(0)).alias("token"), "pivot", "pivot_n"), "token"))
-    join = _Join(docs, nodes, k, numerator, denominator)
-    join.keep_sets(members.join(shared.select(F.col("node").alias("leader")).distinct(), "leader", "left_semi").select("node").unionByName(members.filter("members > 1").select("node")))
+    groups = nodes.groupBy("n", "g").agg(F.min("node").alias("leader"), F.count("*").alias("members"))
+    members = materialise(nodes.join(groups.select(_anew("n"), "g", "leader", "members"), ["n", "g"]).select("node", "leader", "n", "classes", "members"))
+    comparer = _Comparer(docs, members.select("node", "n", "classes"), k, numerator, denominator)
+    leaders = comparer.texts_of(members.filter("node = leader").select(F.col("node").alias("doc_id")))
+    postings = leaders.mapInArrow(_posting_rows(k, numerator, denominator, levels), "token long, node long")
+    pivots = postings.groupBy("token").agg(F.min("node").alias("pivot"), F.count("*").alias("held")).filter("held > 1")
+    shared = materialise(postings.join(pivots.select(_anew("token"), "pivot"), "token"))
     # Round 1: members with their leader, and buckets with their pivot.
     inside = members.filter("node != leader").select(F.col("node").alias("u"), F.col("leader").alias("v"))
-    first = shared.filter("node != pivot").filter(join.sizes_allow("n", "pivot_n")).select(F.col("node").alias("u"), F.col("pivot").alias("v")).distinct()
-    seen = materialise(join.compare(inside.unionByName(first)))
+    first = shared.filter("node != pivot").select(F.col("node").alias("u"), F.col("pivot").alias("v")).distinct()
+    seen = comparer.compare(inside.unionByName(first))
     # Round 2: what the pivot left unlinked, with the least of that.
-    rest = shared.join(seen.filter("linked").select(F.col("u").alias("node"), F.col("v").alias("pivot")), ["node", "pivot"], "left_anti").filter("node != pivot")
-    second = rest.groupBy("token").agg(F.min("node").alias("second"), F.min_by("n", "node").alias("second_n"), F.count("*").alias("held")).filter("held > 1")
-    rest = rest.join(second.select((F.col("token") + F.lit(0)).alias("token"), "second", "second_n"), "token")
-    again = rest.filter("node != second").filter(join.sizes_allow("n", "second_n")).select(F.col("node").alias("u"), F.col("second").alias("v")).distinct()
-    seen = materialise(seen.unionByName(join.compare(again.join(seen.select("u", "v"), ["u", "v"], "left_anti"))))
+    rest = shared.join(seen.filter("linked").select(F.col("u").alias("node"), F.col("v").alias("pivot")), ["node", "pivot"], "left_anti").filter("node != pivot").select("token", "node")
+    second = rest.groupBy("token").agg(F.min("node").alias("pivot"), F.count("*").alias("held")).filter("held > 1")
+    again = materialise(rest.join(second.select(_anew("token"), "pivot"), "token").filter("node != pivot").select(F.col("node").alias("u"), F.col("pivot").alias("v")).distinct().join(seen.select("u", "v"), ["u", "v"], "left_anti"))
+    if not again.isEmpty():
+        seen = seen.unionByName(comparer.compare(again))
     linked = seen.filter("linked").select("u", "v")
     labels = components(linked)
     # What remains: pairs of a bucket in two components that neither pivot rules out.
-    last = _remaining(join, shared, members, seen, labels)
-    more = materialise(join.compare(last)).filter("linked").select("u", "v")
-    if not more.isEmpty():
-        labels = components(linked.unionByName(more))
+    last = materialise(_remaining(comparer, shared, members, seen, labels))
+    if not last.isEmpty():
+        more = comparer.compare(last).filter("linked").select("u", "v")
+        if not more.isEmpty():
+            labels = components(linked.unionByName(more))
     # Back to rows: node -> component, then every document through its set.
-    named = nodes.select("n", "d1", "d2", "node").join(labels, "node", "left").select((F.col("n") + F.lit(0)).alias("n"), "d1", "d2", F.coalesce("component", "node").alias("component_id"))
-    whole = profile.filter("n > 0").join(named, ["n", "d1", "d2"]).select("doc_id", F.col("n").alias("n_shingles"), "component_id")
+    named = nodes.select("n", "d1", "d2", "node").join(labels, "node", "left").select(_anew("n"), "d1", "d2", F.coalesce("component", "node").alias("component_id"))
+    whole = profile.filter("n > 0").select("doc_id", "n", "d1", "d2").join(named, ["n", "d1", "d2"]).select("doc_id", F.col("n").alias("n_shingles"), "component_id")
     empty = profile.filter("n = 0").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id"))
-    return whole.unionByName(empty)
+    nobody = F.lit(None).cast("long")
+    return whole.unionByName(empty).unionByName(nameless.select(nobody.alias("doc_id"), F.size("s").cast("long").alias("n_shingles"), nobody.alias("component_id")))
+
+
+def drop_near_duplicates(docs: DataFrame, k: int = 5, threshold: tuple[int, int] = (80, 100)) -> DataFrame:
+    """The documents without those that link, directly or not, with one of a smaller doc_id; one row of each doc_id stays.
+
+    Rows without doc_id stay. The ids that go are broadcast up to a checked count, and joined beyond it.
+    """
+    found = materialise(jaccard_components(docs, k, threshold))
+    gone = found.filter("doc_id != component_id").select("doc_id").distinct()
+    counts = found.agg(F.count("doc_id").alias("all"), F.countDistinct("doc_id").alias("ids")).first()
+    kept = docs.join(F.broadcast(gone) if gone.count() <= BROADCAST_IDS else gone, "doc_id", "left_anti").select(docs.columns)
+    if counts["all"] == counts["ids"]:
+        return kept
+    return kept.filter("doc_id IS NOT NULL").dropDuplicates(["doc_id"]).unionByName(kept.filter("doc_id IS NULL"))
 
 
-def _remaining(join: _Join, shared: DataFrame, members: DataFrame, seen: DataFrame, labels: DataFrame) -> DataFrame:
+def _remaining(comparer: _Comparer, shared: DataFrame, members: DataFrame, seen: DataFrame, labels: DataFrame) -> DataFrame:
     """Pairs (u, v) of nodes that may link although no comparison so far has joined them."""
-    slack = 1 - join.numerator / join.denominator + 1e-9
-    reach = members.join(seen.select(F.col("u").alias("node"), F.col("v").alias("leader"), "distance"), ["node", "leader"], "left")
-    reach = reach.groupBy("leader").agg(F.max(F.coalesce("distance", F.lit(0.0))).alias("radius"))
-    loose = members.join(labels.select("node", "component"), "node", "left").withColumn("component", F.coalesce("component", "node"))
-    state = loose.groupBy("leader").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.max("n").alias("size"))
-    state = materialise(state.join(reach, "leader"))
-    posts = shared.select("token", "pivot", F.col("node").alias("leader")).join(state, "leader")
-    posts = posts.join(seen.select(F.col("u").alias("leader"), F.col("v").alias("pivot"), "distance"), ["leader", "pivot"], "left")
-    posts = posts.withColumn("distance", F.when(F.col("leader") == F.col("pivot"), F.lit(0.0)).otherwise(F.col("distance")))
-    mixed = posts.groupBy("token").agg(F.min("low").alias("a"), F.max("high").alias("b")).filter("a < b").select((F.col("token") + F.lit(0)).alias("token"))
-    posts = materialise(posts.join(mixed, "token", "left_semi").select("token", "leader", "low", "high", "size", "radius", "distance"))
-    left, right = posts.alias("p"), posts.select(*(F.col(x).alias(f"{x}2") for x in posts.columns)).alias("q")
-    near = F.coalesce(F.abs(F.col("distance") - F.col("distance2")) <= slack + F.col("radius") + F.col("radius2"), F.lit(True))
-    apart = ~((F.col("low") == F.col("low2")) & (F.col("high") == F.col("high2")) & (F.col("low") == F.col("high")))
-    pairs = left.join(right, (F.col("token") == F.col("token2")) & (F.col("leader") < F.col("leader2")) & join.sizes_allow("size", "size2") & near & apart)
-    pairs = pairs.select(F.col("leader2").alias("u"), F.col("leader").alias("v")).distinct()
-    # Class counts: |A xor B| is at least the sum of their differences.
-    bound = loose.select("node", "leader", "n", "classes", "component")
-    expanded = pairs.join(bound.select(F.col("leader").alias("u"), F.col("node").alias("nu"), F.col("n").alias("au"), F.col("classes").alias("cu"), F.col("component").alias("ku")), "u")
-    expanded = expanded.join(bound.select(F.col("leader").alias("v"), F.col("node").alias("nv"), F.col("n").alias("av"), F.col("classes").alias("cv"), F.col("component").alias("kv")), "v")
-    apart_by = F.aggregate(F.zip_with("cu", "cv", lambda x, y: F.abs(x - y)), F.lit(0), lambda s, x: s + x)
-    may = apart_by * (join.numerator + join.denominator) <= (F.col("au") + F.col("av")) * (join.denominator - join.numerator)
-    mixed_leaders = expanded.filter("ku != kv").filter(may)
-    pairs_inside = bound.alias("x")
-    inner = members.filter("members > 1").select("leader").distinct()
-    unlinked = seen.filter("not linked").join(members.filter("node != leader").select(F.col("node").alias("u"), F.col("leader").alias("v")), ["u", "v"])
-    inner = pairs_inside.join(inner, "leader", "left_semi")
-    odd = inner.join(unlinked.select(F.col("u").alias("node")), "node", "left_semi")
-    inner_pairs = odd.select("leader", F.col("node").alias("nu"), F.col("component").alias("ku")).join(inner.select("leader", F.col("node").alias("nv"), F.col("component").alias("kv")), "leader").filter("nu != nv and ku != kv")
-    both = mixed_leaders.select("nu", "nv").unionByName(inner_pairs.select("nu", "nv")).select(F.greatest("nu", "nv").alias("u"), F.least("nu", "nv").alias("v")).distinct()
-    return both.join(seen.select("u", "v"), ["u", "v"], "left_anti")
+    numerator, denominator = comparer.numerator, comparer.denominator
+    slack = 1 - numerator / denominator + 1e-9
+    loose = members.join(labels.withColumnRenamed("component", "known"), "node", "left").withColumn("component", F.coalesce("known", "node")).drop("known")
+    # A group reaches as far from its leader as its farthest member; a bound from below says nothing about that.
+    own = seen.select(F.col("u").alias("node"), F.col("v").alias("leader"), F.when(F.col("exact"), F.col("distance")).otherwise(1.0).alias("reach"))
+    state = loose.join(own, ["node", "leader"], "left").groupBy("leader").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.max("n").alias("size"), F.max(F.coalesce("reach", F.lit(0.0))).alias("radius"))
+    state = materialise(state)
+    posts = shared.select("token", "pivot", F.col("node").alias("leader")).join(state.select(_anew("leader"), "low", "high", "size", "radius"), "leader")
+    apart = seen.select(F.col("u").alias("leader"), F.col("v").alias("pivot"), "distance", "exact")
+    posts = posts.join(apart, ["leader", "pivot"], "left").withColumn("exact", (F.col("leader") == F.col("pivot")) | F.coalesce("exact", F.lit(False))).withColumn("distance", F.when(F.col("leader") == F.col("pivot"), 0.0).otherwise(F.coalesce("distance", F.lit(0.0))))
+    mixed = posts.groupBy("token").agg(F.min("low").alias("a"), F.max("high").alias("b")).filter("a < b").select(_anew("token"))
+    posts = materialise(posts.join(mixed, "token", "left_semi").select("token", "leader", "low", "high", "size", "radius", "distance", "exact"))
+    other = posts.select(*(F.col(c).alias(f"{c}2") for c in posts.columns))
+    # d(x, y) >= d(y, p) - d(x, p): with d(x, p) exact and d(y, p) exact or bounded from below.
+    gap = F.greatest(F.when(F.col("exact"), F.col("distance2") - F.col("distance")).otherwise(0.0), F.when(F.col("exact2"), F.col("distance") - F.col("distance2")).otherwise(0.0))
+    near = gap <= slack + F.col("radius") + F.col("radius2")
+    one = (F.col("low") == F.col("high")) & (F.col("low") == F.col("low2")) & (F.col("low2") == F.col("high2"))
+    sizes = F.least("size", "size2") * denominator >= F.greatest("size", "size2") * numerator
+    met = posts.join(other, (F.col("token") == F.col("token2")) & (F.col("leader") < F.col("leader2")) & sizes & near & ~one)
+    pairs = met.select(F.col("leader").alias("a"), F.col("leader2").alias("b")).distinct()
+    # Expand the groups: across pairs, and within groups that hold a member unlike their leader.
+    odd = loose.join(labels.select("node"), "node", "left_anti").filter("node != leader").select("leader").distinct()
+    pairs = pairs.unionByName(odd.select(F.col("leader").alias("a"), F.col("leader").alias("b")))
+    side = loose.select("leader", "node", "component")
+    expanded = pairs.join(side.toDF("a", "x", "kx"), "a").join(side.toDF("b", "y", "ky"), "b").filter("kx != ky")
+    both = expanded.select(F.greatest("x", "y").alias("u"), F.least("x", "y").alias("v")).distinct().join(seen.select("u", "v"), ["u", "v"], "left_anti")
+    return comparer.may_link(both).filter("may").select("u", "v")
