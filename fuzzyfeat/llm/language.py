@@ -49,7 +49,7 @@ class TrigramModel:
             for _, _, data, offsets in _text.runs(pa.array([t for t, x in zip(texts, languages, strict=True) if x == language], pa.large_string())):
                 counts[code] += np.bincount(trigram_cells(data, offsets)[0], minlength=CELLS)
         logs = np.log(counts / counts.sum(axis=1, keepdims=True))
-        self.table = (logs - logs.mean(axis=0)).T.astype(np.float32)
+        self.table = (logs - logs.mean(axis=0)).T.astype(np.float32) if len(logs) else logs.T
 
     def scores(self, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
         """Tempered log-likelihoods: the sum over a text's trigrams, times TEMPER, within +-12."""
@@ -63,7 +63,10 @@ class TrigramModel:
 
 
 def fit(docs: DataFrame, sample: int = SAMPLE) -> TrigramModel:
-    some = docs.filter(F.col("lang").isNotNull() & (F.length("text") > 0) & (F.length("text") <= SAMPLE_CHARS)).select("doc_id", "lang", "text").orderBy(F.xxhash64("doc_id"), "doc_id", "lang", "text").limit(sample).collect()
+    usable = docs.filter(F.col("lang").isNotNull() & (F.length("text") > 0) & (F.length("text") <= SAMPLE_CHARS)).select("doc_id", "lang", "text")
+    ids = usable.select("doc_id").filter("doc_id IS NOT NULL").orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)  # tasks send ids, not texts
+    some = usable.join(F.broadcast(ids.distinct()), "doc_id").limit(2 * sample).collect()
+    some.sort(key=lambda r: (r["doc_id"], r["lang"], r["text"]))
     return TrigramModel([r["text"] for r in some], [r["lang"] for r in some])
 
 
@@ -117,8 +120,8 @@ def identify(pages: DataFrame, docs: DataFrame) -> DataFrame:
 
     scored = evidence.select("page_id", "text", "declared", "host", "suffix", "segment").mapInArrow(work, f"page_id {pages.schema['page_id'].dataType.simpleString()}, declared string, host string, suffix string, segment string, scores array<double>")
     scored = materialise(scored.withColumn("post", _softmax(F.col("scores"))))
-    whole = scored.agg(*(F.sum(F.get("post", F.lit(j))) for j in range(n)), F.count("*")).first()
-    prior = [((whole[j] or 0) + 1) / ((whole[n] or 0) + n) for j in range(n)]
+    whole = [x or 0 for x in scored.agg(*(F.sum(F.get("post", F.lit(j))) for j in range(n)), F.count("*")).first()]
+    prior = [(whole[j] + 1) / (whole[n] + n) for j in range(n)]
     rows = scored
 
     for key in ("declared", "segment", "suffix", "host"):

@@ -74,7 +74,9 @@ def nearest(vectors: DataFrame, query_of: Column, k: int = 20, id_col: str = "ve
     spark = prepare(vectors.sparkSession)
     rows = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector_col).cast("array<double>").alias("v"), query_of.alias("q")).filter(F.col("vec_id").isNotNull() & usable(F.col("v")))
     rows = rows.dropDuplicates(["vec_id", "v"])
-    some = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).select("v").collect()
+    ids = rows.select("vec_id").orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).distinct()  # tasks send ids, not vectors
+    some = rows.join(F.broadcast(ids), "vec_id").limit(2 * sample).collect()
+    some.sort(key=lambda r: (r["vec_id"], r["v"]))
     schema = "query_id long, rank int, vec_id long, score double"
     if not some:
         return spark.createDataFrame([], schema)
