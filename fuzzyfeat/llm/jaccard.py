@@ -171,12 +171,19 @@ class _Comparer:
         """
         for side in ("u", "v"):
             pairs = pairs.join(self.light.select(F.col("node").alias(side), F.col("n").alias(f"n_{side}"), F.col("classes").alias(f"c_{side}")), side)
-        pairs = pairs.withColumn("c_u", self._folded("c_u", "c_v")).withColumn("c_v", self._folded("c_v", "c_u"))
-        apart = F.aggregate(F.zip_with("c_u", "c_v", lambda x, y: F.abs(x - y)), F.lit(0), lambda s, x: s + x).cast("long")
-        # Sets of sizes that can link have at most twice as many classes as each other; the sizes speak for the others.
-        pairs = pairs.withColumn("x", F.when(F.size("c_u") == F.size("c_v"), F.greatest(apart, F.abs(F.col("n_u") - F.col("n_v")))).otherwise(F.abs(F.col("n_u") - F.col("n_v")))).withColumn("total", F.col("n_u") + F.col("n_v"))
+        pairs = pairs.withColumn("x", self.apart("c_u", "c_v", "n_u", "n_v")).withColumn("total", F.col("n_u") + F.col("n_v"))
         return pairs.select("u", "v", (2 * F.col("x") / (F.col("total") + F.col("x"))).alias("least"), (F.col("x") * (self.numerator + self.denominator) <= F.col("total") * (self.denominator - self.numerator)).alias("may"))
 
+    @classmethod
+    def apart(cls, a: str, b: str, n_a: str, n_b: str):
+        """A lower bound of |A xor B|: the differences of the class counts, or of the sizes alone.
+
+        Sets of sizes that can link have at most twice as many classes as each other; the sizes speak for the others.
+        """
+        one, two, sizes = cls._folded(a, b), cls._folded(b, a), F.abs(F.col(n_a) - F.col(n_b))
+        counted = F.aggregate(F.zip_with(one, two, lambda x, y: F.abs(x - y)), F.lit(0), lambda s, x: s + x).cast("long")
+        return F.when(F.size(one) == F.size(two), F.greatest(counted, sizes)).otherwise(sizes)
+
     @staticmethod
     def _folded(a: str, b: str):
         """Counts a in half as many classes, if b has fewer."""
@@ -278,19 +285,23 @@ def _remaining(comparer: _Comparer, shared: DataFrame, members: DataFrame, seen:
     # A group reaches as far from its leader as its farthest member; a bound from below says nothing about that.
     own = seen.select(F.col("u").alias("node"), F.col("v").alias("leader"), F.when(F.col("exact"), F.col("distance")).otherwise(1.0).alias("reach"))
     state = loose.join(own, ["node", "leader"], "left").groupBy("leader").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.max("n").alias("size"), F.max(F.coalesce("reach", F.lit(0.0))).alias("radius"))
-    state = materialise(state)
-    posts = shared.select("token", "pivot", F.col("node").alias("leader")).join(state.select(_anew("leader"), "low", "high", "size", "radius"), "leader")
+    lead = members.filter("node = leader").select(_anew("leader"), "classes")
+    state = materialise(state.join(lead, "leader"))
+    posts = shared.select("token", "pivot", F.col("node").alias("leader")).join(state.select(_anew("leader"), "low", "high", "size", "radius", "classes"), "leader")
     apart = seen.select(F.col("u").alias("leader"), F.col("v").alias("pivot"), "distance", "exact")
     posts = posts.join(apart, ["leader", "pivot"], "left").withColumn("exact", (F.col("leader") == F.col("pivot")) | F.coalesce("exact", F.lit(False))).withColumn("distance", F.when(F.col("leader") == F.col("pivot"), 0.0).otherwise(F.coalesce("distance", F.lit(0.0))))
     mixed = posts.groupBy("token").agg(F.min("low").alias("a"), F.max("high").alias("b")).filter("a < b").select(_anew("token"))
-    posts = materialise(posts.join(mixed, "token", "left_semi").select("token", "leader", "low", "high", "size", "radius", "distance", "exact"))
+    posts = materialise(posts.join(mixed, "token", "left_semi").select("token", "leader", "low", "high", "size", "radius", "distance", "exact", "classes"))
     other = posts.select(*(F.col(c).alias(f"{c}2") for c in posts.columns))
     # d(x, y) >= d(y, p) - d(x, p): with d(x, p) exact and d(y, p) exact or bounded from below.
     gap = F.greatest(F.when(F.col("exact"), F.col("distance2") - F.col("distance")).otherwise(0.0), F.when(F.col("exact2"), F.col("distance") - F.col("distance2")).otherwise(0.0))
     near = gap <= slack + F.col("radius") + F.col("radius2")
     one = (F.col("low") == F.col("high")) & (F.col("low") == F.col("low2")) & (F.col("low2") == F.col("high2"))
     sizes = F.least("size", "size2") * denominator >= F.greatest("size", "size2") * numerator
-    met = posts.join(other, (F.col("token") == F.col("token2")) & (F.col("leader") < F.col("leader2")) & sizes & near & ~one)
+    # What the class counts rule out never leaves the join.
+    x = comparer.apart("classes", "classes2", "size", "size2")
+    alike = 2 * x / (F.col("size") + F.col("size2") + x) <= slack + F.col("radius") + F.col("radius2")
+    met = posts.join(other, (F.col("token") == F.col("token2")) & (F.col("leader") < F.col("leader2")) & sizes & near & ~one & alike)
     pairs = met.select(F.col("leader").alias("a"), F.col("leader2").alias("b")).distinct()
     # Expand the groups: across pairs, and within groups that hold a member unlike their leader.
     odd = loose.join(labels.select("node"), "node", "left_anti").filter("node != leader").select("leader").distinct()
