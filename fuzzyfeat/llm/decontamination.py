@@ -1,7 +1,8 @@
 """Benchmark decontamination by template windows, in DataFrame functions only.
 
-A text's template replaces numbers, units after numbers and names (capitalised words inside a sentence) by typed
-placeholders, lower-cases the rest and drops punctuation. Windows of WINDOW template words are hashed and joined by hash
+A text's template replaces numbers, units after numbers and names by typed placeholders, lower-cases the rest and drops
+punctuation. A name is a run of capitalised words that are no usual openers of a sentence, wherever it stands, so a
+passage has the same template at the head of a sentence as inside one; the run is one slot, however many words it has. Windows of WINDOW template words are hashed and joined by hash
 with those of the benchmark, so a question asked again with other numbers or names meets its original. Matched windows of
 one document and item on one diagonal form a candidate, and its slots must be consistent: each value of the item's slots
 stands for one value in the document, and different values for different ones.
@@ -21,27 +22,49 @@ from fuzzyfeat.session import materialise
 
 WINDOW, LEAST_LITERALS, MIN_COVERAGE, LONG_RUN = 8, 4, 0.4, 12
 BROADCAST_ROWS, BROADCAST_IDS = 500_000, 500_000
-NAME, NUMBER, UNIT = (chr(0xE000 + i) for i in range(3))  # private-use characters: no text word is one of them
+NAME, NUMBER, UNIT, JOINT = (chr(0xE000 + i) for i in range(4))  # private-use characters: no text word is one of them
 #: Fixed list of units.
 UNITS = "mm cm dm m km in ft yd mi mg g kg t lb lbs oz ml cl dl l gal ms s sec min h hr hrs hour hours day days week weeks month months year years usd eur gbp dollars euros cents percent kb mb gb tb hz khz mhz ghz w kw v a j kj cal kcal c f k meters metres miles grams liters litres seconds minutes".split()
 
+#: Usual openers of a sentence or a question, in four languages: never names.
+OPENERS = (
+    "The This That These Those There Then Than They Their He Him His She Her Hers It Its We Us Our You Your My Me An And Any All Also After Although Are As At Be Because Before Being Both But By Can Could Did Do Does Each Either Every Few Find For From Given Give Had Has Have Here How However If In Into Is Let Like Many May More Most Much Must No Nor Not Now Of On Once One Only Or Other Out Over Prove Please Read Show Since So Solve Some Such Suppose Tell To Today Two Under Until Use Was Were What When Where Whether Which While Who Whom Whose Why Will With Would Write Yes Yet Answer Calculate Choose Compute Consider Complete Describe Determine Evaluate Explain List Name Select Simplify Question Assume During "
+    "El La Los Las Un Una Unos Unas De Del Que Qué Se Si Sin Su Sus Es Son En Con Como Cómo Cual Cuál Cuando Cuándo Cuanto Cuántos Cuántas Donde Dónde Por Para Pero No Ni Lo Le Les Al Este Esta Esto Ese Esa Hay Ha Más Muy Ya Yo Quien Quién Entre Sobre "
+    "Le Les Une Des Du Et Est Ce Cet Cette Ces Dans Il Elle Ils Elles Je Nous Vous Tu On Ou Où Qui Quoi Quel Quelle Quand Comment Combien Pourquoi Pour Par Sur Sous Avec Sans Mais Ne Pas Plus Son Sa Ses Leur Leurs Au Aux Si Comme "
+    "Der Die Das Den Dem Ein Eine Einen Einem Einer Und Oder Aber Ist Sind War Wer Wie Was Wann Wo Warum Wenn Weil Als Auch Auf Aus Bei Bis Da Dann Dass Durch Er Es Sie Ich Wir Ihr Im In Mit Nach Nicht Noch Nun Nur Ob So Um Von Vor Wird Zu Zum Zur Viele Wieviel Welche Welcher Welches Für Über"
+).split()
+#: A word of a name. The cheap test of the capital comes first.
+_NAME_WORD = rf"(?=\p{{Lu}})(?<![\p{{L}}\p{{N}}])(?!(?:{'|'.join(dict.fromkeys(OPENERS))})(?![\p{{L}}\p{{N}}]))\p{{Lu}}\p{{Ll}}+(?:-\p{{Lu}}\p{{Ll}}+)*(?![\p{{L}}\p{{N}}])"
+
 
 def _words(text: Column) -> Column:
     """Lower case, punctuation dropped, split at white space."""
-    bare = F.trim(F.regexp_replace(F.regexp_replace(F.lower(text), r"[^\p{L}\p{N}\x{E000}-\x{E002}\s]+", ""), r"\s+", " "))
+    bare = F.trim(F.regexp_replace(F.regexp_replace(F.lower(text), r"[^\p{L}\p{N}\x{E000}-\x{E003}\s]+", ""), r"\s+", " "))
     return F.when(bare == "", F.array().cast("array<string>")).otherwise(F.split(bare, " "))
 
 
 def template_words(text: Column) -> Column:
     """Words of the template; word for word beside value_words of the same text."""
-    named = F.regexp_replace(text, r"(?<=[\p{Ll}\p{N},;]\s)\p{Lu}\p{Ll}+(?![\p{L}\p{N}])", NAME)
+    named = F.regexp_replace(text, rf"{_NAME_WORD}(?:\s+{_NAME_WORD})*", NAME)
     numbered = F.regexp_replace(named, r"[+-]?\p{Nd}(?:[\p{Nd}.,]*\p{Nd})?", NUMBER)
     return _words(F.regexp_replace(numbered, rf"(?i)({NUMBER}\s*)(?:{'|'.join(UNITS)})(?![\p{{L}}\p{{N}}])", f"$1{UNIT}"))
 
 
 def value_words(text: Column) -> Column:
-    """The words as they stand, number for number beside the template's: inside a number, what separates digits goes."""
-    return _words(F.regexp_replace(text, r"(?<=\p{Nd})[.,](?=\p{Nd})", ""))
+    """The words as they stand, word for word beside the template's: inside a number, what separates digits goes, and JOINT joins the words of a name."""
+    joined = F.regexp_replace(text, rf"({_NAME_WORD})\s+(?={_NAME_WORD})", f"$1{JOINT}")
+    return _words(F.regexp_replace(joined, r"(?<=\p{Nd})[.,](?=\p{Nd})", ""))
+
+
+def _joints(values: Column) -> Column:
+    """The places of joined words in value_words, once for each joint: what a place lacks to that in the text's own words."""
+    at = lambda w, i: F.array_repeat(i, F.length(w) - F.length(F.replace(w, F.lit(JOINT), F.lit(""))))
+    return F.flatten(F.transform(values, at))
+
+
+def _in_text(place: Column, joints: str = "joints") -> Column:
+    """A place among the template's words as a place among the text's own words."""
+    return (place + F.size(F.filter(joints, lambda j: j < place))).cast("long")
 
 
 def window_hashes(words: Column, window: int) -> Column:
@@ -81,7 +104,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, mi
     # Slot consistency, for the few documents that met an item at all.
     ids = met.select("doc_id").distinct()
     ids = F.broadcast(ids) if met.count() <= BROADCAST_IDS else ids
-    held = texts.join(ids, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", value_words(F.col("text")).alias("doc_values"))
+    held = texts.join(ids, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", value_words(F.col("text")).alias("doc_values")).withColumn("joints", _joints(F.col("doc_values")))
     items = benchmark.select("item_id", template_words(F.col("text")).alias("item_words"), value_words(F.col("text")).alias("item_values")).distinct()
     both = met.join(held, "doc_id").join(F.broadcast(items) if small else items, "item_id")
     inside = F.array_distinct(F.flatten(F.transform("places", lambda p: F.sequence(p + 1, p + window))))
@@ -91,7 +114,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, mi
     consistent = (F.size(F.array_distinct("pairs.a")) == F.size("pairs")) & (F.size(F.array_distinct("pairs.b")) == F.size("pairs"))
     found = both.filter(consistent).select(
         "doc_id", "item_id", "windows", (F.col("windows") / F.col("item_windows")).alias("coverage"), F.forall("pairs", lambda p: p["a"].eqNullSafe(p["b"])).alias("exact"),
-        (F.col("low") + F.col("diagonal")).cast("long").alias("first_word"), (F.col("high") + F.col("diagonal") + window).cast("long").alias("last_word"),
+        _in_text(F.col("low") + F.col("diagonal")).alias("first_word"), _in_text(F.col("high") + F.col("diagonal") + window).alias("last_word"),
     )
     best = F.max_by(F.struct("windows", "coverage", "exact", "first_word", "last_word"), F.struct("windows", -F.col("first_word"))).alias("best")
     return found.groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", "best.*")

@@ -225,6 +225,21 @@ def test_templates_catch_new_parameters(spark, awkward, empty):
     assert "Python" not in plan and "Arrow" not in plan
 
 
+def leaks(spark, docs, items):
+    """(document, item) -> row, of documents and items numbered from 0."""
+    frame = lambda texts, name: spark.createDataFrame(list(enumerate(texts)), f"{name} long, text string")
+    return {(r["doc_id"], r["item_id"]): r for r in decontamination.contaminated(frame(docs, "doc_id"), frame(items, "item_id")).collect()}
+
+
+def test_names_that_open_sentences_and_names_of_two_words(spark):
+    item = "Tom has 12 apples and 5 pears. Anna gives Tom 7 more apples. How many apples has Tom now?"
+    other = "Peter has 31 apples and 8 pears. Linda gives Peter 4 more apples. How many apples has Peter now?"
+    long = "On Monday a driver named Linda takes 3 boxes to the market, and there Linda sells 2 boxes to a friend."
+    found = leaks(spark, [other, "It says: " + other.replace("Peter", "Mary Ann"), "Here Mary Ann reads. " + long.replace("Linda", "Mary Ann")], [item, long])
+    assert set(found) == {(0, 0), (1, 0), (2, 1)} and {r["coverage"] for r in found.values()} == {1.0}
+    assert (found[1, 0]["first_word"], found[1, 0]["last_word"]) == (2, 2 + 19 + 3) and found[2, 1]["first_word"] == 4
+
+
 def test_gradients_of_the_network():
     model = toxicity.Network(np.zeros(0, np.uint64), seed=2)
     text = b"some words of a small text, no more"
