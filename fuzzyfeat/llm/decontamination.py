@@ -8,8 +8,9 @@ one document and item on one diagonal form a candidate, and its slots must be co
 stands for one value in the document, and different values for different ones.
 
 A document is contaminated by an item if consistent windows on a diagonal cover at least MIN_COVERAGE of the item's
-windows, or LONG_RUN of them. Items of fewer than WINDOW words, and windows of fewer than LEAST_LITERALS different literal
-words, match nothing. Null and empty texts match nothing; rows without doc_id are not reported. Repeated rows of a
+windows, or LONG_RUN of them. Only windows of at least LEAST_LITERALS different literal words are matched and counted.
+Items with fewer than FEW_WINDOWS of those, such as items of fewer than WINDOW words, are also looked for word by word,
+whole and with their own values, however short they are; the windows of such a row are 0. Null and empty texts match nothing; rows without doc_id are not reported. Repeated rows of a
 document count once. Empty tables give an empty result.
 """
 
@@ -21,6 +22,7 @@ from pyspark.sql import functions as F
 from fuzzyfeat.session import materialise
 
 WINDOW, LEAST_LITERALS, MIN_COVERAGE, LONG_RUN = 8, 4, 0.4, 12
+FEW_WINDOWS = 4  # so few windows tell little of an item that has more of them
 BROADCAST_ROWS, BROADCAST_IDS = 500_000, 500_000
 NAME, NUMBER, UNIT, JOINT = (chr(0xE000 + i) for i in range(4))  # private-use characters: no text word is one of them
 #: Fixed list of units.
@@ -82,11 +84,41 @@ def _slots(words: Column) -> Column:
 
 
 def benchmark_windows(benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
-    """(h, item_id, item_at, item_windows) of the windows that say enough to match."""
+    """(h, item_id, item_at, item_windows, all_windows) of the windows that say enough to match; item_windows counts these."""
     items = benchmark.filter(F.col("item_id").isNotNull()).select("item_id", template_words(F.col("text")).alias("words")).distinct()
-    items = items.withColumn("hashes", window_hashes(F.col("words"), window)).withColumn("item_windows", F.size("hashes"))
-    rows = items.select("item_id", "item_windows", "words", F.posexplode("hashes").alias("item_at", "h"))
-    return rows.filter(F.size(F.array_distinct(_slots(F.slice("words", F.col("item_at") + 1, window)))) >= LEAST_LITERALS).drop("words")
+    numbered = F.transform("hashes", lambda h, at: F.struct(h.alias("h"), at.alias("item_at")))
+    telling = F.filter(numbered, lambda w: F.size(F.array_distinct(_slots(F.slice("words", w["item_at"] + 1, window)))) >= LEAST_LITERALS)
+    items = items.select("item_id", "words", window_hashes(F.col("words"), window).alias("hashes")).withColumn("telling", telling)
+    return items.select("item_id", F.size("telling").alias("item_windows"), F.size("hashes").alias("all_windows"), F.explode("telling").alias("w")).select("w.h", "item_id", "w.item_at", "item_windows", "all_windows")
+
+
+def text_words(text: Column) -> Column:
+    """The text's own words, names in single words, numbers as in value_words."""
+    return _words(F.regexp_replace(text, r"(?<=\p{Nd})[.,](?=\p{Nd})", ""))
+
+
+def whole_items(docs: DataFrame, benchmark: DataFrame, wanted: DataFrame, window: int = WINDOW) -> DataFrame:
+    """(doc_id, item_id, first_word, last_word): the first verbatim copy in a document of each item that has few windows or none.
+
+    The first words of an item, `window` at most, are its key: documents are hashed for the lengths of keys that occur.
+    """
+    enough = wanted.filter(F.col("item_windows") >= FEW_WINDOWS).select("item_id").distinct()
+    items = benchmark.filter("item_id IS NOT NULL AND text IS NOT NULL").join(enough, "item_id", "left_anti").select("item_id", text_words(F.col("text")).alias("item_text")).filter(F.size("item_text") > 0).distinct()
+    items = items.withColumn("n", F.least(F.size("item_text"), F.lit(window)))
+    items = materialise(items.withColumn("h", F.xxhash64(F.slice("item_text", F.lit(1), F.col("n")))))
+    lengths = [r["n"] for r in items.select("n").distinct().collect()]  # `window` numbers at most
+    if not lengths:
+        return wanted.filter(F.lit(False)).select(F.lit(None).cast("long").alias("doc_id"), "item_id", *(F.lit(None).cast("long").alias(c) for c in ("first_word", "last_word")))
+    few = F.broadcast(items) if items.count() <= BROADCAST_ROWS else items
+    hashes = lambda ws: F.array(*(F.struct(F.lit(n).alias("n"), window_hashes(ws, n).alias("hashes")) for n in lengths))
+    rows = docs.select("doc_id", F.explode(F.get(F.transform(F.array(text_words(F.col("text"))), hashes), F.lit(0))).alias("e"))
+    met = materialise(rows.select("doc_id", "e.n", F.posexplode("e.hashes").alias("at", "h")).join(few.drop("item_text"), ["n", "h"]).select("doc_id", "item_id", "at").distinct())
+    ids = met.select("doc_id").distinct()
+    held = docs.join(F.broadcast(ids) if met.count() <= BROADCAST_IDS else ids, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", text_words(F.col("text")).alias("doc_text"))
+    size = F.size("item_text")
+    same = met.join(held, "doc_id").join(few.select("item_id", "item_text"), "item_id").filter(F.slice("doc_text", F.col("at") + 1, size) == F.col("item_text"))
+    place = F.min(F.struct(F.col("at").cast("long").alias("first_word"), (F.col("at") + size).cast("long").alias("last_word")))
+    return same.groupBy("doc_id", "item_id").agg(place.alias("e")).select("doc_id", "item_id", "e.*")
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, min_coverage: float = MIN_COVERAGE, long_run: int = LONG_RUN) -> DataFrame:
@@ -99,8 +131,9 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, mi
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").filter("doc_id IS NOT NULL AND text IS NOT NULL")
     rows = texts.select("doc_id", F.posexplode(window_hashes(template_words(F.col("text")), window)).alias("at", "h"))
     met = rows.join(F.broadcast(wanted) if small else wanted, "h").withColumn("diagonal", F.col("at") - F.col("item_at"))
-    met = met.groupBy("doc_id", "item_id", "diagonal").agg(F.countDistinct("item_at").alias("windows"), F.max("item_windows").alias("item_windows"), F.min("item_at").alias("low"), F.max("item_at").alias("high"), F.array_sort(F.collect_set("item_at")).alias("places"))
-    met = materialise(met.filter((F.col("windows") >= min_coverage * F.col("item_windows")) | (F.col("windows") >= long_run)))
+    met = met.groupBy("doc_id", "item_id", "diagonal").agg(F.countDistinct("item_at").alias("windows"), F.max("item_windows").alias("item_windows"), F.max("all_windows").alias("all_windows"), F.min("item_at").alias("low"), F.max("item_at").alias("high"), F.array_sort(F.collect_set("item_at")).alias("places"))
+    covered = (F.col("windows") >= min_coverage * F.col("item_windows")) & (F.col("windows") >= F.least(F.lit(FEW_WINDOWS), min_coverage * F.col("all_windows")))
+    met = materialise(met.filter(covered | (F.col("windows") >= long_run)))
     # Slot consistency, for the few documents that met an item at all.
     ids = met.select("doc_id").distinct()
     ids = F.broadcast(ids) if met.count() <= BROADCAST_IDS else ids
@@ -117,7 +150,8 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, mi
         _in_text(F.col("low") + F.col("diagonal")).alias("first_word"), _in_text(F.col("high") + F.col("diagonal") + window).alias("last_word"),
     )
     best = F.max_by(F.struct("windows", "coverage", "exact", "first_word", "last_word"), F.struct("windows", -F.col("first_word"))).alias("best")
-    return found.groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", "best.*")
+    whole = whole_items(texts, benchmark, wanted, window).select("doc_id", "item_id", F.lit(0).cast("long").alias("windows"), F.lit(1.0).alias("coverage"), F.lit(True).alias("exact"), "first_word", "last_word")
+    return found.unionByName(whole).groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", "best.*")
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame) -> DataFrame:

@@ -240,6 +240,18 @@ def test_names_that_open_sentences_and_names_of_two_words(spark):
     assert (found[1, 0]["first_word"], found[1, 0]["last_word"]) == (2, 2 + 19 + 3) and found[2, 1]["first_word"] == 4
 
 
+def test_items_rich_in_numbers_and_short_items(spark):
+    items = [
+        "Find the next number in the sequence: 2, 4, 8, 16, 32, 64, 128, 256, 512, 1024, 2048.", "What is the capital of France?",
+        "Add 3, 5, 7, 9, 11, 13, 15 and 17 to get 80.", "Name two prime numbers that differ by 2 and lie under 10 please.",
+    ]
+    docs = ["Here it is. " + " And then: ".join(items), "Add 3, 5, 7, 9, 11, 13, 15 and 17 to get 81. What is the capital of Spain?", "what is THE capital of france", "So what. Name two prime numbers that differ by 4 and lie under 20 please."]
+    found = leaks(spark, docs, items)
+    assert set(found) == {(0, 0), (0, 1), (0, 2), (0, 3), (2, 1), (3, 3)}
+    assert found[0, 0]["windows"] >= 4 and all(found[0, i]["exact"] and found[0, i]["coverage"] == 1 for i in range(4)) and not found[3, 3]["exact"]
+    assert (found[2, 1]["first_word"], found[2, 1]["last_word"]) == (0, 6)
+
+
 def test_gradients_of_the_network():
     model = toxicity.Network(np.zeros(0, np.uint64), seed=2)
     text = b"some words of a small text, no more"
