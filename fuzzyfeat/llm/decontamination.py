@@ -4,8 +4,9 @@ A text's template replaces numbers, units after numbers and names by typed place
 punctuation. A name is a run of capitalised words that are no usual openers of a sentence, wherever it stands, so a
 passage has the same template at the head of a sentence as inside one; the run is one slot, however many words it has. Windows of WINDOW template words are hashed and joined by hash
 with those of the benchmark, so a question asked again with other numbers or names meets its original. Matched windows of
-one document and item on one diagonal form a candidate, and its slots must be consistent: each value of the item's slots
-stands for one value in the document, and different values for different ones.
+one document and item on one diagonal form a candidate. A name of the item must stand for one name of the document, and
+different names for different ones: of pairs that disagree the most frequent holds, none if several are, and the windows
+that hold another pair are taken out. Numbers and units may change as they like, to equal ones too.
 
 A document is contaminated by an item if consistent windows on a diagonal cover at least MIN_COVERAGE of the item's
 windows, or LONG_RUN of them. Only windows of at least LEAST_LITERALS different literal words are matched and counted.
@@ -16,7 +17,7 @@ document count once. Empty tables give an empty result.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from fuzzyfeat.session import materialise
@@ -121,17 +122,32 @@ def whole_items(docs: DataFrame, benchmark: DataFrame, wanted: DataFrame, window
     return same.groupBy("doc_id", "item_id").agg(place.alias("e")).select("doc_id", "item_id", "e.*")
 
 
+def without_breaches(rows: DataFrame, window: int = WINDOW) -> DataFrame:
+    """The rows with only those places whose windows hold no name that stands for another one elsewhere on the diagonal."""
+    keys = ["doc_id", "item_id", "diagonal"]
+    pairs = rows.select(*keys, F.explode("names").alias("p")).select(*keys, "p.*")
+    counted = pairs.groupBy(*keys, "a", "b").agg(F.count("*").alias("n"))
+    for c in ("a", "b"):
+        side = Window.partitionBy(*keys, c)
+        counted = counted.withColumn(f"most_{c}", F.max("n").over(side))
+        counted = counted.withColumn(f"ties_{c}", F.count(F.when(F.col("n") == F.col(f"most_{c}"), 1)).over(side))
+    holds = (F.col("n") == F.col("most_a")) & (F.col("n") == F.col("most_b")) & (F.col("ties_a") == 1) & (F.col("ties_b") == 1)
+    breaches = pairs.join(counted.filter(~holds).select(*keys, "a", "b"), [*keys, "a", "b"]).groupBy(keys).agg(F.collect_set("at").alias("breaches"))
+    places = F.filter("places", lambda p: ~F.exists(F.coalesce("breaches", F.array().cast("array<int>")), lambda i: (p <= i) & (i < p + window)))
+    return rows.join(breaches, keys, "left").withColumn("places", places).drop("breaches", "names")
+
+
 def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, min_coverage: float = MIN_COVERAGE, long_run: int = LONG_RUN) -> DataFrame:
     """(doc_id, item_id, windows, coverage, exact, first_word, last_word): a row for each document and item that contaminates it.
 
-    exact: the slots hold the item's own values. first_word and last_word: where the best diagonal's windows begin and end.
+    exact: the slots of all matched windows hold the item's own values. first_word and last_word: where the best diagonal's windows begin and end.
     """
     wanted = materialise(benchmark_windows(benchmark, window))
     small = wanted.count() <= BROADCAST_ROWS
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").filter("doc_id IS NOT NULL AND text IS NOT NULL")
     rows = texts.select("doc_id", F.posexplode(window_hashes(template_words(F.col("text")), window)).alias("at", "h"))
     met = rows.join(F.broadcast(wanted) if small else wanted, "h").withColumn("diagonal", F.col("at") - F.col("item_at"))
-    met = met.groupBy("doc_id", "item_id", "diagonal").agg(F.countDistinct("item_at").alias("windows"), F.max("item_windows").alias("item_windows"), F.max("all_windows").alias("all_windows"), F.min("item_at").alias("low"), F.max("item_at").alias("high"), F.array_sort(F.collect_set("item_at")).alias("places"))
+    met = met.groupBy("doc_id", "item_id", "diagonal").agg(F.countDistinct("item_at").alias("windows"), F.max("item_windows").alias("item_windows"), F.max("all_windows").alias("all_windows"), F.array_sort(F.collect_set("item_at")).alias("places"))
     covered = (F.col("windows") >= min_coverage * F.col("item_windows")) & (F.col("windows") >= F.least(F.lit(FEW_WINDOWS), min_coverage * F.col("all_windows")))
     met = materialise(met.filter(covered | (F.col("windows") >= long_run)))
     # Slot consistency, for the few documents that met an item at all.
@@ -140,14 +156,16 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, mi
     held = texts.join(ids, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", value_words(F.col("text")).alias("doc_values")).withColumn("joints", _joints(F.col("doc_values")))
     items = benchmark.select("item_id", template_words(F.col("text")).alias("item_words"), value_words(F.col("text")).alias("item_values")).distinct()
     both = met.join(held, "doc_id").join(F.broadcast(items) if small else items, "item_id")
-    inside = F.array_distinct(F.flatten(F.transform("places", lambda p: F.sequence(p + 1, p + window))))
-    slots = F.filter(inside, lambda i: F.get("item_words", i - 1).isin(NAME, NUMBER, UNIT))
-    pairs = F.array_distinct(F.transform(slots, lambda i: F.struct(F.get("item_values", i - 1).alias("a"), F.get("doc_values", i - 1 + F.col("diagonal")).alias("b"))))
-    both = both.withColumn("pairs", pairs)
-    consistent = (F.size(F.array_distinct("pairs.a")) == F.size("pairs")) & (F.size(F.array_distinct("pairs.b")) == F.size("pairs"))
-    found = both.filter(consistent).select(
-        "doc_id", "item_id", "windows", (F.col("windows") / F.col("item_windows")).alias("coverage"), F.forall("pairs", lambda p: p["a"].eqNullSafe(p["b"])).alias("exact"),
-        _in_text(F.col("low") + F.col("diagonal")).alias("first_word"), _in_text(F.col("high") + F.col("diagonal") + window).alias("last_word"),
+    inside = F.array_distinct(F.flatten(F.transform("places", lambda p: F.sequence(p, p + (window - 1)))))
+    ours, theirs = (lambda i: F.get("item_values", i)), (lambda i: F.get("doc_values", i + F.col("diagonal")))
+    names = F.transform(F.filter("inside", lambda i: F.get("item_words", i) == NAME), lambda i: F.struct(i.alias("at"), ours(i).alias("a"), theirs(i).alias("b")))
+    changed = F.filter("inside", lambda i: F.get("item_words", i).isin(NAME, NUMBER, UNIT) & ~ours(i).eqNullSafe(theirs(i)))
+    both = both.withColumn("inside", inside).withColumn("names", names).withColumn("changed", changed)
+    both = materialise(both.select(*met.columns, "joints", "names", "changed"))
+    both = without_breaches(both, window)
+    low, high = (F.col("diagonal") + F.array_min("places")), (F.col("diagonal") + F.array_max("places") + window)
+    found = both.withColumn("windows", F.size("places").cast("long")).filter(covered | (F.col("windows") >= long_run)).select(
+        "doc_id", "item_id", "windows", (F.col("windows") / F.col("item_windows")).alias("coverage"), (F.size("changed") == 0).alias("exact"), _in_text(low).alias("first_word"), _in_text(high).alias("last_word")
     )
     best = F.max_by(F.struct("windows", "coverage", "exact", "first_word", "last_word"), F.struct("windows", -F.col("first_word"))).alias("best")
     whole = whole_items(texts, benchmark, wanted, window).select("doc_id", "item_id", F.lit(0).cast("long").alias("windows"), F.lit(1.0).alias("coverage"), F.lit(True).alias("exact"), "first_word", "last_word")

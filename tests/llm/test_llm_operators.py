@@ -252,6 +252,15 @@ def test_items_rich_in_numbers_and_short_items(spark):
     assert (found[2, 1]["first_word"], found[2, 1]["last_word"]) == (0, 6)
 
 
+def test_numbers_may_fall_together_and_a_breach_costs_its_windows(spark):
+    item = "A baker sells 3 loaves before noon and 5 loaves later, then gives 3 loaves to a friend and takes the rest home, where Linda waits."
+    long = "The teacher Linda buys red paper for the whole class at the shop on the corner, walks back to school before the bell and there meets Linda again."
+    docs = [item.replace("3", "4").replace("5", "4"), item.replace("gives 3", "gives 9"), long.replace("meets Linda", "meets Peter").replace("Linda", "Marie")]
+    found = leaks(spark, docs, [item, long])
+    assert set(found) == {(0, 0), (1, 0), (2, 1)} and found[0, 0]["coverage"] == found[1, 0]["coverage"] == 1
+    assert 0.4 <= found[2, 1]["coverage"] < 1 and not any(r["exact"] for r in found.values())
+
+
 def test_gradients_of_the_network():
     model = toxicity.Network(np.zeros(0, np.uint64), seed=2)
     text = b"some words of a small text, no more"
