@@ -8,8 +8,10 @@ one document and item on one diagonal form a candidate. A name of the item must
 different names for different ones: of pairs that disagree the most frequent holds, none if several are, and the windows
 that hold another pair are taken out. Numbers and units may change as they like, to equal ones too.
 
-A document is contaminated by an item if consistent windows on a diagonal cover at least MIN_COVERAGE of the item's
-windows, or LONG_RUN of them. Only windows of at least LEAST_LITERALS different literal words are matched and counted.
+Diagonals of a document and item that lie near each other, as words put in or left out make them, count as one: nearer
+than NEIGHBOURS, and than the item is long, so that copies of an item one after the other stay apart. A document is
+contaminated by an item if their consistent windows together cover at least MIN_COVERAGE of the item's windows, or
+LONG_RUN of them, or if EXACT_RUN words of the item, of which one window matches, stand in it as they are. Only windows of at least LEAST_LITERALS different literal words are matched and counted.
 Items with fewer than FEW_WINDOWS of those, such as items of fewer than WINDOW words, are also looked for word by word,
 whole and with their own values, however short they are; the windows of such a row are 0. Null and empty texts match nothing; rows without doc_id are not reported. Repeated rows of a
 document count once. Empty tables give an empty result.
@@ -23,6 +25,7 @@ from pyspark.sql import functions as F
 from fuzzyfeat.session import materialise
 
 WINDOW, LEAST_LITERALS, MIN_COVERAGE, LONG_RUN = 8, 4, 0.4, 12
+EXACT_RUN, NEIGHBOURS = 13, 64
 FEW_WINDOWS = 4  # so few windows tell little of an item that has more of them
 BROADCAST_ROWS, BROADCAST_IDS = 500_000, 500_000
 NAME, NUMBER, UNIT, JOINT = (chr(0xE000 + i) for i in range(4))  # private-use characters: no text word is one of them
@@ -122,34 +125,51 @@ def whole_items(docs: DataFrame, benchmark: DataFrame, wanted: DataFrame, window
     return same.groupBy("doc_id", "item_id").agg(place.alias("e")).select("doc_id", "item_id", "e.*")
 
 
+def _longest_run(ours, theirs) -> Column:
+    """(words, low, high): the longest run of the item's words that the document has on the diagonal; words counts those of the text."""
+    size = F.size("item_values")
+    differ = F.filter(F.sequence(F.lit(-1), size), lambda i: (i < 0) | (i >= size) | ~ours(i).eqNullSafe(theirs(i)))
+
+    def longest(breaks: Column) -> Column:
+        def run(j: Column) -> Column:
+            low, high = F.get(breaks, j - 1) + 1, F.get(breaks, j)
+            joints = F.size(F.filter(_joints(F.col("item_values")), lambda i: (low <= i) & (i < high)))
+            return F.struct((high - low + joints).alias("words"), low.alias("low"), high.alias("high"))
+
+        return F.array_max(F.transform(F.sequence(F.lit(1), F.size(breaks) - 1), run))
+
+    return F.get(F.transform(F.array(differ), longest), F.lit(0))
+
+
 def without_breaches(rows: DataFrame, window: int = WINDOW) -> DataFrame:
-    """The rows with only those places whose windows hold no name that stands for another one elsewhere on the diagonal."""
-    keys = ["doc_id", "item_id", "diagonal"]
-    pairs = rows.select(*keys, F.explode("names").alias("p")).select(*keys, "p.*")
+    """The rows with only those places whose windows hold no name that stands for another one elsewhere on neighbouring diagonals."""
+    keys = ["doc_id", "item_id", "part"]
+    pairs = rows.select(*keys, "diagonal", F.explode("names").alias("p")).select(*keys, "diagonal", "p.*")
     counted = pairs.groupBy(*keys, "a", "b").agg(F.count("*").alias("n"))
     for c in ("a", "b"):
         side = Window.partitionBy(*keys, c)
         counted = counted.withColumn(f"most_{c}", F.max("n").over(side))
         counted = counted.withColumn(f"ties_{c}", F.count(F.when(F.col("n") == F.col(f"most_{c}"), 1)).over(side))
     holds = (F.col("n") == F.col("most_a")) & (F.col("n") == F.col("most_b")) & (F.col("ties_a") == 1) & (F.col("ties_b") == 1)
-    breaches = pairs.join(counted.filter(~holds).select(*keys, "a", "b"), [*keys, "a", "b"]).groupBy(keys).agg(F.collect_set("at").alias("breaches"))
+    breaches = pairs.join(counted.filter(~holds).select(*keys, "a", "b"), [*keys, "a", "b"]).groupBy(*keys, "diagonal").agg(F.collect_set("at").alias("breaches"))
     places = F.filter("places", lambda p: ~F.exists(F.coalesce("breaches", F.array().cast("array<int>")), lambda i: (p <= i) & (i < p + window)))
-    return rows.join(breaches, keys, "left").withColumn("places", places).drop("breaches", "names")
+    return rows.join(breaches, [*keys, "diagonal"], "left").withColumn("places", places).drop("breaches", "names")
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, min_coverage: float = MIN_COVERAGE, long_run: int = LONG_RUN) -> DataFrame:
+def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, min_coverage: float = MIN_COVERAGE, long_run: int = LONG_RUN, exact_run: int = EXACT_RUN) -> DataFrame:
     """(doc_id, item_id, windows, coverage, exact, first_word, last_word): a row for each document and item that contaminates it.
 
-    exact: the slots of all matched windows hold the item's own values. first_word and last_word: where the best diagonal's windows begin and end.
+    exact: the slots of all matched windows hold the item's own values. first_word and last_word: where the windows and runs of the best diagonals begin and end.
     """
     wanted = materialise(benchmark_windows(benchmark, window))
     small = wanted.count() <= BROADCAST_ROWS
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").filter("doc_id IS NOT NULL AND text IS NOT NULL")
     rows = texts.select("doc_id", F.posexplode(window_hashes(template_words(F.col("text")), window)).alias("at", "h"))
     met = rows.join(F.broadcast(wanted) if small else wanted, "h").withColumn("diagonal", F.col("at") - F.col("item_at"))
-    met = met.groupBy("doc_id", "item_id", "diagonal").agg(F.countDistinct("item_at").alias("windows"), F.max("item_windows").alias("item_windows"), F.max("all_windows").alias("all_windows"), F.array_sort(F.collect_set("item_at")).alias("places"))
-    covered = (F.col("windows") >= min_coverage * F.col("item_windows")) & (F.col("windows") >= F.least(F.lit(FEW_WINDOWS), min_coverage * F.col("all_windows")))
-    met = materialise(met.filter(covered | (F.col("windows") >= long_run)))
+    met = met.groupBy("doc_id", "item_id", "diagonal").agg(F.max("item_windows").alias("item_windows"), F.max("all_windows").alias("all_windows"), F.collect_set("item_at").alias("places"))
+    order = Window.partitionBy("doc_id", "item_id").orderBy("diagonal")
+    apart = F.col("diagonal") - F.lag("diagonal").over(order) >= F.least(F.lit(NEIGHBOURS), F.col("all_windows") + (window - 1))
+    met = materialise(met.withColumn("apart", F.coalesce(apart.cast("int"), F.lit(0))).withColumn("part", F.sum("apart").over(order)).drop("apart"))
     # Slot consistency, for the few documents that met an item at all.
     ids = met.select("doc_id").distinct()
     ids = F.broadcast(ids) if met.count() <= BROADCAST_IDS else ids
@@ -161,12 +181,17 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, mi
     names = F.transform(F.filter("inside", lambda i: F.get("item_words", i) == NAME), lambda i: F.struct(i.alias("at"), ours(i).alias("a"), theirs(i).alias("b")))
     changed = F.filter("inside", lambda i: F.get("item_words", i).isin(NAME, NUMBER, UNIT) & ~ours(i).eqNullSafe(theirs(i)))
     both = both.withColumn("inside", inside).withColumn("names", names).withColumn("changed", changed)
-    both = materialise(both.select(*met.columns, "joints", "names", "changed"))
-    both = without_breaches(both, window)
-    low, high = (F.col("diagonal") + F.array_min("places")), (F.col("diagonal") + F.array_max("places") + window)
-    found = both.withColumn("windows", F.size("places").cast("long")).filter(covered | (F.col("windows") >= long_run)).select(
-        "doc_id", "item_id", "windows", (F.col("windows") / F.col("item_windows")).alias("coverage"), (F.size("changed") == 0).alias("exact"), _in_text(low).alias("first_word"), _in_text(high).alias("last_word")
+    both = both.withColumn("run", _longest_run(ours, theirs))
+    both = without_breaches(materialise(both.select(*met.columns, "joints", "names", "changed", "run")), window)
+    shown = lambda c: F.when(F.col("run.words") >= exact_run, F.col(f"run.{c}"))
+    low = F.col("diagonal") + F.least(F.array_min("places"), shown("low"))
+    high = F.col("diagonal") + F.greatest(F.array_max("places") + window, shown("high"))
+    found = both.withColumn("first_word", _in_text(low)).withColumn("last_word", _in_text(high)).groupBy("doc_id", "item_id", "part").agg(
+        F.size(F.array_distinct(F.flatten(F.collect_list("places")))).cast("long").alias("windows"), F.max("item_windows").alias("item_windows"), F.max("all_windows").alias("all_windows"),
+        F.bool_and(F.size("changed") == 0).alias("exact"), F.min("first_word").alias("first_word"), F.max("last_word").alias("last_word"), F.max("run.words").alias("run"),
     )
+    covered = (F.col("windows") >= min_coverage * F.col("item_windows")) & (F.col("windows") >= F.least(F.lit(FEW_WINDOWS), min_coverage * F.col("all_windows")))
+    found = found.filter(covered | (F.col("windows") >= long_run) | (F.col("run") >= exact_run)).select("doc_id", "item_id", "windows", (F.col("windows") / F.col("item_windows")).alias("coverage"), "exact", "first_word", "last_word")
     best = F.max_by(F.struct("windows", "coverage", "exact", "first_word", "last_word"), F.struct("windows", -F.col("first_word"))).alias("best")
     whole = whole_items(texts, benchmark, wanted, window).select("doc_id", "item_id", F.lit(0).cast("long").alias("windows"), F.lit(1.0).alias("coverage"), F.lit(True).alias("exact"), "first_word", "last_word")
     return found.unionByName(whole).groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", "best.*")

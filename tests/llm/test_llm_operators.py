@@ -261,6 +261,19 @@ def test_numbers_may_fall_together_and_a_breach_costs_its_windows(spark):
     assert 0.4 <= found[2, 1]["coverage"] < 1 and not any(r["exact"] for r in found.values())
 
 
+def test_passages_and_items_with_words_put_in(spark):
+    g = np.random.default_rng(3)
+    word = lambda: "".join(g.choice(list("bcdfglmnprstaeiou"), 7))
+    words, short = [word() for _ in range(57)], [word() for _ in range(34)]
+    mixed = lambda n: [word() for _ in range(n)]
+    parted = short[:12] + mixed(9) + short[12:22] + mixed(6) + short[22:]
+    docs = [mixed(9) + words[20:38] + mixed(9), mixed(5) + words[20:32] + mixed(5), mixed(4) + parted + mixed(3), mixed(3) + short[:12] + mixed(200) + short[12:15]]
+    found = leaks(spark, [" ".join(d) for d in docs], [" ".join(words), " ".join(short)])
+    assert set(found) == {(0, 0), (2, 1)}
+    assert (found[0, 0]["first_word"], found[0, 0]["last_word"], found[0, 0]["windows"], found[0, 0]["exact"]) == (9, 27, 11, True)
+    assert found[2, 1]["windows"] == 5 + 3 + 5 and (found[2, 1]["first_word"], found[2, 1]["last_word"]) == (4, 53)
+
+
 def test_gradients_of_the_network():
     model = toxicity.Network(np.zeros(0, np.uint64), seed=2)
     text = b"some words of a small text, no more"
