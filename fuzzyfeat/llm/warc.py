@@ -197,6 +197,8 @@ class WarcReader(DataSourceReader):
                 row = {c: fields.get(f) for c, f in FIELDS.items()}
                 for c in ("record_id", "refers_to"):
                     row[c] = row[c] and row[c].strip("<>")
+                given = row["payload_digest"]
+                row["payload_digest"] = given and given.removeprefix("sha1:")  # predicates are tested on the column's value
                 if not self._wanted(row):
                     stream.skip(size)
                     continue
@@ -205,13 +207,12 @@ class WarcReader(DataSourceReader):
                 if self.payload and row["record_type"] == "response":
                     block = stream.read(size)
                     payload = block.partition(b"\r\n\r\n")[2] if fields.get("content-type", "").startswith("application/http") else block
-                    if row["payload_digest"] and row["payload_digest"] != "sha1:" + sha1_base32(payload):
+                    if given and given != "sha1:" + sha1_base32(payload):
                         raise ValueError(f"{partition.path}: the payload of {row['record_id']} doesn't have its digest")
                     length = len(payload)
                 else:
                     stream.skip(size)
-                digest = row["payload_digest"] and row["payload_digest"].removeprefix("sha1:")
-                yield row["record_type"], row["record_id"], row["target_uri"], digest, row["refers_to"], length, payload, fields
+                yield row["record_type"], row["record_id"], row["target_uri"], row["payload_digest"], row["refers_to"], length, payload, fields
 
 
 class WarcSource(DataSource):

@@ -133,6 +133,16 @@ def test_warc_round_trip(spark, tmp_path):
     assert warc.write_warc(df.filter("page_id < 0"), str(tmp_path / "none")) == [] and warc.read_warc(spark, []).count() == 0
 
 
+def test_warc_filters_on_digests(spark, tmp_path):
+    df = spark.createDataFrame([(1, "http://a.example/", "<p>a</p>"), (2, "http://b.example/", "<p>b</p>"), (3, "http://c.example/", "<p>c</p>")], "page_id long, url string, html string")
+    records = warc.read_warc(spark, warc.write_warc(df, str(tmp_path / "w")))
+    a, b = (base64.b32encode(hashlib.sha1(x).digest()).decode() for x in (b"<p>a</p>", b"<p>b</p>"))
+    urls = lambda c: sorted(r["target_uri"][7] for r in records.filter(c).select("target_uri").collect())
+    digest = F.col("payload_digest")
+    assert (urls(digest == a), urls(digest.isin(a, b)), urls(digest.startswith(b[:12]))) == (["a"], ["a", "b"], ["b"])
+    assert urls(digest == "sha1:" + a) == []
+
+
 def test_nearest(spark, tmp_path):
     g = np.random.default_rng(1)
     v = g.standard_normal((600, 16))
