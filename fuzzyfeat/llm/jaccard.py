@@ -4,17 +4,18 @@ Words are runs of characters other than U+0020 and U+0009-U+000D, A-Z lower-case
 k-word shingles (all its words as one shingle, if it has fewer than k). Two documents link when
 denominator * |intersection| >= numerator * |union|.
 
-The steps, each of them linear in its input:
+The steps:
 
 1. A counting sketch over the shingles of all documents gives one order of shingles for all, rare ones first. Two linked
    sets of that order share one of their first n - ceil(t n) + 1 shingles (the prefix). Any common order is right; this
    one keeps what thousands of documents share out of the prefixes.
 2. Documents with equal sets collapse into one; those with the same size and prefix collapse into a group.
-3. Groups meet in the buckets of their prefix shingles. No bucket emits all its pairs: each member is compared with the
-   bucket's least member (its pivot), and so are those that it left unlinked, in a second round. Since 1 - Jaccard is a
-   metric, two members whose distances from a pivot differ by more than 1 - t cannot link.
-4. Only pairs that no pivot rules out and that are not in one component yet are compared themselves, after expansion
-   of the groups to their members. Sizes and class counts of the sets rule out most pairs before any set is fetched.
+3. Groups meet in the buckets of their prefix shingles. Sizes, and what is left of both sets behind the first shingle that
+   they share, rule a pair out inside the join. First each member meets the bucket's least member (its pivot), so a bucket
+   of copies costs one comparison for each.
+4. What is left are members of one bucket in different components. The bucket's largest component stays whole on one side
+   of the join, so copies never meet each other; sizes are part of its key.
+5. Pairs that are left expand to the members of their groups; signatures rule out what can't link, and sets are compared.
 
 Rows of a null or empty text, or of one without words, have an empty set and link with nothing. doc_id is the key: rows
 repeated as a whole come back as often as they went in, with one component.
@@ -22,7 +23,8 @@ repeated as a whole come back as often as they went in, with one component.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import math
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -31,11 +33,10 @@ from pyspark.sql import functions as F
 
 from fuzzyfeat.llm import _text
 from fuzzyfeat.llm._graph import components
-from fuzzyfeat.session import materialise, prepare
+from fuzzyfeat.session import materialise, prepare, scratch
 
 SKETCH_BITS = 20
 SKETCH_PART = 14
-LEAST_CLASSES, MOST_CLASSES = 16, 4096
 BROADCAST_IDS = 500_000
 _SIGNED = np.int64
 
@@ -103,9 +104,20 @@ def _sums(values: np.ndarray, doc: np.ndarray, n_docs: int) -> np.ndarray:
     return total[bounds[1:]] - total[bounds[:-1]]
 
 
-def class_count(n: np.ndarray) -> np.ndarray:
-    """Classes that a set of n is counted in: the power of two at n / 8, within bounds. A shingle's class is its hash modulo that."""
-    return np.clip(2 ** np.floor(np.log2(np.maximum(1, n / 8))).astype(np.int64), LEAST_CLASSES, MOST_CLASSES)
+def signature_bits(n: np.ndarray) -> np.ndarray:
+    """Bits of the signature of a set of n: the least power of two that holds n, 64 at least."""
+    return 2 ** np.ceil(np.log2(np.maximum(64, n))).astype(np.int64)
+
+
+def signatures(values: np.ndarray, doc: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Parity signatures as 64-bit words, and their bounds: bit i tells if an odd number of shingles have i as hash modulo the bits.
+
+    Two signatures of one length differ in at most |A xor B| bits; folding the halves by xor gives that of half the length.
+    """
+    bits = signature_bits(n)
+    begin = np.concatenate([[0], np.cumsum(bits)])
+    odd = np.bincount(begin[doc] + (values & (bits[doc] - 1).astype(np.uint64)).astype(np.int64), minlength=begin[-1]) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view("<i8"), begin // 64
 
 
 def _profile_rows(k: int, numerator: int, denominator: int, levels):
@@ -116,13 +128,11 @@ def _profile_rows(k: int, numerator: int, denominator: int, levels):
             for first, end, data, offsets in _text.runs(texts):
                 values, bounds = _text.shingle_sets(data, offsets, k)
                 ordered, doc = _ordered(values, bounds, level)
-                per = class_count(np.diff(bounds))
-                begin = np.concatenate([[0], np.cumsum(per)])
-                counts = np.bincount(begin[doc] + (ordered & (per[doc] - 1).astype(np.uint64)).astype(np.int64), minlength=begin[-1])
                 inside = _in_prefix(bounds, doc, numerator, denominator)
                 sums = [_sums(_text.mix(x), d, end - first) for x, d in ((ordered, doc), (ordered ^ np.uint64(0x5BD1E995), doc), (ordered[inside] + np.uint64(9), doc[inside]))]
-                classes = pa.ListArray.from_arrays(pa.array(begin, pa.int32()), pa.array(np.minimum(counts, 32767), pa.int16()))
-                yield pa.RecordBatch.from_arrays([pa.array(ids[first:end]), pa.array(np.diff(bounds), pa.int64()), *(pa.array(x.view(_SIGNED)) for x in sums), classes], ["doc_id", "n", "d1", "d2", "g", "classes"])
+                words, begin = signatures(ordered, doc, np.diff(bounds))
+                signature = pa.ListArray.from_arrays(pa.array(begin, pa.int32()), pa.array(words))
+                yield pa.RecordBatch.from_arrays([pa.array(ids[first:end]), pa.array(np.diff(bounds), pa.int64()), *(pa.array(x.view(_SIGNED)) for x in sums), signature], ["doc_id", "n", "d1", "d2", "g", "signature"])
 
     return work
 
@@ -136,7 +146,8 @@ def _posting_rows(k: int, numerator: int, denominator: int, levels):
                 values, bounds = _text.shingle_sets(data, offsets, k)
                 ordered, doc = _ordered(values, bounds, level)
                 inside = _in_prefix(bounds, doc, numerator, denominator)
-                yield pa.RecordBatch.from_arrays([pa.array(ordered[inside].view(_SIGNED)), pa.array(ids[first:end][doc[inside]])], ["token", "node"])
+                n, at = np.diff(bounds)[doc], np.arange(len(doc)) - bounds[doc]
+                yield pa.RecordBatch.from_arrays([pa.array(ordered[inside].view(_SIGNED)), pa.array(ids[first:end][doc[inside]]), pa.array(n[inside], pa.int32()), pa.array(at[inside], pa.int32())], ["token", "node", "n", "at"])
 
     return work
 
@@ -159,38 +170,43 @@ def _anew(name: str):
 
 
 class _Comparer:
-    """Compares pairs of nodes: by the sizes and class counts of their sets, and by the sets where those don't decide."""
+    """Compares pairs of nodes: by the signatures of their sets, and by the sets where those don't decide."""
 
     def __init__(self, docs: DataFrame, light: DataFrame, k: int, numerator: int, denominator: int):
         self.docs, self.light, self.k, self.numerator, self.denominator = docs, light, k, numerator, denominator
 
-    def may_link(self, pairs: DataFrame) -> DataFrame:
-        """The pairs (u, v) with what the sizes and class counts say.
+    def may_meet(self, n: str, at: str, n2: str, at2: str):
+        """If two sets of n and n2 shingles can link whose first common shingle is their at-th and at2-th (from 0).
 
-        |A xor B| is at least the sum x of the differences of the class counts, so the distance is at least 2x / (|A| + |B| + x).
+        They link with numerator * (n + n2) <= (numerator + denominator) * |A and B| only, and what they share lies behind those.
         """
-        for side in ("u", "v"):
-            pairs = pairs.join(self.light.select(F.col("node").alias(side), F.col("n").alias(f"n_{side}"), F.col("classes").alias(f"c_{side}")), side)
-        pairs = pairs.withColumn("x", self.apart("c_u", "c_v", "n_u", "n_v")).withColumn("total", F.col("n_u") + F.col("n_v"))
-        return pairs.select("u", "v", (2 * F.col("x") / (F.col("total") + F.col("x"))).alias("least"), (F.col("x") * (self.numerator + self.denominator) <= F.col("total") * (self.denominator - self.numerator)).alias("may"))
+        n, at, n2, at2 = (F.col(c).cast("long") for c in (n, at, n2, at2))
+        return (F.least(n, n2) * self.denominator >= F.greatest(n, n2) * self.numerator) & (F.least(n - at, n2 - at2) * (self.numerator + self.denominator) >= (n + n2) * self.numerator)
+
+    def may_link(self, pairs: DataFrame) -> DataFrame:
+        """The pairs (u, v) that sizes and signatures don't rule out: these differ in at most |A xor B| bits."""
+        sides = (self.light.select(F.col("node").alias(side), F.col("n").alias(f"n_{side}"), F.col("signature").alias(f"s_{side}")) for side in ("u", "v"))
+        x, total = self.apart("s_u", "s_v", "n_u", "n_v"), F.col("n_u") + F.col("n_v")
+        may = x * (self.numerator + self.denominator) <= total * (self.denominator - self.numerator)
+        left, right = sides
+        return pairs.join(left, "u").join(right.withColumnRenamed("v", "w"), (F.col("v") == F.col("w")) & may).select("u", "v")
 
     @classmethod
     def apart(cls, a: str, b: str, n_a: str, n_b: str):
-        """A lower bound of |A xor B|: the differences of the class counts, or of the sizes alone.
+        """A lower bound of |A xor B|: the bits in which the signatures differ, or the difference of the sizes.
 
-        Sets of sizes that can link have at most twice as many classes as each other; the sizes speak for the others.
+        Sets of sizes that can link have signatures of one length or of twice that; the sizes speak for the others.
         """
         one, two, sizes = cls._folded(a, b), cls._folded(b, a), F.abs(F.col(n_a) - F.col(n_b))
-        counted = F.aggregate(F.zip_with(one, two, lambda x, y: F.abs(x - y)), F.lit(0), lambda s, x: s + x).cast("long")
-        return F.when(F.size(one) == F.size(two), F.greatest(counted, sizes)).otherwise(sizes)
+        bits = F.aggregate(F.zip_with(one, two, lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x).cast("long")
+        return F.when(F.size(one) == F.size(two), F.greatest(bits, sizes)).otherwise(sizes)
 
     @staticmethod
     def _folded(a: str, b: str):
-        """Counts a in half as many classes, if b has fewer."""
+        """Signature a in half as many bits, if b has fewer."""
         half = (F.size(a) / 2).cast("int")
-        added = F.zip_with(F.slice(a, F.lit(1), half), F.slice(a, half + 1, half), lambda x, y: x.cast("int") + y.cast("int"))
-        whole = F.col(a).cast("array<int>")
-        return F.when(F.size(a) > F.size(b), added).otherwise(whole)
+        folded = F.zip_with(F.slice(a, F.lit(1), half), F.slice(a, half + 1, half), lambda x, y: x.bitwiseXOR(y))
+        return F.when(F.size(a) > F.size(b), folded).otherwise(F.col(a))
 
     def texts_of(self, ids: DataFrame) -> DataFrame:
         """The documents with the given ids; these are broadcast to the scan only up to a checked count."""
@@ -199,19 +215,16 @@ class _Comparer:
     def sets_of(self, ids: DataFrame) -> DataFrame:
         """(node, s) of the nodes in ids."""
         texts = self.texts_of(materialise(ids.distinct()))
-        return materialise(texts.mapInArrow(_set_rows(self.k), "node long, s array<long>").filter(F.size("s") > 0).dropDuplicates(["node"]))
+        return texts.mapInArrow(_set_rows(self.k), "node long, s array<long>").filter(F.size("s") > 0).dropDuplicates(["node"])
 
-    def compare(self, pairs: DataFrame) -> DataFrame:
-        """(u, v, distance, exact, linked): 1 - Jaccard, or a lower bound of it where exact is false."""
-        pairs = materialise(self.may_link(pairs))
-        unlike = pairs.filter("not may").select("u", "v", F.col("least").alias("distance"), F.lit(False).alias("exact"), F.lit(False).alias("linked"))
-        like = pairs.filter("may").select("u", "v")
+    def linked(self, pairs: DataFrame) -> DataFrame:
+        """The pairs (u, v) that link."""
+        like = materialise(self.may_link(pairs))
         sets = self.sets_of(like.select(F.col("u").alias("doc_id")).unionByName(like.select(F.col("v").alias("doc_id"))))
         met = like.join(sets.select(F.col("node").alias("u"), F.col("s").alias("su")), "u").join(sets.select(_anew("node").alias("v"), F.col("s").alias("sv")), "v")
         met = met.withColumn("both", F.size(F.array_intersect("su", "sv")).cast("long"))
         met = met.withColumn("all", F.size("su") + F.size("sv") - F.col("both"))
-        met = met.select("u", "v", (1 - F.col("both") / F.col("all")).alias("distance"), F.lit(True).alias("exact"), (F.col("both") * self.denominator >= F.col("all") * self.numerator).alias("linked"))
-        return materialise(met.unionByName(unlike))
+        return materialise(met.filter(F.col("both") * self.denominator >= F.col("all") * self.numerator).select("u", "v"))
 
 
 def jaccard_components(docs: DataFrame, k: int = 5, threshold: tuple[int, int] = (80, 100), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -226,33 +239,28 @@ def jaccard_components(docs: DataFrame, k: int = 5, threshold: tuple[int, int] =
     nameless = docs.filter("doc_id IS NULL").select(F.lit(0).cast("long").alias("doc_id"), "text").mapInArrow(_set_rows(k), "node long, s array<long>")
     docs = docs.filter("doc_id IS NOT NULL")
     levels = spark.sparkContext.broadcast(_levels(shingle_sketch(docs, k)))
-    profile = materialise(docs.mapInArrow(_profile_rows(k, numerator, denominator, levels), "doc_id long, n long, d1 long, d2 long, g long, classes array<smallint>"))
+    profile = materialise(docs.mapInArrow(_profile_rows(k, numerator, denominator, levels), "doc_id long, n long, d1 long, d2 long, g long, signature array<long>"))
     # Equal sets collapse; of each, the least id is the node.
-    nodes = materialise(profile.filter("n > 0").groupBy("n", "d1", "d2").agg(F.min("doc_id").alias("node"), F.min("g").alias("g"), F.min("classes").alias("classes")))
+    nodes = materialise(profile.filter("n > 0").groupBy("n", "d1", "d2").agg(F.min(F.struct("doc_id", "g", "signature")).alias("x")).select("n", "d1", "d2", F.col("x.doc_id").alias("node"), "x.g", "x.signature"))
     # Equal size and prefix: one group, whose least node leads it.
-    groups = nodes.groupBy("n", "g").agg(F.min("node").alias("leader"), F.count("*").alias("members"))
-    members = materialise(nodes.join(groups.select(_anew("n"), "g", "leader", "members"), ["n", "g"]).select("node", "leader", "n", "classes", "members"))
-    comparer = _Comparer(docs, members.select("node", "n", "classes"), k, numerator, denominator)
+    groups = nodes.groupBy("n", "g").agg(F.min("node").alias("leader"))
+    members = materialise(nodes.select("n", "g", "node").join(groups.select(_anew("n"), "g", "leader"), ["n", "g"]).select("node", "leader", "n"))
+    comparer = _Comparer(docs, nodes.select("node", "n", "signature"), k, numerator, denominator)
     leaders = comparer.texts_of(members.filter("node = leader").select(F.col("node").alias("doc_id")))
-    postings = leaders.mapInArrow(_posting_rows(k, numerator, denominator, levels), "token long, node long")
-    pivots = postings.groupBy("token").agg(F.min("node").alias("pivot"), F.count("*").alias("held")).filter("held > 1")
-    shared = materialise(postings.join(pivots.select(_anew("token"), "pivot"), "token"))
-    # Round 1: members with their leader, and buckets with their pivot.
-    inside = members.filter("node != leader").select(F.col("node").alias("u"), F.col("leader").alias("v"))
-    first = shared.filter("node != pivot").select(F.col("node").alias("u"), F.col("pivot").alias("v")).distinct()
-    seen = comparer.compare(inside.unionByName(first))
-    # Round 2: what the pivot left unlinked, with the least of that.
-    rest = shared.join(seen.filter("linked").select(F.col("u").alias("node"), F.col("v").alias("pivot")), ["node", "pivot"], "left_anti").filter("node != pivot").select("token", "node")
-    second = rest.groupBy("token").agg(F.min("node").alias("pivot"), F.count("*").alias("held")).filter("held > 1")
-    again = materialise(rest.join(second.select(_anew("token"), "pivot"), "token").filter("node != pivot").select(F.col("node").alias("u"), F.col("pivot").alias("v")).distinct().join(seen.select("u", "v"), ["u", "v"], "left_anti"))
-    if not again.isEmpty():
-        seen = seen.unionByName(comparer.compare(again))
-    linked = seen.filter("linked").select("u", "v")
-    labels = components(linked)
-    # What remains: pairs of a bucket in two components that neither pivot rules out.
-    last = materialise(_remaining(comparer, shared, members, seen, labels))
+    postings = leaders.mapInArrow(_posting_rows(k, numerator, denominator, levels), "token long, node long, n int, at int")
+    pivots = postings.groupBy("token").agg(F.min(F.struct("node", "n", "at")).alias("p"), F.count("*").alias("held")).filter("held > 1")
+    joined = postings.join(pivots.select(_anew("token"), F.col("p.node").alias("pivot"), F.col("p.n").alias("n2"), F.col("p.at").alias("at2")), "token")
+    with scratch(spark) as keep:
+        shared = keep(joined)
+        # Members with their leader, and buckets with their pivot.
+        inside = members.filter("node != leader").select(F.col("node").alias("u"), F.col("leader").alias("v"))
+        first = shared.filter("node != pivot").filter(comparer.may_meet("n", "at", "n2", "at2")).select(F.col("node").alias("u"), F.col("pivot").alias("v")).distinct()
+        seen = materialise(inside.unionByName(first))
+        linked = comparer.linked(seen)
+        labels = components(linked)
+        last = _remaining(comparer, shared, members, seen, labels, keep)
     if not last.isEmpty():
-        more = comparer.compare(last).filter("linked").select("u", "v")
+        more = comparer.linked(last)
         if not more.isEmpty():
             labels = components(linked.unionByName(more))
     # Back to rows: node -> component, then every document through its set.
@@ -277,36 +285,31 @@ def drop_near_duplicates(docs: DataFrame, k: int = 5, threshold: tuple[int, int]
     return kept.filter("doc_id IS NOT NULL").dropDuplicates(["doc_id"]).unionByName(kept.filter("doc_id IS NULL"))
 
 
-def _remaining(comparer: _Comparer, shared: DataFrame, members: DataFrame, seen: DataFrame, labels: DataFrame) -> DataFrame:
-    """Pairs (u, v) of nodes that may link although no comparison so far has joined them."""
-    numerator, denominator = comparer.numerator, comparer.denominator
-    slack = 1 - numerator / denominator + 1e-9
-    loose = members.join(labels.withColumnRenamed("component", "known"), "node", "left").withColumn("component", F.coalesce("known", "node")).drop("known")
-    # A group reaches as far from its leader as its farthest member; a bound from below says nothing about that.
-    own = seen.select(F.col("u").alias("node"), F.col("v").alias("leader"), F.when(F.col("exact"), F.col("distance")).otherwise(1.0).alias("reach"))
-    state = loose.join(own, ["node", "leader"], "left").groupBy("leader").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.max("n").alias("size"), F.max(F.coalesce("reach", F.lit(0.0))).alias("radius"))
-    lead = members.filter("node = leader").select(_anew("leader"), "classes")
-    state = materialise(state.join(lead, "leader"))
-    posts = shared.select("token", "pivot", F.col("node").alias("leader")).join(state.select(_anew("leader"), "low", "high", "size", "radius", "classes"), "leader")
-    apart = seen.select(F.col("u").alias("leader"), F.col("v").alias("pivot"), "distance", "exact")
-    posts = posts.join(apart, ["leader", "pivot"], "left").withColumn("exact", (F.col("leader") == F.col("pivot")) | F.coalesce("exact", F.lit(False))).withColumn("distance", F.when(F.col("leader") == F.col("pivot"), 0.0).otherwise(F.coalesce("distance", F.lit(0.0))))
-    mixed = posts.groupBy("token").agg(F.min("low").alias("a"), F.max("high").alias("b")).filter("a < b").select(_anew("token"))
-    posts = materialise(posts.join(mixed, "token", "left_semi").select("token", "leader", "low", "high", "size", "radius", "distance", "exact", "classes"))
-    other = posts.select(*(F.col(c).alias(f"{c}2") for c in posts.columns))
-    # d(x, y) >= d(y, p) - d(x, p): with d(x, p) exact and d(y, p) exact or bounded from below.
-    gap = F.greatest(F.when(F.col("exact"), F.col("distance2") - F.col("distance")).otherwise(0.0), F.when(F.col("exact2"), F.col("distance") - F.col("distance2")).otherwise(0.0))
-    near = gap <= slack + F.col("radius") + F.col("radius2")
-    one = (F.col("low") == F.col("high")) & (F.col("low") == F.col("low2")) & (F.col("low2") == F.col("high2"))
-    sizes = F.least("size", "size2") * denominator >= F.greatest("size", "size2") * numerator
-    # What the class counts rule out never leaves the join.
-    x = comparer.apart("classes", "classes2", "size", "size2")
-    alike = 2 * x / (F.col("size") + F.col("size2") + x) <= slack + F.col("radius") + F.col("radius2")
-    met = posts.join(other, (F.col("token") == F.col("token2")) & (F.col("leader") < F.col("leader2")) & sizes & near & ~one & alike)
-    pairs = met.select(F.col("leader").alias("a"), F.col("leader2").alias("b")).distinct()
-    # Expand the groups: across pairs, and within groups that hold a member unlike their leader.
-    odd = loose.join(labels.select("node"), "node", "left_anti").filter("node != leader").select("leader").distinct()
+def _remaining(comparer: _Comparer, shared: DataFrame, members: DataFrame, seen: DataFrame, labels: DataFrame, keep: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """Pairs (u, v) of nodes in two components that share a bucket, may link, and have not been compared."""
+    known = members.join(labels.withColumnRenamed("component", "known"), "node", "left").withColumn("component", F.coalesce("known", "node")).drop("known")
+    known = materialise(known.select("node", "leader", "component"))
+    state = known.groupBy("leader").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("nodes"))
+    posts = shared.select("token", F.col("node").alias("leader"), "n", "at", (F.col("node") == F.col("pivot")).alias("lead")).join(state.withColumn("leader", F.col("leader") + F.lit(0)), "leader")
+    # Of each bucket: its largest component, and whether there are two. All have met a pivot that is alone in its group, if they are, too.
+    held = posts.groupBy("token", "low", "high").agg(F.count("*").alias("c"), F.sum(F.col("lead").cast("int")).alias("leads"), F.max("nodes").alias("nodes"))
+    pure = F.col("low") == F.col("high")
+    mixed = held.groupBy("token").agg(F.max(F.when(pure, F.struct("c", "low"))).alias("top"), F.count("*").alias("all"), F.count(F.when(F.col("c") > F.col("leads"), 1)).alias("others"), F.max(~pure).alias("odd"), F.max("nodes").alias("most"))
+    mixed = mixed.filter("odd OR CASE WHEN most > 1 THEN all ELSE others END > 1")
+    posts = posts.join(mixed.select(_anew("token"), F.col("top.low").alias("top"), "most"), "token").filter("NOT lead OR most > 1")
+    # Sets of sizes that can link lie in one step of this scale, or in neighbouring ones.
+    ratio = comparer.denominator / comparer.numerator
+    step = F.floor(F.log(F.col("n").cast("double")) / math.log(ratio + 1e-9)) if ratio > 1 else F.col("n").cast("long")
+    posts = keep(posts.select("token", "leader", "n", "at", "low", "high", step.alias("step"), (~pure | (F.col("low") != F.coalesce("top", F.lit(-1)))).alias("minor")))
+    few = posts.filter("minor").withColumn("step", F.explode(F.array(F.col("step") - 1, F.col("step"), F.col("step") + 1)))
+    few = few.select("token", "step", *(F.col(c).alias(f"{c}2") for c in ("leader", "n", "at", "low", "high")))
+    once = ~F.col("minor") | (F.col("leader") < F.col("leader2"))
+    one = pure & (F.col("low") == F.col("low2")) & (F.col("low2") == F.col("high2"))
+    met = posts.join(few, ["token", "step"]).filter((F.col("leader") != F.col("leader2")) & once & ~one & comparer.may_meet("n", "at", "n2", "at2"))
+    pairs = met.select(F.least("leader", "leader2").alias("a"), F.greatest("leader", "leader2").alias("b")).distinct()
+    # Expand the groups: across pairs, and within groups that hold two components.
+    odd = state.filter("low != high").select("leader")
     pairs = pairs.unionByName(odd.select(F.col("leader").alias("a"), F.col("leader").alias("b")))
-    side = loose.select("leader", "node", "component")
+    side = known.select("leader", "node", "component")
     expanded = pairs.join(side.toDF("a", "x", "kx"), "a").join(side.toDF("b", "y", "ky"), "b").filter("kx != ky")
-    both = expanded.select(F.greatest("x", "y").alias("u"), F.least("x", "y").alias("v")).distinct().join(seen.select("u", "v"), ["u", "v"], "left_anti")
-    return comparer.may_link(both).filter("may").select("u", "v")
+    return materialise(expanded.select(F.greatest("x", "y").alias("u"), F.least("x", "y").alias("v")).distinct().join(seen, ["u", "v"], "left_anti"))
