@@ -4,7 +4,11 @@ from __future__ import annotations
 
 import os
 import tempfile
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
+from itertools import count
 from pathlib import Path
+from uuid import uuid4
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -35,7 +39,7 @@ def prepare(spark: SparkSession) -> SparkSession:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir, which driver and executors share; a temporary one only where it is unset (tests, local mode)."""
+    """The folder of spark.checkpoint.dir, which driver and executors share; a temporary one only in local mode, where it is unset."""
     context = spark.sparkContext
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
@@ -43,6 +47,8 @@ def shared_folder(spark: SparkSession) -> str:
             context.setCheckpointDir(named)
         return named
     if not context.getCheckpointDir():
+        if not context.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         context.setCheckpointDir(tempfile.mkdtemp(prefix="fuzzyfeat-"))
     return context.getCheckpointDir()
 
@@ -51,3 +57,29 @@ def materialise(df: DataFrame) -> DataFrame:
     """Compute once, cut the lineage, and keep the rows in the shared folder, so that a lost executor costs nothing."""
     shared_folder(df.sparkSession)
     return df.checkpoint(eager=True)
+
+
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[Callable[[DataFrame], DataFrame]]:
+    """A function that writes a table to the shared folder and reads it back; its tables are deleted at the end of the block.
+
+    Unlike checkpoints, these are compressed columns, of which later reads take only those they need.
+    """
+    folder = f"{shared_folder(spark).rstrip('/')}/scratch-{uuid4().hex}"
+    number = count()
+
+    def keep(df: DataFrame) -> DataFrame:
+        path = f"{folder}/{next(number)}"
+        df.write.parquet(path)
+        return spark.read.schema(df.schema).parquet(path)
+
+    try:
+        yield keep
+    finally:
+        remove(spark, folder)
+
+
+def remove(spark: SparkSession, folder: str) -> None:
+    """Delete a folder that this package wrote, by way of Spark's file systems."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
