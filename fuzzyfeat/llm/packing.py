@@ -22,30 +22,29 @@ from pyspark.sql import functions as F
 
 from fuzzyfeat.session import materialise, prepare
 
-CAPACITY, END_ID, RANKED_TOGETHER = 1024, 2, 1024
+CAPACITY, END_ID, RANKED_TOGETHER, SALTS_TOGETHER = 1024, 2, 1024, 4096
 
 
 @lru_cache(maxsize=2)
 def encoder(vocabulary: str):
-    """text -> ids. The rank file beside the vocabulary gives the same ids several times faster; what it can't take goes to the full tokenizer."""
+    """text -> ids as the tokenizer file gives them by default. The rank file beside it gives the same ids several times faster; texts that hold a special token, or that it can't take, go to the full tokenizer."""
     import public_tokenizers
     import tiktoken
     from tokenizers import Tokenizer
 
     ranks = {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, open(public_tokenizers.path(f"{vocabulary}.tiktoken"), "rb"))}
     quick = tiktoken.Encoding("ranks", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
-    full: list[Tokenizer] = []
+    full = Tokenizer.from_file(public_tokenizers.path(f"{vocabulary}.json"))
+    special = [token.content for token in full.get_added_tokens_decoder().values()]
 
     def encode(text: str) -> list[int]:
-        try:
-            return quick.encode_ordinary(text)
-        except BaseException as error:  # the library's panics are no Exception
-            if isinstance(error, KeyboardInterrupt | SystemExit | MemoryError):
-                raise
-            if not full:
-                full.append(Tokenizer.from_file(public_tokenizers.path(f"{vocabulary}.json")))
-                full[0].encode_special_tokens = True
-            return full[0].encode(text, add_special_tokens=False).ids
+        if not any(token in text for token in special):
+            try:
+                return quick.encode_ordinary(text)
+            except BaseException as error:  # the library's panics are no Exception
+                if isinstance(error, KeyboardInterrupt | SystemExit | MemoryError):
+                    raise
+        return full.encode(text, add_special_tokens=False).ids
 
     return encode
 
@@ -178,6 +177,16 @@ def places(bins: list[tuple[dict[int, int], int]]) -> list[tuple[int, int, int,
     return out
 
 
+def salt_offsets(held: DataFrame, together: int = SALTS_TOGETHER) -> DataFrame:
+    """(length, __salt, __before): pieces of the length in smaller salts, from their counts, in two levels: no task holds all salts of a hot length."""
+    held = held.withColumn("__range", F.floor(F.col("__salt") / together))
+    earlier = lambda order, *by: F.coalesce(F.sum("count").over(Window.partitionBy(*by).orderBy(order).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    ranges = held.groupBy("length", "__range").agg(F.sum("count").alias("count")).withColumn("__base", earlier("__range", "length"))
+    inside = held.withColumn("__inside", earlier("__salt", "length", "__range"))
+    ranges = ranges.select((F.col("length") + F.lit(0)).alias("length"), "__range", "__base")
+    return inside.join(ranges, ["length", "__range"]).select("length", "__salt", (F.col("__inside") + F.col("__base")).alias("__before"))
+
+
 def assign(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     """The pieces (doc_id, piece, length and any other columns) with sequence_id and offset. Reads `pieces` twice: give it a written table."""
     spark = pieces.sparkSession
@@ -187,10 +196,8 @@ def assign(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     salts = max(1, sum(counts.values()) // RANKED_TOGETHER)
     salted = pieces.withColumn("__salt", F.pmod(F.xxhash64("doc_id", "piece", "start"), F.lit(salts)))
     ranked = salted.withColumn("__rank", F.row_number().over(Window.partitionBy("length", "__salt").orderBy("doc_id", "piece")) - 1)
-    held = salted.groupBy("length", "__salt").count()
-    before = held.withColumn("__before", F.sum("count").over(Window.partitionBy("length").orderBy("__salt").rowsBetween(Window.unboundedPreceding, -1)))
-    before = before.select((F.col("length") + F.lit(0)).alias("length"), "__salt", F.coalesce("__before", F.lit(0)).alias("__before"))
-    ranked = ranked.join(before, ["length", "__salt"]).withColumn("__rank", F.col("__rank") + F.col("__before")).drop("__before", "__salt")
+    before = salt_offsets(salted.groupBy("length", "__salt").count())
+    ranked = ranked.join(before.select((F.col("length") + F.lit(0)).alias("length"), "__salt", "__before"), ["length", "__salt"]).withColumn("__rank", F.col("__rank") + F.col("__before")).drop("__before", "__salt")
     if len(rows) > 256 * capacity:
         raise RuntimeError("more groups of bins than a packing of this capacity can have")
     found = spark.createDataFrame(rows, "length long, __from long, __to long, __sequence long, __each long, __offset long")
