@@ -7,7 +7,8 @@ A page's posterior over the languages is the product of
 
 The trigram models are fitted on a bounded sample of labelled documents (SAMPLE of the least hash). Everything else is
 counted over all pages by grouped aggregation of their text likelihoods, so no row is declared right beforehand. Counts are
-pre-aggregated before they are dealt out, and a hot host is only joined by narrow rows, which adaptive execution may split.
+pre-aggregated before they are dealt out; up to BROADCAST_KEYS hosts are broadcast, and beyond that a hot host is only
+joined by narrow rows, which adaptive execution may split.
 
 Null or empty pages have no text evidence; a null url has neither host nor suffix; what is missing says nothing. Rows come
 back as often as they went in. An empty table, or one without labelled documents, gives the language null.
@@ -27,6 +28,7 @@ from fuzzyfeat.session import materialise, prepare
 
 SAMPLE, SAMPLE_CHARS, CELLS = 4000, 20_000, 1 << 15
 TEMPER, SMOOTH_HOST, SMOOTH_SUFFIX = 0.05, 20.0, 50.0
+BROADCAST_KEYS = 100_000
 
 
 def trigram_cells(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -126,8 +128,9 @@ def identify(pages: DataFrame, docs: DataFrame) -> DataFrame:
 
     for key in ("declared", "segment", "suffix", "host"):
         shares = _shares(scored, key, n)
-        shares = shares.select(F.concat(key, F.lit("")).alias(key), F.array(*(f"s{j}" for j in range(n))).alias(f"{key}_s"), F.col("total").alias(f"{key}_t"))
-        rows = rows.join(shares, key, "left")
+        shares = materialise(shares.select(F.concat(key, F.lit("")).alias(key), F.array(*(f"s{j}" for j in range(n))).alias(f"{key}_s"), F.col("total").alias(f"{key}_t")))
+        # Few values: the rows stay where they are, in as many tasks as there were. Many, such as all hosts of a crawl: a join that may split a hot one.
+        rows = rows.join(F.broadcast(shares) if shares.count() <= BROADCAST_KEYS else shares, key, "left")
 
     lane = range(n)
     at = lambda c, j: F.get(c, F.lit(j))
