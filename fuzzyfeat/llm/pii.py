@@ -18,6 +18,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from fuzzyfeat.llm import _spans, _text
 from fuzzyfeat.session import prepare
@@ -253,8 +254,8 @@ def plausible(kind: str, body: str) -> bool:
     return 9 <= digits <= 15 and bool(re.fullmatch(r"[+(]?[\d() ./-]+", body)) and bool(re.search(r"[()+/-]", body))
 
 
-def pii_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
-    """(doc_id, spans) of every row; keep: further columns to carry."""
+def pii_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", carry: bool = False) -> DataFrame:
+    """(doc_id, spans) of every row; carry: and the row itself as a struct, so no column's name can clash."""
     spark = prepare(docs.sparkSession)
     model = spark.sparkContext.broadcast(trained())
 
@@ -266,21 +267,23 @@ def pii_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k
                 found = _spans.batch(part.column(0), find_batch(model.value, texts, data, offsets))
                 yield pa.RecordBatch.from_arrays([*found.columns, *part.columns[2:]], ["doc_id", "spans", *part.schema.names[2:]])
 
-    fields = "".join(f", `{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("__text"), *keep).mapInArrow(work, f"doc_id long, spans {_spans.SPANS}{fields}")
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), *([F.struct("*").alias("row")] if carry else []))
+    schema = T.StructType([rows.schema["doc_id"], T.StructField("spans", T.DataType.fromDDL(_spans.SPANS)), *rows.schema.fields[2:]])
+    return rows.mapInArrow(work, schema)
 
 
 def redact(docs: DataFrame) -> DataFrame:
     """The documents with each span of personal data replaced by its kind in brackets; n_chars follows the text where it is given."""
-    others = tuple(c for c in docs.columns if c != "doc_id")
-    found = pii_spans(docs, keep=others)
+    found = pii_spans(docs, carry=True)
+    old = F.col("row").getField("text")
     spans = F.array_sort(F.transform("spans", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), F.upper(F.regexp_replace(s["kind"], "crf_", "")).alias("kind"))))
     start = F.struct(F.lit("").alias("out"), F.lit(0).alias("at"))
     # spans of different kinds may overlap: the one that begins first wins, and the rest of a later one goes with it
-    step = lambda acc, s: F.when(s["end"] <= acc["at"], acc).otherwise(F.struct(F.concat(acc["out"], F.substring(F.col("text"), acc["at"] + 1, F.greatest(s["start"] - acc["at"], F.lit(0))), F.lit("["), s["kind"], F.lit("]")).alias("out"), s["end"].alias("at")))
-    done = F.aggregate(spans, start, step, lambda acc: F.concat(acc["out"], F.substring(F.col("text"), acc["at"] + 1, F.length("text"))))
-    text = F.when(F.size("spans") == 0, F.col("text")).otherwise(done)
-    rows = found.withColumn("text", text)
+    step = lambda acc, s: F.when(s["end"] <= acc["at"], acc).otherwise(F.struct(F.concat(acc["out"], F.substring(old, acc["at"] + 1, F.greatest(s["start"] - acc["at"], F.lit(0))), F.lit("["), s["kind"], F.lit("]")).alias("out"), s["end"].alias("at")))
+    done = F.aggregate(spans, start, step, lambda acc: F.concat(acc["out"], F.substring(old, acc["at"] + 1, F.length(old))))
+    rows = found.withColumn("changed", F.when(F.size("spans") > 0, done))
+    column = lambda c: F.col("row").getField(c)
+    new = {"text": F.coalesce("changed", old)}
     if "n_chars" in docs.columns:
-        rows = rows.withColumn("n_chars", F.when(F.size("spans") == 0, F.col("n_chars")).otherwise(F.length("text")).cast(docs.schema["n_chars"].dataType))
-    return rows.select(docs.columns)
+        new["n_chars"] = F.when(F.col("changed").isNull(), column("n_chars")).otherwise(F.length("changed")).cast(docs.schema["n_chars"].dataType)
+    return rows.select(*(new.get(c, column(c)).alias(c) for c in docs.columns))

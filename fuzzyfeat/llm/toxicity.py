@@ -20,6 +20,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from fuzzyfeat.llm import _text
 from fuzzyfeat.session import prepare
@@ -273,8 +274,8 @@ def training_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_
     return [r["text"] or "" for r in rows], [r["toxic"] for r in rows]
 
 
-def score(docs: DataFrame, model: Network, keep: tuple[str, ...] = ()) -> DataFrame:
-    """(doc_id, score) of every row; keep: further columns to carry."""
+def score(docs: DataFrame, model: Network, carry: bool = False) -> DataFrame:
+    """(doc_id, score) of every row; carry: and the row itself as a struct, so no column's name can clash."""
     spark = prepare(docs.sparkSession)
     model.moments = {}
     shared = spark.sparkContext.broadcast(model)
@@ -283,11 +284,10 @@ def score(docs: DataFrame, model: Network, keep: tuple[str, ...] = ()) -> DataFr
         for batch in batches:
             for first, end, data, offsets in _text.runs(batch.column(1)):
                 part = batch.slice(first, end - first)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(shared.value.document_scores(Tokens(data, offsets))), *part.columns[2:]], ["doc_id", "__score", *part.schema.names[2:]])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(shared.value.document_scores(Tokens(data, offsets))), *part.columns[2:]], ["doc_id", "score", *part.schema.names[2:]])
 
-    fields = "".join(f", `{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
-    scored = docs.select(F.col("doc_id").cast("long"), F.col("text").alias("__text"), *keep).mapInArrow(work, f"doc_id long, __score double{fields}")
-    return scored if keep else scored.withColumnRenamed("__score", "score")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *([F.struct("*").alias("row")] if carry else []))
+    return rows.mapInArrow(work, T.StructType([rows.schema["doc_id"], T.StructField("score", T.DoubleType()), *rows.schema.fields[2:]]))
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
@@ -299,5 +299,4 @@ def toxicity(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -
 def drop_toxic(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """The documents that score under the threshold, as they came: scored and filtered in one pass."""
     model = fit(*training_rows(docs, labels))
-    others = tuple(c for c in docs.columns if c != "doc_id")
-    return score(docs, model, keep=others).filter(F.col("__score") < threshold).select(docs.columns)
+    return score(docs, model, carry=True).filter(F.col("score") < threshold).select(*(F.col("row").getField(c).alias(c) for c in docs.columns))
