@@ -60,8 +60,9 @@ FROM d LEFT JOIN n ON n.doc_id = d.doc_id JOIN (SELECT doc_id, min(m) AS m FROM
 
 def op3_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages")
-    files = write_warc(pages, f"{shared_folder(spark).rstrip('/')}/warc-{uuid4().hex}")
-    records = read_warc(spark, files)
+    folder = f"{shared_folder(spark).rstrip('/')}/warc-{uuid4().hex}"
+    write_warc(pages, folder)
+    records = read_warc(spark, path=folder)
     number = lambda c: F.expr(f"try_cast(substring_index({c}, ':', -1) AS bigint)")
     rows = records.filter(F.col("record_type").isin("response", "revisit"))
     return rows.select(number("record_id").alias("page_id"), "payload_bytes", "payload_digest", "record_type", number("refers_to").alias("refers_to"))

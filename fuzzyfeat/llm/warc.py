@@ -5,8 +5,9 @@ record head until its range begins (no search for marks, which a payload may hol
 prefix predicates on other header fields, are pushed into the source: it parses a record's head, tests it, and steps over
 a payload that is unwanted (a seek in plain files; in gzip members the bytes are inflated but never decoded or kept).
 
-Writing: one archive per task, under a temporary name until it is whole, then renamed; a repeated task replaces its own
-file by an equal one. Every path goes through pyarrow's file systems, so the folder may be any shared store they know.
+Writing: archives of ARCHIVE_BYTES or little more, so that one of them is a bounded task for its reader. Each has a temporary
+name until it is whole; a list of the archives of the tasks that succeeded is written last, and readers of the folder go by
+it, so what a lost task left behind is never read. Every path goes through pyarrow's file systems, so the folder may be any shared store they know.
 """
 
 from __future__ import annotations
@@ -29,6 +30,7 @@ from fuzzyfeat.session import prepare
 
 HTTP = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\n\r\n"
 DATE = "2024-01-01T00:00:00Z"
+ARCHIVE_BYTES, LIST = 1 << 28, "archives.txt"
 SCHEMA = "record_type string, record_id string, target_uri string, payload_digest string, refers_to string, payload_bytes long, payload binary, headers map<string,string>"
 #: Columns that a predicate can be pushed on, and the header field of each. Fixed names of the format.
 FIELDS = {"record_type": "warc-type", "record_id": "warc-record-id", "target_uri": "warc-target-uri", "payload_digest": "warc-payload-digest", "refers_to": "warc-refers-to"}
@@ -70,7 +72,7 @@ def mark_revisits(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
     return met.withColumn("refers_to", F.when(F.col("keeper").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("keeper")), F.col("keeper"))).drop("keeper")
 
 
-def write_warc(pages: DataFrame, folder: str, compress: bool = True, least_bytes: int = 0) -> list[str]:
+def write_warc(pages: DataFrame, folder: str, compress: bool = True, least_bytes: int = 0, archive_bytes: int = ARCHIVE_BYTES) -> list[str]:
     """Write a record for each page (page_id, url, html; a null html is an empty payload) and return the archives' paths.
 
     Rows that share the largest page_id of a payload as a whole all keep their payload. An empty table gives no archive.
@@ -82,22 +84,36 @@ def write_warc(pages: DataFrame, folder: str, compress: bool = True, least_bytes
 
         store, root = open_store(folder)
         store.create_dir(root, recursive=True)
-        number, attempt = TaskContext.get().partitionId(), TaskContext.get().taskAttemptId()
-        name, count, out = f"part-{number:06d}.warc" + ".gz" * compress, 0, None
+        task, attempt = TaskContext.get().partitionId(), TaskContext.get().taskAttemptId()
+        number, count, size, out = 0, 0, 0, None
+
+        def done() -> pa.RecordBatch:
+            name = f"part-{task:06d}-{attempt}-{number:05d}.warc" + ".gz" * compress
+            out.close()
+            store.move(f"{root}/.{task}-{attempt}", f"{root}/{name}")
+            return pa.RecordBatch.from_pydict({"name": [name], "records": [count]})
+
         for batch in batches:
             for page, url, payload, refers_to in zip(*(batch.column(c) for c in ("page_id", "url", "payload", "refers_to")), strict=True):
-                out = out or store.open_output_stream(f"{root}/.{name}-{attempt}", compression=None)
+                out = out or store.open_output_stream(f"{root}/.{task}-{attempt}", compression=None)
                 payload, refers_to = payload.as_py(), refers_to.as_py()
                 raw = record("response" if refers_to is None else "revisit", page.as_py(), url.as_py(), payload, sha1_base32(payload), refers_to)
-                out.write(gzip.compress(raw, 1, mtime=0) if compress else raw)
-                count += 1
+                raw = gzip.compress(raw, 1, mtime=0) if compress else raw
+                out.write(raw)
+                count, size = count + 1, size + len(raw)
+                if size >= archive_bytes:
+                    yield done()
+                    number, count, size, out = number + 1, 0, 0, None
         if out:
-            out.close()
-            store.move(f"{root}/.{name}-{attempt}", f"{root}/{name}")
-            yield pa.RecordBatch.from_pydict({"path": [f"{folder.rstrip('/')}/{name}"], "records": [count]})
+            yield done()
 
     marked = mark_revisits(pages, least_bytes).select("page_id", "url", "payload", "refers_to")
-    return [row["path"] for row in marked.mapInArrow(work, "path string, records long").collect()]  # a row per task
+    names = sorted(row["name"] for row in marked.mapInArrow(work, "name string, records long").collect())  # a row per archive
+    store, root = open_store(folder)
+    store.create_dir(root, recursive=True)
+    with store.open_output_stream(f"{root}/{LIST}", compression=None) as out:
+        out.write("\n".join(names).encode())
+    return [f"{folder.rstrip('/')}/{name}" for name in names]
 
 
 class Range(InputPartition):
@@ -162,8 +178,13 @@ class WarcReader(DataSourceReader):
         if not named:
             folder = self.options["path"]
             store, root = open_store(folder)
-            found = store.get_file_info(fs.FileSelector(root, recursive=True))
-            named = sorted(f"{folder.rstrip('/')}/{x.path[len(root.rstrip('/')) + 1 :]}" for x in found if x.is_file and re.search(r"\.warc(\.gz)?$", x.path) and not x.base_name.startswith("."))
+            root = root.rstrip("/")
+            if store.get_file_info(f"{root}/{LIST}").is_file:
+                with store.open_input_stream(f"{root}/{LIST}", compression=None) as listed:
+                    named = [f"{folder.rstrip('/')}/{x}" for x in listed.read().decode().split("\n") if x]
+            else:
+                found = store.get_file_info(fs.FileSelector(root, recursive=True))
+                named = sorted(f"{folder.rstrip('/')}/{x.path[len(root) + 1 :]}" for x in found if x.is_file and re.search(r"\.warc(\.gz)?$", x.path) and not x.base_name.startswith("."))
         out, step = [], int(self.options.get("range_bytes", 0))
         for path in named:
             if path.endswith(".gz") or not step:
