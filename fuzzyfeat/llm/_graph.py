@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fuzzyfeat.session import materialise
+from fuzzyfeat.session import materialise, release
 
 
 def _with_least(edges: DataFrame) -> DataFrame:
@@ -29,7 +29,8 @@ def components(links: DataFrame, most: int = 60) -> DataFrame:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         large = _with_least(both).filter("v > u").select(F.col("v").alias("u"), F.least("m", "u").alias("v")).distinct()
         stars = _with_least(large).select(F.explode(F.array(F.struct(F.col("u"), F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e"))
-        edges = materialise(stars.select("e.u", "e.v").filter("u > v").distinct())
+        older, edges = edges, materialise(stars.select("e.u", "e.v").filter("u > v").distinct())
+        release(older)
         state = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if state == before:
             roots = edges.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()

@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 
 from fuzzyfeat.llm import _text
 from fuzzyfeat.llm._graph import components
-from fuzzyfeat.session import materialise, prepare, scratch
+from fuzzyfeat.session import materialise, prepare, release, scratch
 
 SKETCH_BITS = 20
 SKETCH_PART = 14
@@ -224,7 +224,9 @@ class _Comparer:
         met = like.join(sets.select(F.col("node").alias("u"), F.col("s").alias("su")), "u").join(sets.select(_anew("node").alias("v"), F.col("s").alias("sv")), "v")
         met = met.withColumn("both", F.size(F.array_intersect("su", "sv")).cast("long"))
         met = met.withColumn("all", F.size("su") + F.size("sv") - F.col("both"))
-        return materialise(met.filter(F.col("both") * self.denominator >= F.col("all") * self.numerator).select("u", "v"))
+        found = materialise(met.filter(F.col("both") * self.denominator >= F.col("all") * self.numerator).select("u", "v"))
+        release(like)
+        return found
 
 
 def jaccard_components(docs: DataFrame, k: int = 5, threshold: tuple[int, int] = (80, 100), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -263,6 +265,8 @@ def jaccard_components(docs: DataFrame, k: int = 5, threshold: tuple[int, int] =
         more = comparer.linked(last)
         if not more.isEmpty():
             labels = components(linked.unionByName(more))
+        release(more)
+    release(members, seen, linked, last)
     # Back to rows: node -> component, then every document through its set.
     named = nodes.select("n", "d1", "d2", "node").join(labels, "node", "left").select(_anew("n"), "d1", "d2", F.coalesce("component", "node").alias("component_id"))
     whole = profile.filter("n > 0").select("doc_id", "n", "d1", "d2").join(named, ["n", "d1", "d2"]).select("doc_id", F.col("n").alias("n_shingles"), "component_id")
