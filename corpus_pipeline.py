@@ -16,7 +16,7 @@ from fuzzyfeat.llm.jaccard import drop_near_duplicates
 from fuzzyfeat.llm.packing import assign, token_pieces
 from fuzzyfeat.llm.pii import redact
 from fuzzyfeat.llm.toxicity import drop_toxic
-from fuzzyfeat.session import materialise, shared_folder
+from fuzzyfeat.session import materialise, remove, shared_folder
 
 
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -58,7 +58,7 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The stages over documents, each result but the last written to the shared folder and read again."""
+    """The stages over documents, each result but the last written to the shared folder, read again, and deleted when the stage after it stands."""
     folder = f"{shared_folder(spark).rstrip('/')}/pipeline-{uuid4().hex}"
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for number, (name, stage) in enumerate(STAGES):
@@ -66,4 +66,6 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         if number + 1 < len(STAGES):
             docs.write.parquet(f"{folder}/{number}-{name}")
             docs = spark.read.parquet(f"{folder}/{number}-{name}")
+        if number > 1:  # what the stage before this one has read is not read again
+            remove(spark, f"{folder}/{number - 2}-{STAGES[number - 2][0]}")
     return docs
