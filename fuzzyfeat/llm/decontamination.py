@@ -19,6 +19,8 @@ document count once. Empty tables give an empty result.
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -26,6 +28,8 @@ from fuzzyfeat.session import materialise
 
 WINDOW, LEAST_LITERALS, MIN_COVERAGE, LONG_RUN = 8, 4, 0.4, 12
 EXACT_RUN, NEIGHBOURS = 13, 64
+KEY_WORDS, MOST_KEYS = 2, 20_000
+DOC = ["doc_id", "version"]  # rows that share an id but not the text are documents of their own until the end
 FEW_WINDOWS = 4  # so few windows tell little of an item that has more of them
 BROADCAST_ROWS, BROADCAST_IDS = 500_000, 500_000
 NAME, NUMBER, UNIT, JOINT = (chr(0xE000 + i) for i in range(4))  # private-use characters: no text word is one of them
@@ -39,21 +43,47 @@ OPENERS = (
     "Le Les Une Des Du Et Est Ce Cet Cette Ces Dans Il Elle Ils Elles Je Nous Vous Tu On Ou Où Qui Quoi Quel Quelle Quand Comment Combien Pourquoi Pour Par Sur Sous Avec Sans Mais Ne Pas Plus Son Sa Ses Leur Leurs Au Aux Si Comme "
     "Der Die Das Den Dem Ein Eine Einen Einem Einer Und Oder Aber Ist Sind War Wer Wie Was Wann Wo Warum Wenn Weil Als Auch Auf Aus Bei Bis Da Dann Dass Durch Er Es Sie Ich Wir Ihr Im In Mit Nach Nicht Noch Nun Nur Ob So Um Von Vor Wird Zu Zum Zur Viele Wieviel Welche Welcher Welches Für Über"
 ).split()
+
+
+def _any_of(words: list[str]) -> str:
+    """A pattern for any of the words that tests their common beginnings once."""
+    tree: dict = {}
+    for word in words:
+        node = tree
+        for c in word:
+            node = node.setdefault(c, {})
+        node[""] = {}
+
+    def arms(node: dict) -> str:
+        below = [re.escape(c) + arms(n) for c, n in sorted(node.items()) if c]
+        if not below:
+            return ""
+        return f"(?:{'|'.join(below)})" + "?" * ("" in node)
+
+    return arms(tree)
+
+
 #: A word of a name. The cheap test of the capital comes first.
-_NAME_WORD = rf"(?=\p{{Lu}})(?<![\p{{L}}\p{{N}}])(?!(?:{'|'.join(dict.fromkeys(OPENERS))})(?![\p{{L}}\p{{N}}]))\p{{Lu}}\p{{Ll}}+(?:-\p{{Lu}}\p{{Ll}}+)*(?![\p{{L}}\p{{N}}])"
+_NAME_WORD = rf"(?=\p{{Lu}})(?<![\p{{L}}\p{{N}}])(?!{_any_of(OPENERS)}(?![\p{{L}}\p{{N}}]))\p{{Lu}}\p{{Ll}}+(?:-\p{{Lu}}\p{{Ll}}+)*(?![\p{{L}}\p{{N}}])"
+
+
+def _bound(value: Column, f) -> Column:
+    """f of a value that is computed once a row, however often f names it."""
+    return F.get(F.transform(F.array(value), f), F.lit(0))
 
 
 def _words(text: Column) -> Column:
     """Lower case, punctuation dropped, split at white space."""
-    bare = F.trim(F.regexp_replace(F.regexp_replace(F.lower(text), r"[^\p{L}\p{N}\x{E000}-\x{E003}\s]+", ""), r"\s+", " "))
-    return F.when(bare == "", F.array().cast("array<string>")).otherwise(F.split(bare, " "))
+    bare = F.regexp_replace(F.lower(text), r"[^a-z \p{L}\p{N}\x{E000}-\x{E003}\s]+", "")
+    return F.array_remove(F.split(bare, r"\s+"), "")
 
 
 def template_words(text: Column) -> Column:
     """Words of the template; word for word beside value_words of the same text."""
     named = F.regexp_replace(text, rf"{_NAME_WORD}(?:\s+{_NAME_WORD})*", NAME)
     numbered = F.regexp_replace(named, r"[+-]?\p{Nd}(?:[\p{Nd}.,]*\p{Nd})?", NUMBER)
-    return _words(F.regexp_replace(numbered, rf"(?i)({NUMBER}\s*)(?:{'|'.join(UNITS)})(?![\p{{L}}\p{{N}}])", f"$1{UNIT}"))
+    units = lambda t: F.when(F.contains(t, F.lit(NUMBER)), F.regexp_replace(t, rf"({NUMBER}\s*)(?i:{_any_of(UNITS)})(?![\p{{L}}\p{{N}}])", f"$1{UNIT}")).otherwise(t)
+    return _words(_bound(numbered, units))
 
 
 def value_words(text: Column) -> Column:
@@ -73,14 +103,14 @@ def _in_text(place: Column, joints: str = "joints") -> Column:
     return (place + F.size(F.filter(joints, lambda j: j < place))).cast("long")
 
 
-def window_hashes(words: Column, window: int) -> Column:
-    """The hash of each run of `window` words. The words are bound to a lambda variable, so they are computed once a row."""
+def windows_at(words: Column, window: int, keys: list[int] | None = None, key_words: int = 1) -> Column:
+    """Array of (at, h): the hash of each run of `window` words. keys: only of runs whose first key_words words have one of these hashes."""
 
-    def hashes(ws: Column) -> Column:
-        runs = F.transform(F.sequence(F.lit(1), F.size(ws) - (window - 1)), lambda i: F.xxhash64(F.slice(ws, i, window)))
-        return F.when(F.size(ws) >= window, runs).otherwise(F.array().cast("array<bigint>"))
+    def starts(ws: Column) -> Column:
+        every = F.when(F.size(ws) >= window, F.sequence(F.lit(0), F.size(ws) - window)).otherwise(F.array().cast("array<int>"))
+        return every if keys is None else F.filter(every, lambda i: F.xxhash64(*(F.get(ws, i + j) for j in range(key_words))).isin(keys))
 
-    return F.get(F.transform(F.array(words), hashes), F.lit(0))
+    return _bound(words, lambda ws: F.transform(starts(ws), lambda i: F.struct(i.alias("at"), F.xxhash64(F.slice(ws, i + 1, window)).alias("h"))))
 
 
 def _slots(words: Column) -> Column:
@@ -88,12 +118,18 @@ def _slots(words: Column) -> Column:
 
 
 def benchmark_windows(benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
-    """(h, item_id, item_at, item_windows, all_windows) of the windows that say enough to match; item_windows counts these."""
-    items = benchmark.filter(F.col("item_id").isNotNull()).select("item_id", template_words(F.col("text")).alias("words")).distinct()
-    numbered = F.transform("hashes", lambda h, at: F.struct(h.alias("h"), at.alias("item_at")))
-    telling = F.filter(numbered, lambda w: F.size(F.array_distinct(_slots(F.slice("words", w["item_at"] + 1, window)))) >= LEAST_LITERALS)
-    items = items.select("item_id", "words", window_hashes(F.col("words"), window).alias("hashes")).withColumn("telling", telling)
-    return items.select("item_id", F.size("telling").alias("item_windows"), F.size("hashes").alias("all_windows"), F.explode("telling").alias("w")).select("w.h", "item_id", "w.item_at", "item_windows", "all_windows")
+    """(h, key, item_id, item_at, item_windows, all_windows) of the windows that say enough to match; item_windows counts these. key: the hash of their first two words."""
+    items = benchmark.filter(F.col("item_id").isNotNull() & F.col("text").isNotNull()).select("item_id", template_words(F.col("text")).alias("words")).distinct()
+    telling = F.filter("hashes", lambda w: F.size(F.array_distinct(_slots(F.slice("words", w["at"] + 1, window)))) >= LEAST_LITERALS)
+    items = items.select("item_id", "words", windows_at(F.col("words"), window).alias("hashes")).withColumn("telling", telling)
+    each = items.select("item_id", "words", F.size("telling").alias("item_windows"), F.size("hashes").alias("all_windows"), F.explode("telling").alias("w"))
+    return each.select("w.h", F.xxhash64(*(F.get("words", F.col("w.at") + j) for j in range(min(KEY_WORDS, window)))).alias("key"), "item_id", F.col("w.at").alias("item_at"), "item_windows", "all_windows")
+
+
+def _keys(wanted: DataFrame) -> list[int] | None:
+    """The keys of the wanted windows as numbers of the plan, if they are few enough; None: every window of a document goes to the join."""
+    keys = [r["key"] for r in wanted.select("key").distinct().limit(MOST_KEYS + 1).collect()]
+    return keys if len(keys) <= MOST_KEYS else None
 
 
 def text_words(text: Column) -> Column:
@@ -114,13 +150,15 @@ def whole_items(docs: DataFrame, benchmark: DataFrame, wanted: DataFrame, window
     if not lengths:
         return wanted.filter(F.lit(False)).select(F.lit(None).cast("long").alias("doc_id"), "item_id", *(F.lit(None).cast("long").alias(c) for c in ("first_word", "last_word")))
     few = F.broadcast(items) if items.count() <= BROADCAST_ROWS else items
-    hashes = lambda ws: F.array(*(F.struct(F.lit(n).alias("n"), window_hashes(ws, n).alias("hashes")) for n in lengths))
-    rows = docs.select("doc_id", F.explode(F.get(F.transform(F.array(text_words(F.col("text"))), hashes), F.lit(0))).alias("e"))
-    met = materialise(rows.select("doc_id", "e.n", F.posexplode("e.hashes").alias("at", "h")).join(few.drop("item_text"), ["n", "h"]).select("doc_id", "item_id", "at").distinct())
+    keys = _keys(items.withColumn("key", F.xxhash64(F.get("item_text", F.lit(0)))))
+    of_length = lambda ws, n: F.transform(windows_at(ws, n, keys), lambda w: F.struct(F.lit(n).alias("n"), w["at"].alias("at"), w["h"].alias("h")))
+    hashes = lambda ws: F.flatten(F.array(*(of_length(ws, n) for n in lengths)))
+    rows = docs.select(*DOC, F.explode(_bound(text_words(F.col("text")), hashes)).alias("e"))
+    met = materialise(rows.select(*DOC, "e.*").join(few.drop("item_text"), ["n", "h"]).select(*DOC, "item_id", "at").distinct())
     ids = met.select("doc_id").distinct()
-    held = docs.join(F.broadcast(ids) if met.count() <= BROADCAST_IDS else ids, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", text_words(F.col("text")).alias("doc_text"))
+    held = docs.join(F.broadcast(ids) if met.count() <= BROADCAST_IDS else ids, "doc_id", "left_semi").dropDuplicates(DOC).select(*DOC, text_words(F.col("text")).alias("doc_text"))
     size = F.size("item_text")
-    same = met.join(held, "doc_id").join(few.select("item_id", "item_text"), "item_id").filter(F.slice("doc_text", F.col("at") + 1, size) == F.col("item_text"))
+    same = met.join(held, DOC).join(few.select("item_id", "item_text"), "item_id").filter(F.slice("doc_text", F.col("at") + 1, size) == F.col("item_text"))
     place = F.min(F.struct(F.col("at").cast("long").alias("first_word"), (F.col("at") + size).cast("long").alias("last_word")))
     return same.groupBy("doc_id", "item_id").agg(place.alias("e")).select("doc_id", "item_id", "e.*")
 
@@ -143,7 +181,7 @@ def _longest_run(ours, theirs) -> Column:
 
 def without_breaches(rows: DataFrame, window: int = WINDOW) -> DataFrame:
     """The rows with only those places whose windows hold no name that stands for another one elsewhere on neighbouring diagonals."""
-    keys = ["doc_id", "item_id", "part"]
+    keys = [*DOC, "item_id", "part"]
     pairs = rows.select(*keys, "diagonal", F.explode("names").alias("p")).select(*keys, "diagonal", "p.*")
     counted = pairs.groupBy(*keys, "a", "b").agg(F.count("*").alias("n"))
     for c in ("a", "b"):
@@ -163,19 +201,20 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, mi
     """
     wanted = materialise(benchmark_windows(benchmark, window))
     small = wanted.count() <= BROADCAST_ROWS
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").filter("doc_id IS NOT NULL AND text IS NOT NULL")
-    rows = texts.select("doc_id", F.posexplode(window_hashes(template_words(F.col("text")), window)).alias("at", "h"))
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").filter("doc_id IS NOT NULL AND text IS NOT NULL").withColumn("version", F.xxhash64("text"))
+    rows = texts.select(*DOC, F.explode(windows_at(template_words(F.col("text")), window, _keys(wanted), min(KEY_WORDS, window))).alias("e")).select(*DOC, "e.*")
+    wanted = wanted.drop("key")
     met = rows.join(F.broadcast(wanted) if small else wanted, "h").withColumn("diagonal", F.col("at") - F.col("item_at"))
-    met = met.groupBy("doc_id", "item_id", "diagonal").agg(F.max("item_windows").alias("item_windows"), F.max("all_windows").alias("all_windows"), F.collect_set("item_at").alias("places"))
-    order = Window.partitionBy("doc_id", "item_id").orderBy("diagonal")
+    met = met.groupBy(*DOC, "item_id", "diagonal").agg(F.max("item_windows").alias("item_windows"), F.max("all_windows").alias("all_windows"), F.collect_set("item_at").alias("places"))
+    order = Window.partitionBy(*DOC, "item_id").orderBy("diagonal")
     apart = F.col("diagonal") - F.lag("diagonal").over(order) >= F.least(F.lit(NEIGHBOURS), F.col("all_windows") + (window - 1))
     met = materialise(met.withColumn("apart", F.coalesce(apart.cast("int"), F.lit(0))).withColumn("part", F.sum("apart").over(order)).drop("apart"))
     # Slot consistency, for the few documents that met an item at all.
     ids = met.select("doc_id").distinct()
     ids = F.broadcast(ids) if met.count() <= BROADCAST_IDS else ids
-    held = texts.join(ids, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", value_words(F.col("text")).alias("doc_values")).withColumn("joints", _joints(F.col("doc_values")))
+    held = texts.join(ids, "doc_id", "left_semi").dropDuplicates(DOC).select(*DOC, value_words(F.col("text")).alias("doc_values")).withColumn("joints", _joints(F.col("doc_values")))
     items = benchmark.select("item_id", template_words(F.col("text")).alias("item_words"), value_words(F.col("text")).alias("item_values")).distinct()
-    both = met.join(held, "doc_id").join(F.broadcast(items) if small else items, "item_id")
+    both = met.join(held, DOC).join(F.broadcast(items) if small else items, "item_id")
     inside = F.array_distinct(F.flatten(F.transform("places", lambda p: F.sequence(p, p + (window - 1)))))
     ours, theirs = (lambda i: F.get("item_values", i)), (lambda i: F.get("doc_values", i + F.col("diagonal")))
     names = F.transform(F.filter("inside", lambda i: F.get("item_words", i) == NAME), lambda i: F.struct(i.alias("at"), ours(i).alias("a"), theirs(i).alias("b")))
@@ -186,7 +225,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, mi
     shown = lambda c: F.when(F.col("run.words") >= exact_run, F.col(f"run.{c}"))
     low = F.col("diagonal") + F.least(F.array_min("places"), shown("low"))
     high = F.col("diagonal") + F.greatest(F.array_max("places") + window, shown("high"))
-    found = both.withColumn("first_word", _in_text(low)).withColumn("last_word", _in_text(high)).groupBy("doc_id", "item_id", "part").agg(
+    found = both.withColumn("first_word", _in_text(low)).withColumn("last_word", _in_text(high)).groupBy(*DOC, "item_id", "part").agg(
         F.size(F.array_distinct(F.flatten(F.collect_list("places")))).cast("long").alias("windows"), F.max("item_windows").alias("item_windows"), F.max("all_windows").alias("all_windows"),
         F.bool_and(F.size("changed") == 0).alias("exact"), F.min("first_word").alias("first_word"), F.max("last_word").alias("last_word"), F.max("run.words").alias("run"),
     )
