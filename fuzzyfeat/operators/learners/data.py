@@ -29,11 +29,11 @@ class Frame:
         return len(self.num)
 
 
-def edges_of(values: np.ndarray, bins: int) -> np.ndarray:
-    """Ascending cut points: midpoints of neighbouring values, or quantiles where there are more than `bins` values."""
+def edges_of(values: np.ndarray, bins: int | None) -> np.ndarray:
+    """Ascending cut points: midpoints of neighbouring values, or quantiles where there are more than `bins` values (None: never)."""
     values = values[~np.isnan(values)]
     distinct = np.unique(values)
-    if len(distinct) <= bins:
+    if bins is None or len(distinct) <= bins:
         return (distinct[1:] + distinct[:-1]) / 2
     return np.unique(np.quantile(values, np.linspace(0, 1, bins + 1)[1:-1]))
 

@@ -1,23 +1,37 @@
-"""Kernel machines over explicit feature maps: monomials, Nystroem landmarks or random cosine features, one pair of classes against another.
+"""Kernel machines, one pair of classes against another: over the exact monomial map, on the kernel matrix itself, or over Nystroem landmarks or random cosine features.
 
-Each pair minimises half the squared weights plus C times the squared hinge losses, by Newton steps in the mapped space.
+Each pair minimises half the squared weights plus C times the squared hinge losses, by Newton steps. Unless a map is asked
+for by name, the machine is exact as long as that is affordable: the monomial map up to EXPLICIT_WIDTH columns, the kernel
+matrix up to EXACT_ROWS rows. Beyond both it is a Nystroem approximation, and `approximate` says so.
 Symbolic columns enter as one column per level; all inputs are min-max scaled inside; unknowns are 0.
 """
 
 from __future__ import annotations
 
 from itertools import combinations_with_replacement
-from math import factorial
+from math import comb, factorial
 
 import numpy as np
 
 from fuzzyfeat.operators.learners.data import Frame
 
 
+EXPLICIT_WIDTH, EXACT_ROWS = 600, 1500
+
+
 class KernelSVM:
     def __init__(self, kernel: str = "poly", degree: int = 2, gamma: float = 0.1, C: float = 1.0, approx: str | None = None, features: int = 256, homogeneous: bool = False, multiclass: str = "ovo", seed: int = 11):
         self.kernel, self.degree, self.gamma, self.C, self.features, self.homogeneous, self.multiclass, self.seed = kernel, degree, gamma, C, features, homogeneous, multiclass, seed
-        self.approx = approx or "nystrom"
+        self.asked = self.approx = approx
+
+    @property
+    def approximate(self) -> bool:
+        return self.approx in ("nystrom", "rff")
+
+    def _choose(self, rows: int, width: int) -> str:
+        if self.kernel == "poly" and comb(width + (0 if self.homogeneous else 1) + self.degree - 1, self.degree) <= EXPLICIT_WIDTH:
+            return "explicit"
+        return "exact" if rows <= EXACT_ROWS else "nystrom"
 
     def _inputs(self, frame: Frame) -> np.ndarray:
         with np.errstate(divide="ignore", invalid="ignore"):
@@ -57,6 +71,7 @@ class KernelSVM:
             self.low, self.high = (np.nan_to_num(f(np.where(np.isnan(frame.num), fill, frame.num), axis=0)) if len(frame) else np.zeros(frame.num.shape[1]) for f, fill in ((np.min, np.inf), (np.max, -np.inf)))
         self.levels = [int(frame.cat[:, j].max(initial=-1)) + 1 for j in range(frame.cat.shape[1])]
         x = self._inputs(frame)
+        self.approx = self.asked or self._choose(*x.shape)
         g = np.random.default_rng(self.seed)
         if self.approx == "rff":
             self.directions = g.standard_normal((x.shape[1], self.features)) * np.sqrt(2 * self.gamma)
@@ -68,7 +83,7 @@ class KernelSVM:
             values, vectors = np.linalg.eigh(self.gram(self.landmarks, self.landmarks))
             keep = values > values.max() * 1e-9
             self.whiten = vectors[:, keep] / np.sqrt(values[keep])
-        z = self._map(x)
+        z = self._map(x) if self.approx != "exact" else x
         present = [c for c in range(n_classes) if (y == c).any()]
         self.only = present[0] if len(present) == 1 else None
         self.prior = np.bincount(y, minlength=n_classes) / max(1, len(y))
@@ -76,16 +91,22 @@ class KernelSVM:
         self.models = []
         for a, b in pairs:
             rows = np.flatnonzero((y == a) | (y == b)) if b is not None else np.arange(len(y))
-            self.models.append((a, b, newton(z[rows], np.where(y[rows] == a, 1.0, -1.0), self.C, None if weights is None else weights[rows])))
+            target, own = np.where(y[rows] == a, 1.0, -1.0), None if weights is None else weights[rows]
+            if self.approx == "exact":
+                beta, constant = kernel_newton(self.gram(z[rows], z[rows]), target, self.C, own)
+                self.models.append((a, b, (z[rows][beta != 0], beta[beta != 0], constant)))
+            else:
+                self.models.append((a, b, newton(z[rows], target, self.C, own)))
         return self
 
     def predict(self, frame: Frame) -> np.ndarray:
         if self.only is not None:
             return np.full(len(frame), self.only)
-        z = self._map(self._inputs(frame))
+        x = self._inputs(frame)
+        z = self._map(x) if self.approx != "exact" else x
         votes = np.zeros((len(frame), self.n_classes)) + 0.5 * self.prior
         for a, b, w in self.models:
-            f = z @ w
+            f = z @ w if self.approx != "exact" else self.gram(z, w[0]) @ w[1] + w[2]
             if b is None:
                 votes[:, a] += f * 1e3
             else:
@@ -109,3 +130,23 @@ def newton(z: np.ndarray, t: np.ndarray, C: float, weights: np.ndarray | None =
             break
         active = now
     return w
+
+
+def kernel_newton(gram: np.ndarray, t: np.ndarray, C: float, weights: np.ndarray | None = None, steps: int = 30) -> tuple[np.ndarray, float]:
+    """The same machine on the kernel matrix: coefficients of the rows and the constant. Rows beyond the margin have 0."""
+    n = len(t)
+    c = 2 * C * (np.ones(n) if weights is None else weights)
+    active, beta, constant = c > 0, np.zeros(n), 0.0
+    for _ in range(steps):
+        at = np.flatnonzero(active)
+        system = np.zeros((len(at) + 1, len(at) + 1))
+        system[:-1, :-1] = gram[np.ix_(at, at)] + np.diag(1 / c[at])
+        system[:-1, -1] = system[-1, :-1] = 1
+        solved = np.linalg.solve(system, np.append(t[at], 0.0))
+        beta, constant = np.zeros(n), float(solved[-1])
+        beta[at] = solved[:-1]
+        now = (t * (gram @ beta + constant) < 1) & (c > 0)
+        if (now == active).all() or not now.any():
+            break
+        active = now
+    return beta, constant

@@ -49,7 +49,9 @@ class Node:
 
 
 class C45Tree:
-    def __init__(self, confidence: float = 0.2, min_leaf: float = 6, bins: int = 64, max_depth: int = 25, prune: bool = True):
+    """bins None: every midpoint of neighbouring values is a threshold, else quantiles; max_depth None: as deep as the rows go."""
+
+    def __init__(self, confidence: float = 0.2, min_leaf: float = 6, bins: int | None = None, max_depth: int | None = None, prune: bool = True):
         self.confidence, self.min_leaf, self.bins, self.max_depth, self.prune = confidence, min_leaf, bins, max_depth, prune
 
     def fit(self, frame: Frame, y: np.ndarray, n_classes: int, weights: np.ndarray | None = None) -> "C45Tree":
@@ -67,7 +69,7 @@ class C45Tree:
         counts = np.bincount(y[rows], w[rows], self.n_classes)
         node = Node(counts)
         total = counts.sum()
-        if depth >= self.max_depth or total < 2 * self.min_leaf or counts.max() >= total - 1e-9:
+        if (self.max_depth is not None and depth >= self.max_depth) or total < 2 * self.min_leaf or counts.max() >= total - 1e-9:
             return node
         found = []
         for f, code in enumerate(codes):
@@ -78,10 +80,16 @@ class C45Tree:
             share = w[rows][known].sum() / total
             if share <= 0:
                 continue
-            table = np.bincount(c[known] * self.n_classes + y[rows][known], w[rows][known], self.width[f] * self.n_classes).reshape(-1, self.n_classes)
+            at, width, present = c[known], self.width[f], None
+            if f < self.n_num:
+                # only the values that the node holds: a table of them is no longer than its rows
+                present, at = np.unique(at, return_inverse=True)
+                width = len(present)
+            table = np.bincount(at * self.n_classes + y[rows][known], w[rows][known], width * self.n_classes).reshape(-1, self.n_classes)
             option = self._threshold(table, share, total) if f < self.n_num else self._branches(table, share, total)
             if option:
-                found.append((*option, f))
+                gain, ratio, cut = option
+                found.append((gain, ratio, int(present[cut]) if present is not None else cut, f))
         if not found:
             return node
         average = sum(g for g, *_ in found) / len(found)
@@ -175,18 +183,52 @@ class C45Tree:
         return self.distribution(frame).argmax(axis=1)
 
 
+class LevelVote:
+    """A stump of one symbolic column: the heaviest class of each of its levels, the heaviest of all where a level is new.
+
+    column: its name; None: the column of least training error, the first of equals. Equal weights go to the first class.
+    """
+
+    def __init__(self, column: str | None = None):
+        self.column = column
+
+    def fit(self, frame: Frame, y: np.ndarray, n_classes: int, weights: np.ndarray | None = None) -> "LevelVote":
+        w = np.ones(len(y)) if weights is None else weights
+        self.prior = int(np.bincount(y, w, n_classes).round(9).argmax())
+        best = None
+        for j, name in enumerate(frame.cat_names):
+            if self.column in (None, name):
+                code = frame.cat[:, j]
+                known = code >= 0
+                table = np.bincount(code[known] * n_classes + y[known], w[known], (int(code.max(initial=0)) + 1) * n_classes).reshape(-1, n_classes)
+                said = table.round(9).argmax(axis=1)
+                said[table.sum(axis=1) <= 0] = self.prior
+                wrong = round(float(w.sum() - table[np.arange(len(table)), said].sum() - w[~known & (y == self.prior)].sum()), 9)
+                if best is None or wrong < best[0]:
+                    best = (wrong, name, said)
+        if best is None:
+            raise ValueError(f"no symbolic column {self.column or ''}".rstrip())
+        _, self.chosen, self.said = best
+        return self
+
+    def predict(self, frame: Frame) -> np.ndarray:
+        code = frame.cat[:, frame.cat_names.index(self.chosen)]
+        known = (code >= 0) & (code < len(self.said))
+        return np.where(known, self.said[np.clip(code, 0, len(self.said) - 1)], self.prior)
+
+
 class AdaBoostM1:
     """Rounds of trees on reweighted rows; the weight of right rows is multiplied by e / (1 - e), a tree votes with ln((1 - e) / e)."""
 
-    def __init__(self, rounds: int = 10, **tree):
-        self.rounds, self.tree = rounds, tree
+    def __init__(self, rounds: int = 10, make=None, **tree):
+        self.rounds, self.make, self.tree = rounds, make or C45Tree, tree
 
     def fit(self, frame, y, n_classes, weights=None):
         w = np.full(len(y), 1.0) if weights is None else weights.copy()
         self.n_classes, self.members, self.votes, self.errors = n_classes, [], [], []
         for _ in range(self.rounds):
             w *= len(y) / w.sum()
-            member = C45Tree(**self.tree).fit(frame, y, n_classes, w)
+            member = self.make(**self.tree).fit(frame, y, n_classes, w)
             wrong = member.predict(frame) != y
             e = float((w * wrong).sum() / w.sum())
             self.errors.append(e)
@@ -261,7 +303,7 @@ class NaiveBayes:
 class NBTree:
     """A tree whose leaves are naive Bayes: a node splits if the children's cross-validated accuracy cuts its errors by min_gain at least."""
 
-    def __init__(self, min_rows: int = 30, min_gain: float = 0.05, folds: int = 5, bins: int = 10, max_depth: int = 4, seed: int = 7):
+    def __init__(self, min_rows: int = 30, min_gain: float = 0.05, folds: int = 5, bins: int = 10, max_depth: int | None = None, seed: int = 7):
         self.min_rows, self.min_gain, self.folds, self.bins, self.max_depth, self.seed = min_rows, min_gain, folds, bins, max_depth, seed
 
     def fit(self, frame, y, n_classes, weights=None):
@@ -280,7 +322,7 @@ class NBTree:
 
     def _grow(self, frame, y, rows, depth):
         leaf = NaiveBayes(self.bins).fit(frame.rows(rows), y[rows], self.n_classes)
-        if len(rows) < self.min_rows or depth >= self.max_depth or len(np.unique(y[rows])) < 2:
+        if len(rows) < self.min_rows or (self.max_depth is not None and depth >= self.max_depth) or len(np.unique(y[rows])) < 2:
             return leaf
         own = self._utility(frame, y, rows)
         best = None
