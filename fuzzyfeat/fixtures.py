@@ -62,7 +62,21 @@ def part_sql(d: dict) -> str:
     return f"SELECT p_partkey AS row_id, cast(p_size as double) AS p_size, p_retailprice, p_brand, {d['split']('p_name', chr(39) + ' ' + chr(39))}[{d.get('one', 1)}] AS first_word, p_type AS label, p_type AS fine_label FROM {d.get('part', 'part')}"
 
 
-SQL = {"traffic": traffic_sql, "unknowns": lambda d: traffic_sql(d, True), "xor": xor_sql, "quality": quality_sql, "toxic": lambda d: quality_sql(d, "toxic"), "role": role_sql, "orders": orders_sql, "supplier": supplier_sql, "part": part_sql}
+EMB = 64
+
+
+def emb_sql(d: dict) -> str:
+    """The vectors' components as columns: many numeric features, among which clusters of equal centroids are likely."""
+    parts = ", ".join(f"cast(embedding[{i + d.get('one', 1)}] as double) AS e{i}" for i in range(EMB))
+    return f"SELECT vec_id AS row_id, {parts}, {d['text']('label')} AS label, {d['text']('label')} AS fine_label FROM {d.get('embeddings', 'embeddings')}"
+
+
+def line_sql(d: dict) -> str:
+    """Order lines by return flag: a control whose columns say next to nothing of the class, apart from the date."""
+    return f"SELECT l_orderkey * 10 + l_linenumber AS row_id, cast(l_quantity as double) AS l_quantity, cast(l_extendedprice as double) AS l_extendedprice, cast(l_discount as double) AS l_discount, cast(l_tax as double) AS l_tax, cast(month(l_shipdate) as double) AS ship_month, l_returnflag AS label, l_returnflag || '/' || l_linestatus AS fine_label FROM {d.get('lineitem', 'lineitem')}"
+
+
+SQL = {"traffic": traffic_sql, "unknowns": lambda d: traffic_sql(d, True), "xor": xor_sql, "quality": quality_sql, "toxic": lambda d: quality_sql(d, "toxic"), "role": role_sql, "orders": orders_sql, "supplier": supplier_sql, "part": part_sql, "emb": emb_sql, "line": line_sql}
 C, O, S = "continuous", "ordinal", "symbolic"
 _TRAFFIC = [Feature("value", C), Feature("k", C), Feature("hour", O, 24), Feature("event_type", S)]
 _QUALITY = [Feature(c, C) for c in ("n_chars", "n_words", "n_lines", "letter_ratio", "uniq_ratio")] + [Feature("lang", S), Feature("source", S)]
@@ -72,8 +86,10 @@ SPECS = {
     "orders": [Feature("o_totalprice", C), Feature("c_acctbal", C), Feature("order_month", O, 13), Feature("o_orderstatus", S), Feature("c_mktsegment", S), Feature("r_name", S)],
     "supplier": [Feature("s_acctbal", C), Feature("nation", S)],
     "part": [Feature("p_size", O, 51), Feature("p_retailprice", C), Feature("p_brand", S), Feature("first_word", S)],
+    "emb": [Feature(f"e{i}", C) for i in range(EMB)],
+    "line": [Feature(c, C) for c in ("l_quantity", "l_extendedprice", "l_discount", "l_tax")] + [Feature("ship_month", O, 13)],
 }
-_TABLES = ("events", "documents", "labels", "conversations", "orders", "customer", "nation", "region", "supplier", "part")
+_TABLES = ("events", "documents", "labels", "conversations", "orders", "customer", "nation", "region", "supplier", "part", "embeddings", "lineitem")
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -1,28 +1,32 @@
 """Classifiers on cluster-augmented rows: one candidate for each cluster count, the best by stratified cross validation.
 
 Clusterings of all counts run over all rows in shared scans. Candidates train on a reduced set of at most MAX_TRAIN rows (all
-rows, if they are fewer; rare strata stay whole), which every executor gets once; the (count, fold) jobs spread over the
-cluster. Only the winner is fitted on the whole reduced set. New rows are scored in one pass without a shuffle.
+rows, if they are fewer), which every executor gets once; the (count, fold) jobs spread over the cluster. Only the winner is
+fitted on the whole reduced set. New rows are scored in one pass without a shuffle.
+
+Scope "paper": gains, centroids and the selected subset come from all training rows, once for each count, before the folds.
+Scope "nested": all of these are fitted anew without the rows of each fold, so that no score has seen its test rows.
 """
 
 from __future__ import annotations
 
 import json
 import pickle
+import time
 from collections.abc import Callable, Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fuzzyfeat.operators.fcm import FcmModel, fit_many, memberships_block, sqdist_block
-from fuzzyfeat.operators.features import DIGITS
-from fuzzyfeat.operators.infogain import gains
+from fuzzyfeat.operators.fcm import Clusterer, Clustering, FcmModel, FuzzyCMeans
+from fuzzyfeat.operators.features import DIGITS, augment
+from fuzzyfeat.operators.infogain import gains, pair_uncertainty
 from fuzzyfeat.operators.learners.data import Frame
 from fuzzyfeat.operators.learners.svm import KernelSVM
-from fuzzyfeat.operators.learners.tree import AdaBoostM1, Bagging, C45Tree, NBTree
+from fuzzyfeat.operators.learners.tree import AdaBoostM1, Bagging, C45Tree, LevelVote, NBTree
 from fuzzyfeat.operators.prepare import Scaler, fit_scaler
 from fuzzyfeat.operators.sampling import bounded, stratified_folds
 from fuzzyfeat.operators.selection import CfsSelector
@@ -30,13 +34,31 @@ from fuzzyfeat.plans.spec import Feature
 from fuzzyfeat.session import prepare
 
 MAX_TRAIN = 50_000
-JOB = pa.schema([("k", pa.int32()), ("fold", pa.int32()), ("hits", pa.int64()), ("n", pa.int64()), ("model", pa.binary())])
+JOB = pa.schema([("k", pa.int32()), ("fold", pa.int32()), ("score", pa.float64()), ("n", pa.int64()), ("model", pa.binary())])
 LEARNERS: dict[str, Callable] = {
     "dt": lambda **o: C45Tree(**o), "psvm": lambda **o: KernelSVM("poly", **o), "rsvm": lambda **o: KernelSVM("rbf", **o),
-    "boost": lambda **o: AdaBoostM1(**o), "bag": lambda **o: Bagging(**o), "nbtree": lambda **o: NBTree(**o),
+    "vote": lambda **o: LevelVote(**o), "boost": lambda **o: AdaBoostM1(**o), "bag": lambda **o: Bagging(**o), "nbtree": lambda **o: NBTree(**o),
 }
 
 
+def _accuracy(y: np.ndarray, said: np.ndarray) -> float:
+    return float((y == said).mean())
+
+
+def _balanced(y: np.ndarray, said: np.ndarray) -> float:
+    """Plain mean of the classes' true-positive rates."""
+    return float(np.mean([(said[y == c] == c).mean() for c in np.unique(y)]))
+
+
+def _rate_gap(y: np.ndarray, said: np.ndarray) -> float:
+    """Average true-positive rate less average false-positive rate, weighted by class sizes."""
+    return float(sum((y == c).mean() * ((said[y == c] == c).mean() - ((said[y != c] == c).mean() if (y != c).any() else 0.0)) for c in np.unique(y)))
+
+
+#: What a candidate is scored by on the rows of a fold: (true classes, predicted ones) -> the more the better.
+MEASURES: dict[str, Callable[[np.ndarray, np.ndarray], float]] = {"accuracy": _accuracy, "balanced": _balanced, "rate_gap": _rate_gap}
+
+
 @dataclass
 class Reduced:
     """The reduced training set as arrays: raw columns for learners, normalised ones for memberships."""
@@ -60,11 +82,11 @@ def frame_of(r: np.ndarray, s: np.ndarray, spec: list[Feature]) -> Frame:
     return Frame(r, s, [f.name for f in spec if f.numeric], [f.name for f in spec if not f.numeric])
 
 
-def cluster_frame(x: np.ndarray, s: np.ndarray, model: FcmModel | None, T: int) -> Frame | None:
+def cluster_frame(x: np.ndarray, s: np.ndarray, model: Clustering | None, T: int) -> Frame | None:
     """z, b and, for T of 2 or 3, the membership columns."""
     if T == 0 or model is None:
         return None
-    p = np.round(memberships_block(sqdist_block(x, s, model.centroids, model.gains_num, model.gains_cat, model.unknown), model.alpha), DIGITS)
+    p = np.round(model.memberships(x, s), DIGITS)
     num, names = [p.max(axis=1)], ["b"]
     if T >= 2:
         num += list(p.T)
@@ -72,35 +94,54 @@ def cluster_frame(x: np.ndarray, s: np.ndarray, model: FcmModel | None, T: int)
     return Frame(np.stack(num, axis=1), p.argmax(axis=1)[:, None], names, ["z"])
 
 
-def design(raw: Frame, x: np.ndarray, s: np.ndarray, model: FcmModel | None, T: int) -> Frame:
+def design(raw: Frame, x: np.ndarray, s: np.ndarray, model: Clustering | None, T: int) -> Frame:
     extra = cluster_frame(x, s, model, T)
     return raw.beside(extra) if extra else raw
 
 
-def _train(data: Reduced, rows: np.ndarray, model: FcmModel | None, T: int, learner: str, options: dict, selector) -> tuple[object, list[str] | None]:
-    whole = design(data.raw, data.x, data.s, model, T).rows(rows)
-    subset = selector.select(whole, data.y[rows], len(data.classes)) if selector is not None and T in (0, 3) else None
-    frame = whole.only(subset) if subset is not None else whole
-    return LEARNERS[learner](**options).fit(frame, data.y[rows], len(data.classes)), subset
+def _jobs(spark, data: Reduced, models: dict[int, Clustering | None], jobs: list[tuple[int, int]], T: int, learner: str, options: dict, subsets: dict[int, list[str]], selector=None, measure: str = "accuracy") -> dict[tuple[int, int], tuple]:
+    """(k, fold) -> (score, rows, (trained, subset)) of each job; fold -1 trains on all rows. One task a job; the arrays are bounded by MAX_TRAIN.
 
-
-def _jobs(spark, data: Reduced, models: dict[int, FcmModel | None], jobs: list[tuple[int, int]], T: int, learner: str, options: dict, selector) -> dict[tuple[int, int], tuple]:
-    """(k, fold) -> (hits, rows, trained) of each job; fold -1 trains on all rows. One task a job; the arrays are bounded by MAX_TRAIN."""
+    subsets: the columns of each count, if chosen before; else the selector chooses them from the job's own training rows.
+    """
     shared = spark.sparkContext.broadcast((data, models))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         data, models = shared.value
         for batch in batches:
             for k, fold in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                rows = np.flatnonzero(data.fold != fold)
-                trained, subset = _train(data, rows, models[k], T, learner, options, selector)
-                test = np.flatnonzero(data.fold == fold)
+                rows, test = np.flatnonzero(data.fold != fold), np.flatnonzero(data.fold == fold)
                 frame = design(data.raw, data.x, data.s, models[k], T)
-                hits = int((trained.predict((frame.only(subset) if subset is not None else frame).rows(test)) == data.y[test]).sum()) if len(test) else 0
-                yield pa.RecordBatch.from_pydict({"k": [k], "fold": [fold], "hits": [hits], "n": [len(test)], "model": [pickle.dumps((trained, subset)) if fold < 0 else b""]}, schema=JOB)
+                subset = subsets.get(k)
+                if subset is None and selector is not None:
+                    subset = selector.select(frame.rows(rows), data.y[rows], len(data.classes))
+                frame = frame.only(subset) if subset is not None else frame
+                trained = LEARNERS[learner](**options).fit(frame.rows(rows), data.y[rows], len(data.classes))
+                score = MEASURES[measure](data.y[test], trained.predict(frame.rows(test))) if len(test) else 0.0
+                yield pa.RecordBatch.from_pydict({"k": [k], "fold": [fold], "score": [score], "n": [len(test)], "model": [pickle.dumps((trained, subset)) if fold < 0 else b""]}, schema=JOB)
 
     frame = spark.createDataFrame(jobs, "k int, fold int").repartition(max(1, len(jobs)), "k", "fold")
-    return {(r["k"], r["fold"]): (r["hits"], r["n"], pickle.loads(r["model"]) if r["model"] else None) for r in frame.mapInArrow(work, "k int, fold int, hits long, n long, model binary").collect()}
+    return {(r["k"], r["fold"]): (r["score"], r["n"], pickle.loads(r["model"]) if r["model"] else None) for r in frame.mapInArrow(work, "k int, fold int, score double, n long, model binary").collect()}
+
+
+def associations(df: DataFrame, spec: list[Feature], scaler: Scaler, model: FcmModel | None, T: int, label: str, bins: int = 10) -> tuple[list[str], np.ndarray, np.ndarray]:
+    """Names, associations with the class and mutual associations of the raw and cluster columns, counted over all rows."""
+    columns = list(spec)
+    if model is not None and T:
+        df = augment(df, scaler, model, 2 if T == 3 else T)
+        columns += [Feature("z", "symbolic"), Feature("b", "continuous"), *(Feature(f"p_{j + 1}", "continuous") for j in range(model.centroids.k if T >= 2 else 0))]
+        for f in columns[len(spec) + 1 :]:
+            df = df.withColumn(f.name, F.round(f.name, DIGITS))
+    names = [f.name for f in columns if f.numeric] + [f.name for f in columns if not f.numeric]
+    at = {n: i for i, n in enumerate(names)}
+    to_class, mutual = np.zeros(len(names)), np.eye(len(names))
+    for r in pair_uncertainty(df, columns, bins, label).collect():  # columns ** 2 / 2 numbers
+        f, g = at.get(r["f"]), at.get(r["g"])
+        if f is not None and g is not None:
+            mutual[f, g] = mutual[g, f] = r["su"]
+        else:
+            to_class[f if g is None else g] = r["su"]
+    return names, to_class, mutual
 
 
 @dataclass
@@ -108,13 +149,14 @@ class CacModel:
     """A trained classifier with all that new rows need: normaliser, centroids, subset."""
 
     scaler: Scaler
-    fcm: FcmModel | None
+    fcm: Clustering | None
     T: int
     learner: object
     subset: list[str] | None
     classes: list[str]
     k: int
     scores: dict[int, float]
+    cost: dict[str, float] = field(default_factory=dict)
 
     def transform(self, df: DataFrame) -> DataFrame:
         """The frame with z, b (null for T=0) and prediction."""
@@ -141,7 +183,7 @@ class CacModel:
 
     def save(self, spark, path: str) -> None:
         """One row: a readable summary and the trained state, written by Spark to any store that it knows."""
-        summary = json.dumps({"T": self.T, "k": self.k, "classes": self.classes, "subset": self.subset, "scores": self.scores})
+        summary = json.dumps({"T": self.T, "k": self.k, "classes": self.classes, "subset": self.subset, "scores": self.scores, "cost": self.cost})
         spark.createDataFrame([(summary, pickle.dumps(self))], "summary string, state binary").coalesce(1).write.mode("overwrite").parquet(path)
 
     @staticmethod
@@ -160,31 +202,63 @@ def reduce_rows(df: DataFrame, scaler: Scaler, label: str, q: int, most: int, cl
     return Reduced(frame_of(r, s, scaler.spec), x, s, np.array([classes.index(row[label]) for row in rows], np.int64), np.array([row["fold"] for row in rows]), classes)
 
 
-def fit_cac(df: DataFrame, spec: list[Feature], K: list[int], learner: str = "dt", T: int = 1, selector=None, q: int = 10, label: str = "label", alpha: float = 3.0, tol: float = 1e-6, max_iter: int = 300, options: dict | None = None, evaluator: str = "cv", normalise: str = "minmax", weighted: bool = True, most: int = MAX_TRAIN, init: str = "hash") -> CacModel:
-    """The best candidate over K. T=0: the plain learner (with selector: on its selected columns). evaluator: cv, holdout (one fold) or validity."""
+def fit_cac(
+    df: DataFrame, spec: list[Feature], K: list[int], learner: str = "dt", T: int = 1, selector=None, q: int = 10, label: str = "label", alpha: float = 3.0, tol: float = 1e-6, max_iter: int = 300, options: dict | None = None,
+    evaluator: str = "cv", normalise: str = "minmax", weighted: bool = True, most: int = MAX_TRAIN, init: str = "hash", scope: str = "paper", measure: str = "accuracy", unknown: str = "both", clusterer: Clusterer | None = None,
+) -> CacModel:
+    """The best candidate over K. T=0: the plain learner (with selector: on its selected columns). evaluator: cv, holdout (one fold) or validity.
+
+    scope: "paper" or "nested", see above. measure: one of MEASURES. clusterer: anything that fits memberships, in place of fuzzy c-means.
+    """
     spark = prepare(df.sparkSession)
     df = df.filter(F.col(label).isNotNull())
-    options = options or {}
+    options, clock = options or {}, {"begin": time.time()}
     classes = sorted(r[0] for r in df.select(label).distinct().collect())
-    scaler = fit_scaler(df, spec, normalise)
     if T == 3 and selector is None:
         selector = CfsSelector()
-    models: dict[int, FcmModel | None] = {0: None}
-    if T:
-        g = gains(df, spec, label) if weighted else {f.name: 1.0 for f in spec}
-        packed = scaler.pack(df, "row_id")
-        models = fit_many(packed, list(K), [g[f.name] for f in spec if f.numeric], [g[f.name] for f in spec if not f.numeric], [len(scaler.levels[f.name]) for f in spec if not f.numeric], alpha, tol, max_iter, init)
+    selector = selector if T in (0, 3) else None
+    clusterer = clusterer or FuzzyCMeans(alpha, tol, max_iter, init, unknown)
+
+    def clusterings(rows: DataFrame) -> tuple[Scaler, dict[int, Clustering | None]]:
+        scaler = fit_scaler(rows, spec, normalise)
+        if not T:
+            return scaler, {0: None}
+        g = gains(rows, spec, label) if weighted else {f.name: 1.0 for f in spec}
+        return scaler, clusterer.fit(scaler.pack(rows, "row_id"), list(K), [g[f.name] for f in spec if f.numeric], [g[f.name] for f in spec if not f.numeric], [len(scaler.levels[f.name]) for f in spec if not f.numeric])
+
+    scaler, models = clusterings(df)
+    clock["cluster"] = time.time()
     data = reduce_rows(df, scaler, label, q, most, classes)
+    subsets: dict[int, list[str]] = {}
+    if selector is not None and scope == "paper":
+        for k, model in models.items():
+            if hasattr(selector, "choose") and (model is None or isinstance(model, FcmModel)):
+                subsets[k] = selector.choose(*associations(df, spec, scaler, model, T, label, selector.bins))
+            else:
+                subsets[k] = selector.select(design(data.raw, data.x, data.s, model, T), data.y, len(classes))
+    clock["select"] = time.time()
     scores: dict[int, float] = {}
+    folds = range(q if evaluator == "cv" else 1)
     if len(models) > 1 and evaluator == "validity":
         from fuzzyfeat.operators.validity import validity
 
         scores = {r["k"]: r["pc"] for r in validity(scaler.pack(df, "row_id"), models).collect()}
     elif len(models) > 1 or T == 0:
-        done = _jobs(spark, data, models, [(k, f) for k in models for f in range(q if evaluator == "cv" else 1)], T, learner, options, selector)
+        if scope == "nested":
+            done, dealt = {}, stratified_folds(df, "fine_label", q)
+            for f in folds:
+                own_scaler, own = clusterings(dealt.filter(F.col("fold") != f).drop("fold"))
+                done |= _jobs(spark, reduce_rows(df, own_scaler, label, q, most, classes), own, [(k, f) for k in own], T, learner, options, {}, selector, measure)
+        else:
+            done = _jobs(spark, data, models, [(k, f) for k in models for f in folds], T, learner, options, subsets, selector, measure)
         for k in models:
-            folds = [hits / n for (kk, _), (hits, n, _) in done.items() if kk == k and n]
-            scores[k] = float(np.mean(folds)) if folds else 0.0
-    best = min(models, key=lambda k: (-scores.get(k, 0.0), k))
-    trained, subset = _jobs(spark, data, {best: models[best]}, [(best, -1)], T, learner, options, selector)[(best, -1)][2]
-    return CacModel(scaler, models[best], T, trained, subset, classes, best, scores)
+            own = [score for (kk, _), (score, n, _) in done.items() if kk == k and n]
+            scores[k] = float(np.mean(own)) if own else 0.0
+    clock["folds"] = time.time()
+    best = min(models, key=lambda k: (-round(scores.get(k, 0.0), 12), k))
+    trained, subset = _jobs(spark, data, {best: models[best]}, [(best, -1)], T, learner, options, subsets, selector)[(best, -1)][2]
+    rounds = {k: len(m.trace) for k, m in models.items() if isinstance(m, FcmModel)}
+    marks = list(clock.items()) + [("train", time.time())]
+    cost = {f"{name}_seconds": round(now - before, 3) for (_, before), (name, now) in zip(marks, marks[1:], strict=False)}
+    cost |= {"rounds": max(rounds.values(), default=0), "row_centroids_per_row": sum(k * n for k, n in rounds.items()), "not_converged": sum(isinstance(m, FcmModel) and not m.converged for m in models.values()), "models_fitted": len(folds) * len(models) * (evaluator != "validity") * (len(models) > 1 or T == 0) + 1, "training_rows": len(data.y)}
+    return CacModel(scaler, models[best], T, trained, subset, classes, best, scores, cost)

@@ -78,7 +78,10 @@ class CfsSelector:
         self.search, self.bins, self.options = search, bins, options
 
     def select(self, frame: Frame, y: np.ndarray, n_classes: int) -> list[str]:
-        names, to_class, mutual = association(frame, y, self.bins)
+        return self.choose(*association(frame, y, self.bins))
+
+    def choose(self, names: list[str], to_class: np.ndarray, mutual: np.ndarray) -> list[str]:
+        """The subset, from associations counted anywhere."""
         best, _ = (genetic if self.search == "genetic" else exhaustive)(to_class, mutual, **self.options)
         return [names[i] for i in sorted(best)]
 
@@ -90,7 +93,9 @@ class FilterSelector:
         self.top, self.bins = top, bins
 
     def select(self, frame: Frame, y: np.ndarray, n_classes: int) -> list[str]:
-        names, to_class, _ = association(frame, y, self.bins)
+        return self.choose(*association(frame, y, self.bins))
+
+    def choose(self, names: list[str], to_class: np.ndarray, mutual: np.ndarray) -> list[str]:
         return [names[i] for i in sorted(np.argsort(-to_class, kind="stable")[: self.top])]
 
 
