@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from functools import partial
+from uuid import uuid4
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -13,8 +14,12 @@ from fuzzyfeat import fixtures, workloads
 from fuzzyfeat.functions import udx
 from fuzzyfeat.operators import features, infogain, metrics, sampling, validity
 from fuzzyfeat.operators.fcm import Centroids, FcmModel, distance_column, fit_many, membership_column, seeds
+from fuzzyfeat.operators.augmented import associations
 from fuzzyfeat.operators.prepare import fit_scaler
-from fuzzyfeat.sources.tables import load, stream_table
+from fuzzyfeat.operators.selection import CfsSelector
+from fuzzyfeat.plans.spec import Feature
+from fuzzyfeat.session import materialise, remove, shared_folder
+from fuzzyfeat.sources.tables import load, read_any, stream_table, write_any
 from fuzzyfeat.streaming import ops
 
 ALPHA, SEEDED = 3.0, 3
@@ -80,10 +85,11 @@ for _name in ("traffic", "quality", "supplier", "part", "orders", "role"):
     query(f"info_gain_{_name}", f"WITH {fixture_cte(_name)}, {gain_ctes(_name)} SELECT feature, round(gain, 6) AS gain, round(gain_ratio, 6) AS gain_ratio, round(sym_uncert, 6) AS sym_uncert FROM gain_t")(partial(_gain, _name))
 
 
-def pair_ctes(name: str, bins: int = 10) -> str:
-    codes = [f"CASE WHEN x.{x.name} IS NULL THEN NULL ELSE cast(cast(least(floor((x.{x.name} - lo_{x.name}) * {bins} / (hi_{x.name} - lo_{x.name})), {bins - 1}) AS bigint) AS varchar) END AS {x.name}" if x.kind == "continuous" else f"cast(x.{x.name} AS varchar) AS {x.name}" for x in fixtures.SPECS[name]]
-    ends = ", ".join(f"min({x.name}) AS lo_{x.name}, max({x.name}) AS hi_{x.name}" for x in fixtures.SPECS[name] if x.kind == "continuous")
-    names = sorted([x.name for x in fixtures.SPECS[name]] + ["label"])
+def pair_ctes(name: str, bins: int = 10, spec: list[Feature] | None = None) -> str:
+    spec = spec or fixtures.SPECS[name]
+    codes = [f"CASE WHEN x.{x.name} IS NULL THEN NULL ELSE cast(cast(least(floor((x.{x.name} - lo_{x.name}) * {bins} / (hi_{x.name} - lo_{x.name})), {bins - 1}) AS bigint) AS varchar) END AS {x.name}" if x.kind == "continuous" else f"cast(x.{x.name} AS varchar) AS {x.name}" for x in spec]
+    ends = ", ".join(f"min({x.name}) AS lo_{x.name}, max({x.name}) AS hi_{x.name}" for x in spec if x.kind == "continuous")
+    names = sorted([x.name for x in spec] + ["label"])
     arms = " UNION ALL ".join(f"SELECT '{a}' AS f, '{b}' AS g, {a} AS a, {b} AS b FROM codes" for i, a in enumerate(names) for b in names[i + 1 :])
     return f"""codes AS (SELECT {', '.join(codes)}, x.label FROM f x, (SELECT {ends} FROM f) r), p AS (SELECT f, g, a, b, count(*) AS n FROM ({arms}) q WHERE a IS NOT NULL AND b IS NOT NULL GROUP BY ALL),
       pt AS (SELECT *, sum(n) OVER (PARTITION BY f, g) AS t FROM p), hj AS (SELECT f, g, sum(-n / t * log2(n / t)) AS hj FROM pt GROUP BY f, g),
@@ -130,8 +136,8 @@ def _symbolic(name):
     return [x for x in fixtures.SPECS[name] if not x.numeric]
 
 
-def fcm_ctes(name: str, k: int, steps: int, weighted: bool = True, unknown: str = "both", tag: str = "", seed_only_from: str | None = None) -> str:
-    """CTEs n, v0..v<steps>, w0..w<steps>: normalised rows, centroids and memberships of each round."""
+def fcm_ctes(name: str, k: int, steps: int, weighted: bool = True, unknown: str = "both", tag: str = "", crisp: bool = False, others: str = "") -> str:
+    """CTEs n, v0..v<steps>, w0..w<steps>: normalised rows, centroids and memberships of each round. others: a condition on rows of the fixture that take the last memberships (table wo) and no other part."""
     num, cat = _numeric(name), _symbolic(name)
     scaled = [f"x.{c.name} / {c.levels - 1} AS {c.name}" if c.kind == "ordinal" else f"(x.{c.name} - lo_{c.name}) / (hi_{c.name} - lo_{c.name}) AS {c.name}" for c in num]
     ends = ", ".join(f"min({c.name}) AS lo_{c.name}, max({c.name}) AS hi_{c.name}" for c in num if c.kind == "continuous")
@@ -139,12 +145,21 @@ def fcm_ctes(name: str, k: int, steps: int, weighted: bool = True, unknown: str
     g = {c: f"(SELECT gain FROM gain_t WHERE feature = '{c}')" if weighted else "1" for c in names}
     out = [f"n{tag} AS (SELECT row_id, {', '.join(scaled + ['x.' + c.name for c in cat])} FROM f x, (SELECT {ends} FROM f) r)"] if not tag or tag == "_first" else []
     n = "n"
+    if others:
+        out.append(f"no AS (SELECT row_id, {', '.join(scaled + ['x.' + c.name for c in cat])} FROM (SELECT * FROM ({fixtures.duckdb_sql(name)}) q WHERE {others}) x, (SELECT {ends} FROM f) r)")
     out.append(f"v{tag}0 AS (SELECT row_number() OVER (ORDER BY m) - 1 AS j, {', '.join(names)} FROM (SELECT {', '.join(names)}, min(md5('seed' || cast(row_id AS varchar))) AS m FROM {n} GROUP BY ALL ORDER BY m LIMIT {k}) q)")
     for i in range(steps + 1):
         terms = [f"{g[c.name]} * CASE WHEN n.{c.name} IS NULL {'AND' if unknown == 'both' else 'OR'} v.{c.name} IS NULL THEN 1 WHEN n.{c.name} IS NULL OR v.{c.name} IS NULL THEN 0 ELSE (n.{c.name} - v.{c.name}) * (n.{c.name} - v.{c.name}) END" for c in num]
         terms += [f"{g[c.name]} * CASE WHEN n.{c.name} IS NULL {'AND' if unknown == 'both' else 'OR'} v.{c.name} IS NULL THEN 1 WHEN n.{c.name} IS NULL OR v.{c.name} IS NULL THEN 0 WHEN n.{c.name} <> v.{c.name} THEN 1 ELSE 0 END" for c in cat]
+        if others and i == steps:
+            out.append(f"d_o AS (SELECT n.row_id, v.j, {' + '.join(terms)} AS d2 FROM no n, v{tag}{i} v)")
+            out.append(f"u_o AS (SELECT *, CASE WHEN min(d2) OVER (PARTITION BY row_id) <= 0 THEN CASE WHEN d2 <= 0 THEN 1.0 ELSE 0.0 END ELSE power(d2 / min(d2) OVER (PARTITION BY row_id), {-1 / (ALPHA - 1)}) END AS u FROM d_o)")
+            out.append("wo AS (SELECT *, u / sum(u) OVER (PARTITION BY row_id) AS w FROM u_o)")
         out.append(f"d{tag}{i} AS (SELECT n.row_id, v.j, {', '.join('n.' + c for c in names)}, {' + '.join(terms)} AS d2 FROM {n} n, v{tag}{i} v)")
-        out.append(f"u{tag}{i} AS (SELECT *, CASE WHEN min(d2) OVER (PARTITION BY row_id) <= 0 THEN CASE WHEN d2 <= 0 THEN 1.0 ELSE 0.0 END ELSE power(d2 / min(d2) OVER (PARTITION BY row_id), {-1 / (ALPHA - 1)}) END AS u FROM d{tag}{i})")
+        if crisp:
+            out.append(f"u{tag}{i} AS (SELECT *, CASE WHEN row_number() OVER (PARTITION BY row_id ORDER BY round(d2, 9), j) = 1 THEN 1.0 ELSE 0.0 END AS u FROM d{tag}{i})")
+        else:
+            out.append(f"u{tag}{i} AS (SELECT *, CASE WHEN min(d2) OVER (PARTITION BY row_id) <= 0 THEN CASE WHEN d2 <= 0 THEN 1.0 ELSE 0.0 END ELSE power(d2 / min(d2) OVER (PARTITION BY row_id), {-1 / (ALPHA - 1)}) END AS u FROM d{tag}{i})")
         out.append(f"w{tag}{i} AS (SELECT *, u / sum(u) OVER (PARTITION BY row_id) AS w FROM u{tag}{i})")
         if i < steps:
             means = ", ".join(f"sum(CASE WHEN {c.name} IS NOT NULL THEN power(w, {ALPHA}) * {c.name} END) / sum(CASE WHEN {c.name} IS NOT NULL THEN power(w, {ALPHA}) END) AS {c.name}" for c in num)
@@ -168,9 +183,9 @@ def _start(spark, sf_dir, name, weighted=True):
     return df, scaler, packed, np.array([g[x.name] for x in _numeric(name)]), np.array([g[x.name] for x in _symbolic(name)])
 
 
-def _models(spark, sf_dir, name, counts, steps, weighted=True) -> tuple:
+def _models(spark, sf_dir, name, counts, steps, weighted=True, alpha=ALPHA) -> tuple:
     df, scaler, packed, gn, gc = _start(spark, sf_dir, name, weighted)
-    return df, scaler, packed, fit_many(packed, counts, gn, gc, [len(scaler.levels[x.name]) for x in _symbolic(name)], ALPHA, tol=0.0, max_iter=steps)
+    return df, scaler, packed, fit_many(packed, counts, gn, gc, [len(scaler.levels[x.name]) for x in _symbolic(name)], alpha, tol=0.0, max_iter=steps)
 
 
 def _centroid_frame(spark, name, scaler, models: dict[int, FcmModel], with_k: bool):
@@ -183,14 +198,15 @@ def _centroid_frame(spark, name, scaler, models: dict[int, FcmModel], with_k: bo
     return spark.createDataFrame(rows, ("k int, " if with_k else "") + "j long, feature string, v double, level string")
 
 
-def _centroids(name, counts, steps, weighted, with_k, spark, sf_dir):
-    _, scaler, _, models = _models(spark, sf_dir, name, counts, steps, weighted)
+def _centroids(name, counts, steps, weighted, with_k, spark, sf_dir, alpha=ALPHA):
+    _, scaler, _, models = _models(spark, sf_dir, name, counts, steps, weighted, alpha)
     return _centroid_frame(spark, name, scaler, models, with_k)
 
 
 query("fcm_centroids_3iter_traffic", f"WITH {fixture_cte('traffic')}, {gain_ctes('traffic')}, {fcm_ctes('traffic', 3, 3)} {_centroid_rows('traffic', 'v3')}")(partial(_centroids, "traffic", [3], 3, True, False))
 query("fcm_centroids_3iter_quality", f"WITH {fixture_cte('quality')}, {gain_ctes('quality')}, {fcm_ctes('quality', 3, 3)} {_centroid_rows('quality', 'v3')}")(partial(_centroids, "quality", [3], 3, True, False))
 query("fcm_unweighted_quality", f"WITH {fixture_cte('quality')}, {fcm_ctes('quality', 3, 2, weighted=False)} {_centroid_rows('quality', 'v2')}")(partial(_centroids, "quality", [3], 2, False, False))
+query("crisp_centroids_3iter_quality", f"WITH {fixture_cte('quality')}, {gain_ctes('quality')}, {fcm_ctes('quality', 3, 3, crisp=True)} {_centroid_rows('quality', 'v3')}")(partial(_centroids, "quality", [3], 3, True, False, alpha=1.0))
 query(
     "fcm_multi_k_traffic",
     f"WITH {fixture_cte('traffic')}, {gain_ctes('traffic')}, {fcm_ctes('traffic', 2, 2)}, {fcm_ctes('traffic', 3, 2, tag='_b')}, {fcm_ctes('traffic', 5, 2, tag='_c')} " + " UNION ALL ".join(_centroid_rows("traffic", t, f"{k} AS k, ") for t, k in (("v2", 2), ("v_b2", 3), ("v_c2", 5))),
@@ -221,6 +237,11 @@ query("mixed_distance_traffic", _distance_sql("traffic"))(partial(_distances, "t
 query("mixed_distance_quality", _distance_sql("quality"))(partial(_distances, "quality", "both"))
 
 
+query("mixed_distance_unknown_both", _distance_sql("unknowns", "both"))(partial(_distances, "unknowns", "both"))
+query("mixed_distance_unknown_either", _distance_sql("unknowns", "either"))(partial(_distances, "unknowns", "either"))
+query("fcm_centroids_2iter_unknowns", f"WITH {fixture_cte('unknowns')}, {gain_ctes('unknowns')}, {fcm_ctes('unknowns', 3, 2)} {_centroid_rows('unknowns', 'v2')}")(partial(_centroids, "unknowns", [3], 2, True, False))
+
+
 @query("fcm_membership_quality", f"WITH {fixture_cte('quality')}, {gain_ctes('quality')}, {fcm_ctes('quality', SEEDED, 0)} SELECT row_id, j, round(w, 5) AS w FROM w0")
 def _memberships(spark, sf_dir):
     _, _, packed, model = _seeded(spark, sf_dir, "quality")
@@ -260,15 +281,38 @@ query("cluster_features_t1_traffic", _augmented_sql("traffic", 1))(partial(_augm
 query("cluster_features_t2_quality", _augmented_sql("quality", 2))(partial(_augmented, "quality", 2))
 
 
+def best_subset_sql(name: str, clusters: int) -> str:
+    """(subset, merit) of the best of all subsets, by enumeration; clusters: that many of the seeds' memberships, z and b are columns too."""
+    spec = list(fixtures.SPECS[name])
+    if clusters:
+        spec += [Feature("z", "symbolic"), Feature("b", "continuous"), *(Feature(f"p_{j + 1}", "continuous") for j in range(clusters))]
+    names = sorted(x.name for x in spec)
+    inside = " + ".join(f"(mask >> {i}) % 2" for i in range(len(names)))
+    chosen = lambda c: "CASE " + " ".join(f"WHEN {c} = '{x}' THEN (mask >> {i}) % 2" for i, x in enumerate(names)) + " ELSE 0 END"
+    text = " || ".join(f"CASE WHEN (mask >> {i}) % 2 = 1 THEN '+{x}' ELSE '' END" for i, x in enumerate(names))
+    head = f"WITH {fixture_cte(name)}"
+    if clusters:
+        wide = f"SELECT row_id, cast(min(CASE WHEN r = 1 THEN j END) AS int) AS z, max(w6) AS b, {', '.join(f'max(CASE WHEN j = {j} THEN w6 END) AS p_{j + 1}' for j in range(clusters))} FROM (SELECT *, round(w, 6) AS w6, row_number() OVER (PARTITION BY row_id ORDER BY round(w, 6) DESC, j) AS r FROM w0) q GROUP BY row_id"
+        head = f"WITH f0 AS (SELECT * FROM ({fixtures.duckdb_sql(name)}) q WHERE label IS NOT NULL), {gain_ctes(name).replace(' f,', ' f0,').replace(' FROM f ', ' FROM f0 ').replace('FROM f)', 'FROM f0)')}, {fcm_ctes(name, clusters, 0).replace(' FROM f x', ' FROM f0 x').replace('FROM f)', 'FROM f0)')}, f AS (SELECT f0.*, a.* EXCLUDE (row_id) FROM f0 JOIN ({wide}) a ON a.row_id = f0.row_id)"
+    pairs = pair_ctes(name, spec=spec)
+    return f"""{head}, {pairs}, m AS (SELECT mask, {inside} AS r FROM (SELECT unnest(range(1, {2 ** len(names)})) AS mask) q),
+      e AS (SELECT mask, any_value(r) AS r, sum(CASE WHEN f = 'label' THEN su * {chosen('g')} WHEN g = 'label' THEN su * {chosen('f')} ELSE 0 END) AS c, sum(CASE WHEN f <> 'label' AND g <> 'label' THEN su * {chosen('f')} * {chosen('g')} ELSE 0 END) AS ff FROM m, su GROUP BY mask)
+      SELECT subset, round(merit, 6) AS merit FROM (SELECT substr({text}, 2) AS subset, c / sqrt(r + 2 * ff) AS merit, r FROM e) q ORDER BY round(merit, 10) DESC, r LIMIT 1"""
+
+
+query("cfs_best_exhaustive_quality", best_subset_sql("quality", 0))(partial(workloads.best_subset, "quality"))
+
+
+@query("t3_best_subset_quality", best_subset_sql("quality", SEEDED))
+def _t3_best(spark, sf_dir):
+    _, scaler, _, model = _seeded(spark, sf_dir, "quality")
+    return workloads.best_subset("quality", spark, sf_dir, model, scaler)
+
+
 @query("cluster_features_t3_quality")
 def _t3(spark, sf_dir):
-    from fuzzyfeat.operators.augmented import design, reduce_rows
-    from fuzzyfeat.operators.selection import CfsSelector
-
     df, scaler, _, model = _seeded(spark, sf_dir, "quality")
-    classes = sorted(r[0] for r in df.select("label").distinct().collect())
-    data = reduce_rows(df, scaler, "label", 3, 50_000, classes)
-    subset = CfsSelector().select(design(data.raw, data.x, data.s, model, 2), data.y, len(classes))
+    subset = CfsSelector().choose(*associations(df, fixtures.SPECS["quality"], scaler, model, 3, "label"))
     return features.augment(df, scaler, model, 3, subset)
 
 
@@ -409,19 +453,95 @@ query("stream_session", "SELECT user_id, min(ts) AS session_start, count(*) AS n
 query("stream_dedup", "SELECT DISTINCT event_id, user_id FROM events")(lambda s, d: ops.run_once(ops.dedup(_stream(s, d), ["event_id"]).select("event_id", "user_id")))
 
 
+_LATE = "date_trunc('day', ts)"
+
+
+@query("stream_late", f"WITH cut AS (SELECT median(event_id) AS m FROM events), newer AS (SELECT e.* FROM events e, cut WHERE event_id >= m) SELECT {_LATE} AS window_start, event_type, count(*) AS n, round(avg(value), 4) AS mean_value FROM newer GROUP BY 1, 2 HAVING {_LATE} + INTERVAL 1 DAY <= (SELECT max(ts) FROM newer) - INTERVAL 2 DAY")
+def _late(spark, sf_dir):
+    """The newer half of the events comes first, in two batches; the older half is late then, and the watermark leaves it out."""
+    df = load(spark, sf_dir, "events")
+    middle = df.select(F.median("event_id")).first()[0]
+    newer = df.filter(F.col("event_id") >= middle)
+    stream = ops.replay([newer.filter("event_id % 2 = 0"), newer.filter("event_id % 2 = 1"), df.filter(F.col("event_id") < middle)])
+    out = ops.run_once(ops.tumbling(stream.withColumn("ts", F.col("ts").cast("timestamp"))))
+    return out.select(F.col("window_start").cast("timestamp_ntz").alias("window_start"), "event_type", "n", F.round("mean_value", 4).alias("mean_value"))
+
+
+@query("stream_rolling_rates", SQL["rates_traffic"])
+def _rolling(spark, sf_dir):
+    """Predictions of a rule, joined with the truth that comes an hour later, and the rates of what met."""
+    shaped = lambda: _stream(spark, sf_dir).select("event_id", "ts", "value", F.get_json_object("props", "$.k").cast("int").alias("k"), F.hour("ts").alias("hour"), "event_type")
+    truth = fixtures.load(spark, sf_dir, "traffic").select(F.col("row_id").alias("truth_of"), "label")
+    predicted = shaped().select("event_id", "ts", F.expr(RULE).alias("prediction"))
+    known = shaped().select(F.col("event_id").alias("truth_id"), (F.col("ts") + F.expr("INTERVAL 1 HOUR")).alias("truth_ts")).join(truth, F.col("truth_id") == F.col("truth_of")).drop("truth_of")
+    met = ops.run_once(ops.rolling_rates(predicted, known).select("label", "prediction"))
+    return metrics.rates(metrics.confusion(met)).select("label", F.round("tpr", 6).alias("tpr"), F.round("fpr", 6).alias("fpr"), "n")
+
+
+@query("stream_drift", f"SELECT date_trunc('day', ts) AS window_start, z, count(*) AS n, round(avg(b), 5) AS mean_b FROM ({_augmented_sql('traffic', 1)}) a JOIN events ON event_id = row_id GROUP BY 1, 2")
+def _drift(spark, sf_dir):
+    """Strength and sizes of the clusters by day, on the stream: what training is held against."""
+    _, scaler, _, model = _seeded(spark, sf_dir, "traffic")
+    shaped = _stream(spark, sf_dir).select(F.col("event_id").alias("row_id"), "ts", F.col("value").cast("double").alias("value"), F.get_json_object("props", "$.k").cast("double").alias("k"), F.hour("ts").cast("double").alias("hour"), "event_type")
+    scored = features.augment(shaped, scaler, model, 1)
+    return ops.run_once(ops.drift(scored), "complete").select(F.col("window_start").cast("timestamp_ntz").alias("window_start"), "z", "n", F.round("mean_b", 5).alias("mean_b"))
+
+
+@query("stream_user_state", "SELECT user_id, count(*) AS n, max(ts) AS last_seen, round(max(value), 4) AS top FROM events GROUP BY user_id")
+def _user_state(spark, sf_dir):
+    out = ops.run_once(ops.user_state(_stream(spark, sf_dir)), "update")
+    return out.select("user_id", "n", F.col("last_seen").cast("timestamp_ntz").alias("last_seen"), F.round("top", 4).alias("top"))
+
+
+@query("stream_refresh_centroids")
+def _refresh(spark, sf_dir):
+    """Centroids moved by each micro-batch of events, older sums decayed."""
+    _, scaler, packed, model = _seeded(spark, sf_dir, "traffic")
+    df = load(spark, sf_dir, "events")
+    shaped = ops.replay([df.filter(F.col("event_id") % 3 == i) for i in range(3)]).select(F.col("event_id").alias("row_id"), F.col("value").cast("double").alias("value"), F.get_json_object("props", "$.k").cast("double").alias("k"), F.hour("ts").cast("double").alias("hour"), "event_type")
+    moved = ops.refresh(scaler.pack(shaped, "row_id"), model, [len(scaler.levels[x.name]) for x in _symbolic("traffic")])
+    return _centroid_frame(spark, "traffic", scaler, {SEEDED: moved}, False)
+
+
+@query("read_formats", "SELECT event_type, count(*) AS n, round(sum(value), 2) AS total FROM events GROUP BY event_type UNION ALL SELECT event_type, count(*), round(sum(value), 2) FROM events GROUP BY event_type UNION ALL SELECT event_type, count(*), round(sum(value), 2) FROM events GROUP BY event_type")
+def _formats(spark, sf_dir):
+    """Events written as CSV, JSON and ORC and read back with an explicit schema."""
+    df = load(spark, sf_dir, "events", ["event_id", "event_type", "value"])
+    with_path, folder = [], f"{shared_folder(spark).rstrip('/')}/scratch-{uuid4().hex}"
+    for fmt in ("csv", "json", "orc"):
+        write_any(df, f"{folder}/{fmt}", fmt)
+        with_path.append(read_any(spark, f"{folder}/{fmt}", fmt, df.schema).groupBy("event_type").agg(F.count("*").alias("n"), F.round(F.sum("value"), 2).alias("total")))
+    out = materialise(with_path[0].unionByName(with_path[1]).unionByName(with_path[2]))
+    remove(spark, folder)
+    return out
+
+
 # --- the method, its baselines and the experiments -------------------------------------------------------------------------
-for _fixture in ("traffic", "quality", "role"):
+for _fixture in ("traffic", "quality", "role", "orders", "part", "emb", "line"):
     for _learner in ("dt", "psvm", "rsvm"):
         for _t in (1, 2, 3):
-            if _fixture != "role" or _t == 1:
+            if _fixture in ("traffic", "quality") or (_t == 1 and _fixture == "role") or (_t == 1 and _learner == "dt"):
                 query(f"cac_{_learner}_t{_t}_{_fixture}")(partial(workloads.per_class, _fixture, _learner, _t, False))
 for _learner in ("boost", "bag", "nbtree", "dt", "psvm", "rsvm"):
     query(f"baseline_{_learner}_traffic")(partial(workloads.per_class, "traffic", _learner, 0, False))
 for _learner in ("dt", "psvm", "rsvm"):
     query(f"baseline_{_learner}_fs_traffic")(partial(workloads.per_class, "traffic", _learner, 0, True))
-query("degree_sweep_quality")(partial(workloads.sweep, "quality", "psvm", "degree", [2, 3, 4, 5, 6]))
-query("gamma_sweep_quality")(partial(workloads.sweep, "quality", "rsvm", "gamma", [round(0.1 * i, 1) for i in range(1, 11)]))
-query("k_curve_quality")(partial(workloads.k_curve, "quality", [2, 3, 4, 5, 6]))
+for _kind in ("pca", "poly", "rbf"):
+    query(f"baseline_{_kind}_dt_traffic")(partial(workloads.lifted, "traffic", "dt", _kind))
+for _fixture in ("quality", "traffic"):
+    query(f"degree_sweep_{_fixture}")(partial(workloads.sweep, _fixture, "psvm", "degree", [2, 3, 4, 5, 6]))
+    query(f"gamma_sweep_{_fixture}")(partial(workloads.sweep, _fixture, "rsvm", "gamma", [round(0.1 * i, 1) for i in range(1, 11)]))
+query("average_report_traffic")(partial(workloads.average_report, "traffic"))
+query("selection_ablation_traffic")(partial(workloads.selection_ablation, "traffic"))
+query("cv_scopes_quality")(partial(workloads.scopes, "quality"))
+query("measures_traffic")(partial(workloads.measures, "traffic"))
+query("crisp_contrast_traffic")(partial(workloads.crisp_contrast, "traffic"))
+query("seeding_traffic")(partial(workloads.seeding, "traffic"))
+query("run_cost_traffic")(partial(workloads.costs, "traffic"))
+query("cac_dt_t1_unknowns")(partial(workloads.per_class, "unknowns", "dt", 1, False))
+query("cac_dt_t1_unknowns_either")(partial(workloads.per_class, "unknowns", "dt", 1, False, unknown="either"))
+query("k_curve_full_quality")(partial(workloads.k_curve, "quality", workloads.K_FULL))
+query("k_curve_full_traffic")(partial(workloads.k_curve, "traffic", workloads.K_FULL))
 query("validity_choice_quality")(partial(workloads.validity_choice, "quality", [2, 3, 5]))
 query("xor_case")(workloads.xor_case)
 query("ablation_unweighted_traffic")(partial(workloads.per_class, "traffic", "dt", 1, False, weighted=False))
@@ -434,6 +554,50 @@ query("holdout_choice_traffic")(partial(workloads.per_class, "traffic", "dt", 1,
 query("zscore_normalised_quality")(partial(workloads.per_class, "quality", "dt", 1, False, normalise="zscore"))
 
 
+def _vote_curve_sql(name: str, K: tuple[int, ...] = (2, 3, 5), steps: int = 2, q: int = 3) -> str:
+    """Candidates for each k: the class vote of each cluster, by stratified cross validation."""
+    tags = ["", *(f"_c{k}" for k in K[1:])]
+    rows = " UNION ALL ".join(f"SELECT {k} AS k, row_id, min(CASE WHEN r = 1 THEN j END) AS z FROM (SELECT *, row_number() OVER (PARTITION BY row_id ORDER BY round(w, 6) DESC, j) AS r FROM w{t}{steps}) q GROUP BY row_id" for k, t in zip(K, tags, strict=True))
+    said = "row_number() OVER (PARTITION BY {by} ORDER BY n DESC, label)"
+    return f"""WITH {fixture_cte(name)}, {gain_ctes(name)}, {', '.join(fcm_ctes(name, k, steps, tag=t) for k, t in zip(K, tags, strict=True))}, zs AS ({rows}),
+      folds AS (SELECT row_id, label, cast((row_number() OVER (PARTITION BY fine_label ORDER BY {_h('fold')}, row_id) - 1) % {q} AS int) AS fold FROM f), x AS (SELECT zs.k, zs.z, folds.* FROM zs JOIN folds USING (row_id)), fs AS (SELECT unnest(range(0, {q})) AS test),
+      votes AS (SELECT * FROM (SELECT *, {said.format(by='k, test, z')} AS r FROM (SELECT k, test, z, label, count(*) AS n FROM x, fs WHERE fold <> test GROUP BY ALL) c) q WHERE r = 1),
+      prior AS (SELECT * FROM (SELECT *, {said.format(by='test')} AS r FROM (SELECT test, label, count(*) AS n FROM folds, fs WHERE fold <> test GROUP BY ALL) c) q WHERE r = 1),
+      hit AS (SELECT x.k, x.fold, avg(CASE WHEN x.label = coalesce(votes.label, prior.label) THEN 1.0 ELSE 0.0 END) AS s FROM x JOIN prior ON prior.test = x.fold LEFT JOIN votes ON votes.k = x.k AND votes.test = x.fold AND votes.z = x.z GROUP BY x.k, x.fold),
+      score AS (SELECT k, avg(s) AS s FROM hit GROUP BY k)
+      SELECT cast(k AS int) AS k, round(s, 6) AS score, row_number() OVER (ORDER BY round(s, 12) DESC, k) = 1 AS chosen FROM score"""
+
+
+for _name in ("quality", "traffic"):
+    query(f"vote_k_curve_{_name}", _vote_curve_sql(_name))(partial(workloads.vote_curve, _name))
+
+
+def _vote_boosting_sql(name: str, rounds: int = 3) -> str:
+    columns = [x.name for x in _symbolic(name)]
+    out, arms = [f"{fixture_cte(name)}, n0 AS (SELECT count(*) AS n FROM f), r0 AS (SELECT row_id, label, {', '.join(columns)}, 1.0::double AS w FROM f)"], []
+    for i in range(rounds):
+        for c in columns:
+            out.append(f"t{i}_{c} AS (SELECT {c}, label AS said FROM (SELECT {c}, label, row_number() OVER (PARTITION BY {c} ORDER BY round(sum(w), 9) DESC, label) AS r FROM r{i} GROUP BY {c}, label) q WHERE r = 1)")
+        errors = " UNION ALL ".join(f"SELECT {j} AS place, '{c}' AS col, sum(CASE WHEN label <> said THEN w ELSE 0 END) / sum(w) AS e FROM r{i} JOIN t{i}_{c} USING ({c})" for j, c in enumerate(columns))
+        out.append(f"b{i} AS (SELECT * FROM ({errors}) q ORDER BY round(e, 9), place LIMIT 1)")
+        said = "CASE " + " ".join(f"WHEN b{i}.col = '{c}' THEN t{i}_{c}.said" for c in columns) + " END"
+        joins = " ".join(f"JOIN t{i}_{c} ON t{i}_{c}.{c} = r.{c}" for c in columns)
+        out.append(f"m{i} AS (SELECT r.*, CASE WHEN {said} <> r.label THEN r.w ELSE r.w * e / (1 - e) END AS w2 FROM r{i} r CROSS JOIN b{i} {joins})")
+        out.append(f"r{i + 1} AS (SELECT row_id, label, {', '.join(columns)}, w2 * (SELECT n FROM n0) / sum(w2) OVER () AS w FROM m{i})")
+        arms.append(f"SELECT {i + 1} AS round, col AS \"column\", round(e, 6) AS error, round(ln((1 - e) / e), 6) AS vote FROM b{i}")
+    return f"WITH {', '.join(out)} " + " UNION ALL ".join(arms)
+
+
+query("vote_boosting_quality", _vote_boosting_sql("quality"))(partial(workloads.vote_boosting, "quality"))
+
+
+@query("unlabelled_features_quality", f"WITH {fixture_cte('quality')}, {gain_ctes('quality')}, {fcm_ctes('quality', 3, 3, others='label IS NULL')} SELECT row_id, cast(min(CASE WHEN r = 1 THEN j END) AS int) AS z, round(max(w), 5) AS b FROM (SELECT *, row_number() OVER (PARTITION BY row_id ORDER BY round(w, 6) DESC, j) AS r FROM wo) q GROUP BY row_id")
+def _unlabelled(spark, sf_dir):
+    _, scaler, _, models = _models(spark, sf_dir, "quality", [3], 3)
+    rows = fixtures.load(spark, sf_dir, "quality").filter("label IS NULL")
+    return features.with_memberships(rows, scaler, models[3]).select("row_id", features.basic_features("p")[0].alias("z"), F.round(F.array_max("p"), 5).alias("b"))
+
+
 @query("crisp_clusters_quality", f"WITH {fixture_cte('quality')}, {gain_ctes('quality')}, {fcm_ctes('quality', SEEDED, 0)} SELECT row_id, cast(j AS int) AS z FROM (SELECT row_id, j, row_number() OVER (PARTITION BY row_id ORDER BY round(d2, 9), j) AS r FROM d0) q WHERE r = 1")
 def _crisp(spark, sf_dir):
     _, _, packed, model = _seeded(spark, sf_dir, "quality")

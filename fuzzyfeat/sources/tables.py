@@ -17,6 +17,11 @@ def read_any(spark: SparkSession, path: str, fmt: str, schema=None, **options) -
     return (reader.schema(schema) if schema is not None else reader).load(path)
 
 
+def write_any(df: DataFrame, path: str, fmt: str, mode: str = "overwrite", **options) -> None:
+    """The same formats as a sink."""
+    df.write.mode(mode).format(fmt).options(**options).save(path)
+
+
 def read_jdbc(spark: SparkSession, url: str, table: str, column: str, low: int, high: int, parts: int, **options) -> DataFrame:
     """A table read in `parts` ranges of a numeric column."""
     return spark.read.format("jdbc").options(url=url, dbtable=table, partitionColumn=column, lowerBound=low, upperBound=high, numPartitions=parts, **options).load()
