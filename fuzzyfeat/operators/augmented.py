@@ -22,8 +22,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fuzzyfeat.operators.fcm import Clusterer, Clustering, FcmModel, FuzzyCMeans
-from fuzzyfeat.operators.features import DIGITS, augment
-from fuzzyfeat.operators.infogain import gains, pair_uncertainty
+from fuzzyfeat.operators.features import DIGITS
+from fuzzyfeat.operators.infogain import gains, uncertainty
 from fuzzyfeat.operators.learners.data import Frame
 from fuzzyfeat.operators.learners.svm import KernelSVM
 from fuzzyfeat.operators.learners.tree import AdaBoostM1, Bagging, C45Tree, LevelVote, NBTree
@@ -124,24 +124,77 @@ def _jobs(spark, data: Reduced, models: dict[int, Clustering | None], jobs: list
     return {(r["k"], r["fold"]): (r["score"], r["n"], pickle.loads(r["model"]) if r["model"] else None) for r in frame.mapInArrow(work, "k int, fold int, score double, n long, model binary").collect()}
 
 
-def associations(df: DataFrame, spec: list[Feature], scaler: Scaler, model: FcmModel | None, T: int, label: str, bins: int = 10) -> tuple[list[str], np.ndarray, np.ndarray]:
-    """Names, associations with the class and mutual associations of the raw and cluster columns, counted over all rows."""
-    columns = list(spec)
-    if model is not None and T:
-        df = augment(df, scaler, model, 2 if T == 3 else T)
-        columns += [Feature("z", "symbolic"), Feature("b", "continuous"), *(Feature(f"p_{j + 1}", "continuous") for j in range(model.centroids.k if T >= 2 else 0))]
-        for f in columns[len(spec) + 1 :]:
-            df = df.withColumn(f.name, F.round(f.name, DIGITS))
-    names = [f.name for f in columns if f.numeric] + [f.name for f in columns if not f.numeric]
-    at = {n: i for i, n in enumerate(names)}
-    to_class, mutual = np.zeros(len(names)), np.eye(len(names))
-    for r in pair_uncertainty(df, columns, bins, label).collect():  # columns ** 2 / 2 numbers
-        f, g = at.get(r["f"]), at.get(r["g"])
-        if f is not None and g is not None:
-            mutual[f, g] = mutual[g, f] = r["su"]
-        else:
-            to_class[f if g is None else g] = r["su"]
-    return names, to_class, mutual
+def associations(df: DataFrame, spec: list[Feature], scaler: Scaler, models: dict[int, Clustering | None], T: int, label: str, bins: int = 10) -> dict[int, tuple[list[str], np.ndarray, np.ndarray]]:
+    """For each count: names, associations with the class and mutual associations of the raw and cluster columns, counted over all rows in one scan.
+
+    Continuous columns are counted in bins of equal width, between their extremes or, for strengths and memberships, between 0 and 1.
+    """
+    spark = prepare(df.sparkSession)
+    numeric, symbolic = [f for f in spec if f.numeric], [f for f in spec if not f.numeric]
+    ends = df.agg(*(a for f in numeric for a in (F.min(f.name), F.max(f.name)))).first() if numeric else ()
+    low = np.array([float(ends[2 * i] or 0) for i in range(len(numeric))])
+    width = np.array([float(ends[2 * i + 1] or 0) for i in range(len(numeric))]) - low
+    classes = sorted(r[0] for r in df.select(F.col(label).cast("string")).distinct().collect() if r[0] is not None)
+    y = F.array_position(F.array(*map(F.lit, classes)), F.col(label).cast("string")).cast("int") - 1
+    rows = raw_columns(df.filter(F.col(label).isNotNull()).withColumn("y", y), scaler, "y")
+    n_raw = len(numeric) + len(symbolic)
+    shared = spark.sparkContext.broadcast(models)
+
+    def binned(x: np.ndarray, f: Feature, a: float, w: float) -> np.ndarray:
+        known = ~np.isnan(x)
+        value = np.where(known, x, 0.0)
+        code = np.minimum(np.floor((value - a) * bins / w), bins - 1) if f.kind == "continuous" and w else value * (f.kind != "continuous")
+        return np.where(known, code, -1).astype(np.int64)
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums: dict[tuple[int, int, int], dict[tuple[int, int], int]] = {}
+
+        def add(k: int, f: int, g: int, a: np.ndarray, b: np.ndarray) -> None:
+            both = (a >= 0) & (b >= 0)
+            if both.any():
+                values, times = np.unique(np.stack([a[both], b[both]], axis=1), axis=0, return_counts=True)
+                held = sums.setdefault((k, f, g), {})
+                for (i, j), n in zip(values.tolist(), times.tolist(), strict=True):
+                    held[i, j] = held.get((i, j), 0) + n
+
+        for batch in batches:
+            for at in range(0, len(batch), 8192):
+                part = batch.slice(at, 8192)
+                r, x, s = (np.asarray(part.column(c).flatten(), t).reshape(len(part), n) for c, t, n in (("r", float, len(numeric)), ("x", float, len(numeric)), ("s", np.int64, len(symbolic))))
+                raw = [binned(r[:, i], f, low[i], width[i]) for i, f in enumerate(numeric)] + [s[:, i] for i in range(len(symbolic))] + [np.asarray(part.column("y"), np.int64)]
+                for f in range(len(raw)):
+                    for g in range(f):
+                        add(0, f, g, raw[f], raw[g])
+                for k, model in shared.value.items():
+                    if model is None or not T:
+                        continue
+                    p = np.round(model.memberships(x, s), DIGITS)
+                    own = [p.argmax(axis=1), *(np.minimum(np.floor(c * bins), bins - 1).astype(np.int64) for c in (p.max(axis=1), *(p.T if T >= 2 else ())))]
+                    for i, code in enumerate(own):
+                        for f in range(len(raw)):
+                            add(k, n_raw + 1 + i, f, code, raw[f])
+                        for j in range(i):
+                            add(k, n_raw + 1 + i, n_raw + 1 + j, code, own[j])
+        if sums:
+            flat = [(*key, a, b, n) for key, cells in sums.items() for (a, b), n in cells.items()]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*flat, strict=True), (pa.int32(),) * 5 + (pa.int64(),), strict=True)], ["k", "f", "g", "a", "b", "n"])
+
+    cells = rows.mapInArrow(count, "k int, f int, g int, a int, b int, n long").groupBy("k", "f", "g", "a", "b").agg(F.sum("n").alias("n"))
+    found: dict[int, dict[tuple[int, int], float]] = {}
+    for row in uncertainty(cells, "k", "f", "g").collect():  # columns ** 2 / 2 numbers for each count
+        found.setdefault(row["k"], {})[row["f"], row["g"]] = row["su"]
+    out = {}
+    raw_names = [f.name for f in numeric] + [f.name for f in symbolic]
+    for k, model in models.items():
+        extra = [] if model is None or not T else ["z", "b", *(f"p_{j + 1}" for j in range(k if T >= 2 else 0))]
+        # as in the learners' frames: numeric columns, cluster ones after them, then symbolic columns
+        order = [*range(len(numeric)), *range(n_raw + 2, n_raw + 1 + len(extra)), *range(len(numeric), n_raw), *([n_raw + 1] if extra else [])]
+        names = [(raw_names[i] if i < n_raw else extra[i - n_raw - 1]) for i in order]
+        both = {**found.get(0, {}), **found.get(k, {})}
+        su = lambda f, g, both=both: both.get((max(f, g), min(f, g)), 0.0)
+        mutual = np.array([[1.0 if f == g else su(f, g) for g in order] for f in order]).reshape(len(order), len(order))
+        out[k] = (names, np.array([su(f, n_raw) for f in order]), mutual)
+    return out
 
 
 @dataclass
@@ -231,9 +284,10 @@ def fit_cac(
     data = reduce_rows(df, scaler, label, q, most, classes)
     subsets: dict[int, list[str]] = {}
     if selector is not None and scope == "paper":
+        counted = associations(df, spec, scaler, models, T, label, selector.bins) if hasattr(selector, "choose") else {}
         for k, model in models.items():
-            if hasattr(selector, "choose") and (model is None or isinstance(model, FcmModel)):
-                subsets[k] = selector.choose(*associations(df, spec, scaler, model, T, label, selector.bins))
+            if k in counted:
+                subsets[k] = selector.choose(*counted[k])
             else:
                 subsets[k] = selector.select(design(data.raw, data.x, data.s, model, T), data.y, len(classes))
     clock["select"] = time.time()

@@ -57,11 +57,16 @@ def pair_uncertainty(df: DataFrame, spec: list[Feature], bins: int = 10, label:
     names = sorted(binned)
     pairs = F.explode(F.array(*(F.struct(F.lit(a).alias("f"), F.lit(b).alias("g"), binned[a].cast("string").alias("a"), binned[b].cast("string").alias("b")) for i, a in enumerate(names) for b in names[i + 1 :]))).alias("p")
     rows = (df.filter(F.col(label).isNotNull()) if label else df).select(pairs).select("p.*").filter("a IS NOT NULL AND b IS NOT NULL").groupBy("f", "g", "a", "b").agg(F.count("*").alias("n"))
-    rows = rows.withColumn("t", F.sum("n").over(Window.partitionBy("f", "g")))
-    joint = rows.groupBy("f", "g").agg(_entropy("n", "t").alias("hj"))
-    one = rows.groupBy("f", "g", "a").agg(F.sum("n").alias("n"), F.first("t").alias("t")).groupBy("f", "g").agg(_entropy("n", "t").alias("ha"))
-    two = rows.groupBy("f", "g", "b").agg(F.sum("n").alias("n"), F.first("t").alias("t")).groupBy("f", "g").agg(_entropy("n", "t").alias("hb"))
-    return joint.join(one, ["f", "g"]).join(two, ["f", "g"]).select("f", "g", F.coalesce(F.try_divide(2 * (F.col("ha") + F.col("hb") - F.col("hj")), F.when(F.col("ha") + F.col("hb") > 1e-12, F.col("ha") + F.col("hb"))), F.lit(0.0)).alias("su"))
+    return uncertainty(rows, "f", "g")
+
+
+def uncertainty(rows: DataFrame, *keys: str) -> DataFrame:
+    """(keys, su) from counts (keys, a, b, n) of the value pairs of two columns each."""
+    rows = rows.withColumn("t", F.sum("n").over(Window.partitionBy(*keys)))
+    joint = rows.groupBy(*keys).agg(_entropy("n", "t").alias("hj"))
+    one = rows.groupBy(*keys, "a").agg(F.sum("n").alias("n"), F.first("t").alias("t")).groupBy(*keys).agg(_entropy("n", "t").alias("ha"))
+    two = rows.groupBy(*keys, "b").agg(F.sum("n").alias("n"), F.first("t").alias("t")).groupBy(*keys).agg(_entropy("n", "t").alias("hb"))
+    return joint.join(one, list(keys)).join(two, list(keys)).select(*keys, F.coalesce(F.try_divide(2 * (F.col("ha") + F.col("hb") - F.col("hj")), F.when(F.col("ha") + F.col("hb") > 1e-12, F.col("ha") + F.col("hb"))), F.lit(0.0)).alias("su"))
 
 
 def binary_splits(df: DataFrame, spec: list[Feature], label: str = "label", bins: int = 10) -> DataFrame:

@@ -87,7 +87,7 @@ for _name in ("traffic", "quality", "supplier", "part", "orders", "role"):
 
 def pair_ctes(name: str, bins: int = 10, spec: list[Feature] | None = None) -> str:
     spec = spec or fixtures.SPECS[name]
-    codes = [f"CASE WHEN x.{x.name} IS NULL THEN NULL ELSE cast(cast(least(floor((x.{x.name} - lo_{x.name}) * {bins} / (hi_{x.name} - lo_{x.name})), {bins - 1}) AS bigint) AS varchar) END AS {x.name}" if x.kind == "continuous" else f"cast(x.{x.name} AS varchar) AS {x.name}" for x in spec]
+    codes = [f"CASE WHEN x.{x.name} IS NULL THEN NULL ELSE cast(cast(least(floor((x.{x.name} - lo_{x.name}) * {bins} / (hi_{x.name} - lo_{x.name})), {bins - 1}) AS bigint) AS varchar) END AS {x.name}" if x.kind == "continuous" else f"cast(cast(least(floor(x.{x.name} * {bins}), {bins - 1}) AS bigint) AS varchar) AS {x.name}" if x.kind == "share" else f"cast(x.{x.name} AS varchar) AS {x.name}" for x in spec]
     ends = ", ".join(f"min({x.name}) AS lo_{x.name}, max({x.name}) AS hi_{x.name}" for x in spec if x.kind == "continuous")
     names = sorted([x.name for x in spec] + ["label"])
     arms = " UNION ALL ".join(f"SELECT '{a}' AS f, '{b}' AS g, {a} AS a, {b} AS b FROM codes" for i, a in enumerate(names) for b in names[i + 1 :])
@@ -285,7 +285,7 @@ def best_subset_sql(name: str, clusters: int) -> str:
     """(subset, merit) of the best of all subsets, by enumeration; clusters: that many of the seeds' memberships, z and b are columns too."""
     spec = list(fixtures.SPECS[name])
     if clusters:
-        spec += [Feature("z", "symbolic"), Feature("b", "continuous"), *(Feature(f"p_{j + 1}", "continuous") for j in range(clusters))]
+        spec += [Feature("z", "symbolic"), Feature("b", "share"), *(Feature(f"p_{j + 1}", "share") for j in range(clusters))]
     names = sorted(x.name for x in spec)
     inside = " + ".join(f"(mask >> {i}) % 2" for i in range(len(names)))
     chosen = lambda c: "CASE " + " ".join(f"WHEN {c} = '{x}' THEN (mask >> {i}) % 2" for i, x in enumerate(names)) + " ELSE 0 END"
@@ -312,7 +312,7 @@ def _t3_best(spark, sf_dir):
 @query("cluster_features_t3_quality")
 def _t3(spark, sf_dir):
     df, scaler, _, model = _seeded(spark, sf_dir, "quality")
-    subset = CfsSelector().choose(*associations(df, fixtures.SPECS["quality"], scaler, model, 3, "label"))
+    subset = CfsSelector().choose(*associations(df, fixtures.SPECS["quality"], scaler, {SEEDED: model}, 3, "label")[SEEDED])
     return features.augment(df, scaler, model, 3, subset)
 
 

@@ -208,7 +208,8 @@ def boosting_rounds(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
 def best_subset(name: str, spark: SparkSession, sf_dir: str, model=None, scaler=None) -> DataFrame:
     """(subset, merit): the best of all subsets of the raw columns, or of these and the cluster columns of a model, by counts over all labelled rows."""
     df = fixtures.load(spark, sf_dir, name).filter("label IS NOT NULL")
-    names, to_class, mutual = associations(df, fixtures.SPECS[name], scaler, model, 3 if model else 0, "label")
+    k = model.centroids.k if model else 0
+    names, to_class, mutual = associations(df, fixtures.SPECS[name], scaler or fit_scaler(df, fixtures.SPECS[name]), {k: model}, 3 if model else 0, "label")[k]
     best, value = exhaustive(to_class, mutual)
     return spark.createDataFrame([("+".join(sorted(names[i] for i in best)), round(value, 6))], "subset string, merit double")
 
