@@ -255,21 +255,20 @@ def plausible(kind: str, body: str) -> bool:
 
 
 def pii_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", carry: bool = False) -> DataFrame:
-    """(doc_id, spans) of every row; carry: and the row itself as a struct, so no column's name can clash."""
+    """(doc_id, spans) of every row; carry: (row, spans) with the row itself as a struct, so no column's name can clash and no text travels twice."""
     spark = prepare(docs.sparkSession)
     model = spark.sparkContext.broadcast(trained())
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for first, end, data, offsets in _text.runs(batch.column(1)):
-                part = batch.slice(first, end - first)
-                texts = [x.as_py() or "" for x in part.column(1)]
-                found = _spans.batch(part.column(0), find_batch(model.value, texts, data, offsets))
-                yield pa.RecordBatch.from_arrays([*found.columns, *part.columns[2:]], ["doc_id", "spans", *part.schema.names[2:]])
-
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), *([F.struct("*").alias("row")] if carry else []))
-    schema = T.StructType([rows.schema["doc_id"], T.StructField("spans", T.DataType.fromDDL(_spans.SPANS)), *rows.schema.fields[2:]])
-    return rows.mapInArrow(work, schema)
+            column = batch.column(0).field(text_col) if carry else batch.column(1)
+            for first, end, data, offsets in _text.runs(column):
+                texts = [x.as_py() or "" for x in column[first:end]]
+                found = _spans.batch(batch.column(0)[first:end], find_batch(model.value, texts, data, offsets))
+                yield found.rename_columns(["row" if carry else "doc_id", "spans"])
+
+    rows = docs.select(F.struct("*").alias("row")) if carry else docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    return rows.mapInArrow(work, T.StructType([rows.schema.fields[0], T.StructField("spans", T.DataType.fromDDL(_spans.SPANS))]))
 
 
 def redact(docs: DataFrame) -> DataFrame:

@@ -275,19 +275,18 @@ def training_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_
 
 
 def score(docs: DataFrame, model: Network, carry: bool = False) -> DataFrame:
-    """(doc_id, score) of every row; carry: and the row itself as a struct, so no column's name can clash."""
+    """(doc_id, score) of every row; carry: (row, score) with the row itself as a struct, so no column's name can clash and no text travels twice."""
     spark = prepare(docs.sparkSession)
     model.moments = {}
     shared = spark.sparkContext.broadcast(model)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for first, end, data, offsets in _text.runs(batch.column(1)):
-                part = batch.slice(first, end - first)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(shared.value.document_scores(Tokens(data, offsets))), *part.columns[2:]], ["doc_id", "score", *part.schema.names[2:]])
+            for first, end, data, offsets in _text.runs(batch.column(0).field("text") if carry else batch.column(1)):
+                yield pa.RecordBatch.from_arrays([batch.column(0)[first:end], pa.array(shared.value.document_scores(Tokens(data, offsets)))], ["row" if carry else "doc_id", "score"])
 
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *([F.struct("*").alias("row")] if carry else []))
-    return rows.mapInArrow(work, T.StructType([rows.schema["doc_id"], T.StructField("score", T.DoubleType()), *rows.schema.fields[2:]]))
+    rows = docs.select(F.struct("*").alias("row")) if carry else docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    return rows.mapInArrow(work, T.StructType([rows.schema.fields[0], T.StructField("score", T.DoubleType())]))
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
