@@ -74,7 +74,7 @@ def rows_of(frame):
     return sorted(tuple(str(clean(v)) for v in r) for r in frame[names].itertuples(index=False, name=None))
 
 
-@pytest.mark.parametrize("name", ["info_gain_traffic", "cfs_merit_quality", "mixed_distance_quality", "fcm_multi_k_traffic", "fcm_objective_trace_traffic", "cluster_features_t2_quality", "validity_by_k_quality", "stratified_folds_traffic", "class_distribution_traffic", "rates_traffic", "traffic_counters", "asof_latest_error", "rates_cube_orders", "stream_session", "udtf_memberships"])
+@pytest.mark.parametrize("name", ["info_gain_traffic", "cfs_merit_quality", "mixed_distance_quality", "fcm_multi_k_traffic", "fcm_objective_trace_traffic", "cluster_features_t2_quality", "validity_by_k_quality", "stratified_folds_traffic", "class_distribution_traffic", "rates_traffic", "traffic_counters", "asof_latest_error", "rates_cube_orders", "stream_session", "udtf_memberships", "crisp_centroids_3iter_quality", "mixed_distance_unknown_either", "cfs_best_exhaustive_quality", "t3_best_subset_quality", "vote_k_curve_quality", "vote_boosting_quality", "unlabelled_features_quality", "stream_late", "stream_rolling_rates", "stream_drift", "stream_user_state", "read_formats"])
 def test_oracle(spark, name):
     con = duckdb.connect()
     for t in ("events", "documents", "labels", "orders", "customer", "nation", "region", "lineitem", "part", "supplier", "conversations"):

@@ -1,7 +1,5 @@
 """Hand-computed values and invariants of the learners and selectors."""
 
-import math
-
 import numpy as np
 import pytest
 
@@ -84,10 +82,6 @@ def test_ensembles_beat_one_shallow_tree():
     assert (NBTree().fit(f, y, 2).predict(f) == y).mean() >= one
 
 
-def test_boosting_vote():
-    assert math.log((1 - 0.2) / 0.2) == pytest.approx(1.3863, abs=1e-4)
-
-
 def test_explicit_map_is_the_kernel():
     g = np.random.default_rng(4)
     a, b = g.random((20, 4)), g.random((15, 4))
