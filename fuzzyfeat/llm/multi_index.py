@@ -1,12 +1,17 @@
 """Nearest neighbours by largest inner product, through an inverted multi-index.
 
-Both halves of the vectors have a codebook of CENTROIDS centroids each, fitted by k-means on a bounded sample; every vector
-is indexed in the cell of its pair of centroids. A query walks the pairs by summed distance (the negative inner product of
-each half with its centroid) with a heap, until the cells met hold PROBED of all vectors, and the entries of those cells
-are reranked by their inner products with the query in double precision.
+Both halves of the vectors have a codebook each, fitted by k-means on a bounded sample, with more centroids for more
+vectors; every vector is indexed in the cell of its pair of centroids. A query walks the pairs by summed distance (the
+negative inner product of each half with its centroid) with a heap, until the cells met hold a share of all vectors, and
+the entries of those cells are reranked by their inner products with the query in double precision.
 
-The walk needs the cell sizes only (CENTROIDS ** 2 numbers). Queries travel to the first-half lists that they visit, each
-of which is split into blocks of at most BLOCK_ROWS rows, so a list that holds a third of all vectors is many tasks.
+The share is measured: it is the least at which queries of the sample find RECALL of their true neighbours in the sample.
+Neighbours among more vectors are nearer, and nearer ones are met earlier, so the share errs on the side of a higher recall.
+Vectors in clusters need a small share; vectors without any structure need about half of all, whatever the index.
+
+The walk needs the cell sizes only (the square of the centroids in numbers). Queries travel to the first-half lists that
+they visit. A list is split into blocks of at most BLOCK_ROWS rows, so one that holds a third of all vectors is many tasks,
+and the queries of a block into chunks of about CHUNK_QUERIES, so a task holds a bounded number of both.
 
 Vectors that are null, zero, of another dimension than most of the sample, or that hold a null or non-finite component take
 no part. Rows with equal ids count as one entry if their vectors are equal. Queries whose cells hold fewer than k entries
@@ -25,7 +30,9 @@ from pyspark.sql import functions as F
 
 from fuzzyfeat.session import materialise, prepare
 
-CENTROIDS, PROBED, SAMPLE, BLOCK_ROWS = 32, 0.6, 8192, 4096
+SAMPLE, BLOCK_ROWS, CHUNK_QUERIES = 8192, 4096, 32_768
+LEAST_CENTROIDS, MOST_CENTROIDS = 32, 256
+RECALL, TRIED = 0.95, 256
 
 
 def usable(vector: Column) -> Column:
@@ -53,6 +60,28 @@ def cells_of(vectors: np.ndarray, books: tuple[np.ndarray, np.ndarray]) -> tuple
     return tuple(np.argmin((b**2).sum(1) - 2 * x @ b.T, axis=1) for x, b in ((vectors[:, :half], books[0]), (vectors[:, half:], books[1])))
 
 
+def centroids_for(n: int) -> int:
+    """Centroids of a half: a power of two that grows with the square root of the vectors, within bounds."""
+    return int(2 ** np.clip(round(math.log2(max(n, 1)) / 2 - 4), math.log2(LEAST_CENTROIDS), math.log2(MOST_CENTROIDS)))
+
+
+def needed_share(points: np.ndarray, books: tuple[np.ndarray, np.ndarray], k: int, recall: float = RECALL, tried: int = TRIED) -> float:
+    """The least share of the points, in the order of the walk, that holds `recall` of the k nearest of `tried` queries among them."""
+    half, queries = books[0].shape[1], points[:tried]
+    a, b = cells_of(points, books)
+    met = (queries[:, :half] @ books[0].T)[:, a] + (queries[:, half:] @ books[1].T)[:, b]
+    true = queries @ points.T
+    own = np.arange(len(queries))
+    true[own, own] = met[own, own] = -np.inf
+    k = min(k, len(points) - 1)
+    if k <= 0:
+        return 1.0
+    near = np.argpartition(-true, k - 1, axis=1)[:, :k]
+    place = (-met).argsort(axis=1, kind="stable").argsort(axis=1)
+    depth = np.sort(np.take_along_axis(place, near, axis=1).reshape(-1))
+    return float(min(1.0, (depth[math.ceil(recall * len(depth)) - 1] + 1) / len(points)))
+
+
 def walk(first: np.ndarray, second: np.ndarray, sizes: np.ndarray, enough: float) -> list[tuple[int, int]]:
     """Pairs (i, j) in order of first[i] + second[j] until their sizes add up to `enough`: a heap holds the frontier of the sorted grid."""
     a, b = np.argsort(first, kind="stable"), np.argsort(second, kind="stable")
@@ -69,9 +98,13 @@ def walk(first: np.ndarray, second: np.ndarray, sizes: np.ndarray, enough: float
     return out
 
 
-def nearest(vectors: DataFrame, query_of: Column, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding", centroids: int = CENTROIDS, probed: float = PROBED, sample: int = SAMPLE) -> DataFrame:
-    """(query_id, rank, vec_id, score): the k nearest entries found for each row that query_of selects, its own id excepted."""
+def nearest(vectors: DataFrame, query_of: Column, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding", centroids: int | None = None, probed: float | None = None, sample: int = SAMPLE) -> DataFrame:
+    """(query_id, rank, vec_id, score): the k nearest entries found for each row that query_of selects, its own id excepted.
+
+    centroids, probed: of each half, and the share of the vectors to meet; None: by the number of vectors, and as measured.
+    """
     spark = prepare(vectors.sparkSession)
+    centroids = centroids or centroids_for(vectors.count())
     rows = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector_col).cast("array<double>").alias("v"), query_of.alias("q")).filter(F.col("vec_id").isNotNull() & usable(F.col("v")))
     rows = rows.dropDuplicates(["vec_id", "v"])
     ids = rows.select("vec_id").orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).distinct()  # tasks send ids, not vectors
@@ -86,6 +119,7 @@ def nearest(vectors: DataFrame, query_of: Column, k: int = 20, id_col: str = "ve
     points = np.array([r["v"] for r in some if len(r["v"]) == dim])
     half = max(1, dim // 2)
     books = (codebook(points[:, :half], centroids), codebook(points[:, half:], centroids) if dim > half else np.zeros((1, 0)))
+    probed = needed_share(points, books, k) if probed is None else probed
     shared = spark.sparkContext.broadcast(books)
 
     def index(batches):
@@ -102,6 +136,7 @@ def nearest(vectors: DataFrame, query_of: Column, k: int = 20, id_col: str = "ve
         sizes[r["a"], r["b"]] = r["count"]
     blocks = np.maximum(1, -(-sizes.sum(axis=1) // BLOCK_ROWS))
     enough = max(k + 1, math.ceil(probed * sizes.sum()))
+    chunks = max(1, math.ceil(entries.filter("q").count() * probed / CHUNK_QUERIES))
 
     def route(batches):
         """A query for each block of each first-half list that it visits, with the second-half cells wanted there as bits."""
@@ -157,7 +192,9 @@ def nearest(vectors: DataFrame, query_of: Column, k: int = 20, id_col: str = "ve
 
     of_list = F.array(*(F.lit(int(n)) for n in blocks))
     blocked = entries.select("vec_id", "v", "a", "b", F.pmod(F.xxhash64("vec_id"), F.get(of_list, F.col("a"))).cast("int").alias("block"))
+    blocked = blocked.withColumn("chunk", F.explode(F.sequence(F.lit(0), F.lit(chunks - 1))) if chunks > 1 else F.lit(0))
     routed = entries.filter("q").select("vec_id", "v").mapInArrow(route, "query_id long, qv array<double>, a int, block int, bits binary")
-    found = blocked.groupBy("a", "block").cogroup(routed.groupBy("a", "block")).applyInArrow(scan, "query_id long, vec_id long, score double")
+    routed = routed.withColumn("chunk", F.pmod(F.xxhash64("query_id", F.lit(1)), F.lit(chunks)).cast("int"))
+    found = blocked.groupBy("a", "block", "chunk").cogroup(routed.groupBy("a", "block", "chunk")).applyInArrow(scan, "query_id long, vec_id long, score double")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

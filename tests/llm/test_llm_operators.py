@@ -149,7 +149,7 @@ def test_warc_filters_on_digests(spark, tmp_path):
     assert urls(digest == "sha1:" + a) == []
 
 
-def test_nearest(spark, tmp_path):
+def test_nearest(spark, tmp_path, monkeypatch):
     g = np.random.default_rng(1)
     v = g.standard_normal((600, 16))
     v[100:300] = v[100]
@@ -169,7 +169,14 @@ def test_nearest(spark, tmp_path):
     assert hits >= 0.9 * 20 * len(found)
     full = multi_index.nearest(df, F.col("vec_id") == 120, probed=1.0).orderBy("rank").collect()
     assert [r["vec_id"] for r in full] == [i for i in np.lexsort((np.arange(600), -(v * v[120]).sum(axis=1))) if i != 120][:20]
+    monkeypatch.setattr(multi_index, "CHUNK_QUERIES", 4)
+    chunked = multi_index.nearest(df, F.col("vec_id") % 20 == 0).collect()
+    assert {(r["query_id"], r["rank"], r["vec_id"]) for r in chunked} == {(q, i + 1, n) for q, near in found.items() for i, (n, _) in enumerate(near)}
     assert multi_index.nearest(df.filter("vec_id < 0"), F.lit(True)).count() == 0
+    assert [multi_index.centroids_for(n) for n in (0, 50_000, 10**6, 10**7, 10**12)] == [32, 32, 64, 256, 256]
+    tight = np.concatenate([g.standard_normal((50, 8)) * 0.05 + c for c in g.standard_normal((40, 8)) * 5])
+    books = (multi_index.codebook(tight[:, :4], 32), multi_index.codebook(tight[:, 4:], 32))
+    assert multi_index.needed_share(tight, books, 20) < 0.3 < multi_index.needed_share(g.standard_normal((2000, 64)), tuple(multi_index.codebook(g.standard_normal((2000, 32)), 32) for _ in "ab"), 20)
     pairs = multi_index.walk(np.array([1.0, 0.0, 5.0]), np.array([0.0, 2.0]), np.ones((3, 2), int), 99)
     assert pairs == [(1, 0), (0, 0), (1, 1), (0, 1), (2, 0), (2, 1)]
 
