@@ -2,14 +2,22 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fuzzyfeat.operators.fcm import FcmModel, distance_column, membership_column, sqdist_block
+from fuzzyfeat.operators.fcm import FcmModel, blocks, distance_column, membership_column, memberships_block, sqdist_block
+from fuzzyfeat.operators.features import INLINE_TERMS
+from fuzzyfeat.session import prepare
 
 
 def validity(packed: DataFrame, models: dict[int, FcmModel]) -> DataFrame:
-    """(k, pc, pe, xb): partition coefficient and entropy, and Xie-Beni, all counts in one pass."""
+    """(k, pc, pe, xb): partition coefficient and entropy, and Xie-Beni, all counts in one pass: as expressions, or in an Arrow kernel where these would be long."""
+    if sum(m.centroids.k * (len(m.gains_num) + len(m.gains_cat)) for m in models.values()) > INLINE_TERMS:
+        return _by_kernel(packed, models)
     rows = []
     for k, model in sorted(models.items()):
         d = distance_column(model)
@@ -21,6 +29,26 @@ def validity(packed: DataFrame, models: dict[int, FcmModel]) -> DataFrame:
     return measured
 
 
+def _by_kernel(packed: DataFrame, models: dict[int, FcmModel]) -> DataFrame:
+    shared = prepare(packed.sparkSession).sparkContext.broadcast(models)
+    any_ = next(iter(models.values()))
+    m, c = len(any_.gains_num), len(any_.gains_cat)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums = {k: np.zeros(4) for k in shared.value}
+        for batch in batches:
+            for x, s, weight in blocks(batch, m, c):
+                for k, model in shared.value.items():
+                    d = sqdist_block(x, s, model.centroids, model.gains_num, model.gains_cat, model.unknown)
+                    p = memberships_block(d, model.alpha)
+                    sums[k] += (p * p).sum(), -(p * np.log(np.where(p > 0, p, 1))).sum(), (p**model.alpha * d).sum(), len(x)
+        yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), *(pa.array([float(t[i]) for t in sums.values()]) for i in range(4))], ["k", "pc", "pe", "within", "n"])
+
+    parts = packed.select("x", "s", F.lit(1.0).alias("weight")).mapInArrow(work, "k int, pc double, pe double, within double, n double")
+    apart = F.element_at(F.create_map(*(F.lit(v) for k, model in models.items() for v in (k, separation(model)))), F.col("k"))
+    return parts.groupBy("k").agg(*(F.sum(x).alias(x) for x in ("pc", "pe", "within", "n"))).select("k", (F.col("pc") / F.col("n")).alias("pc"), (F.col("pe") / F.col("n")).alias("pe"), (F.col("within") / (F.col("n") * apart)).alias("xb"))
+
+
 def separation(model: FcmModel) -> float:
     """Least squared distance between two centroids."""
     v = model.centroids

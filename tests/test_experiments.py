@@ -173,3 +173,18 @@ def test_lifted_spaces(spark):
     columns, apply = __import__("fuzzyfeat.operators.lift", fromlist=["lift"]).lift(fixtures.load(spark, SF, "traffic"), fixtures.SPECS["traffic"], "poly")
     row = apply(fixtures.load(spark, SF, "traffic").limit(1)).select(F.array(*(f.name for f in columns)).alias("a")).first()["a"]
     assert len(row) == len(columns) and any(v == pytest.approx(row[0] * row[0]) for v in row[1:])
+
+
+def test_validity_as_expressions_and_in_the_kernel(spark, monkeypatch):
+    from fuzzyfeat.operators import validity
+
+    df = fixtures.load(spark, SF, "quality").filter("label IS NOT NULL")
+    spec = fixtures.SPECS["quality"]
+    scaler = prepare.fit_scaler(df, spec)
+    packed = scaler.pack(df, "row_id").cache()
+    models = fcm.fit_many(packed, [2, 3], [1.0] * 5, [0.5, 0.5], [len(scaler.levels[f.name]) for f in spec if not f.numeric], max_iter=3)
+    inline = {r["k"]: (r["pc"], r["pe"], r["xb"]) for r in validity.validity(packed, models).collect()}
+    monkeypatch.setattr(validity, "INLINE_TERMS", 0)
+    kernel = {r["k"]: (r["pc"], r["pe"], r["xb"]) for r in validity.validity(packed, models).collect()}
+    assert set(inline) == {2, 3} and all(np.allclose(inline[k], kernel[k]) for k in inline)
+    assert validity.best_k(validity.validity(packed, models)) in (2, 3)
