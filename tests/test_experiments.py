@@ -1,10 +1,7 @@
 """The experiments: floors for every method, directions that the reference reports, and variants against each other."""
 
-import sys
-
 import numpy as np
 import pytest
-from pyspark import cloudpickle
 from pyspark.sql import functions as F
 
 from fuzzyfeat import fixtures, workloads
@@ -71,6 +68,10 @@ def test_scopes_and_measures(spark):
     assert augmented.MEASURES["rate_gap"](y, said) == pytest.approx(0.75 * (2 / 3 - 0) + 0.25 * (1 - 1 / 3))
 
 
+HALVES = '''
+import numpy as np
+
+
 class Halves:
     """Two soft halves of the first column."""
 
@@ -82,10 +83,15 @@ class Halves:
 class Clusterer:
     def fit(self, packed, counts, gains_num, gains_cat, n_levels):
         return {2: Halves()}
+'''
+
 
+def test_any_clusterer_may_take_the_place(spark, tmp_path, monkeypatch):
+    (tmp_path / "soft_halves.py").write_text(HALVES)
+    spark.sparkContext.addPyFile(str(tmp_path / "soft_halves.py"))
+    monkeypatch.syspath_prepend(str(tmp_path))
+    from soft_halves import Clusterer
 
-def test_any_clusterer_may_take_the_place(spark):
-    cloudpickle.register_pickle_by_value(sys.modules[__name__])
     df = fixtures.load(spark, SF, "quality").filter("label IS NOT NULL")
     data = augmented.reduce_rows(df, prepare.fit_scaler(df, fixtures.SPECS["quality"]), "label", 3, 1000, ["0", "1"])
     models = Clusterer().fit(None, [2], [], [], [])
