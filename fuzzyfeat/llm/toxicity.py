@@ -14,6 +14,7 @@ rows of both classes the base rate is the score of every document.
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 
 import numpy as np
@@ -265,13 +266,25 @@ def held_out(id_col: str = "doc_id"):
     return F.coalesce(F.crc32(F.col(id_col).cast("string").cast("binary")) % 4 == 2, F.lit(False))
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_chars: int = SAMPLE_CHARS) -> tuple[list[str], list[int]]:
-    """The bounded sample of labelled texts."""
+def training_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_chars: int = SAMPLE_CHARS) -> DataFrame:
+    """(doc_id, text, toxic): the bounded sample of labelled texts."""
     named = labels.filter(~held_out()).filter(F.col("toxic").isin(0, 1)).select("doc_id", "toxic")
     named = named.orderBy(F.xxhash64("doc_id"), "doc_id", "toxic").limit(sample)
-    rows = docs.select("doc_id", "text").filter(F.length("text") <= max_chars).join(F.broadcast(named), "doc_id").select("doc_id", "text", "toxic").limit(2 * sample).collect()
-    rows.sort(key=lambda r: (r["doc_id"], r["text"] or "", r["toxic"]))
-    return [r["text"] or "" for r in rows], [r["toxic"] for r in rows]
+    return docs.select("doc_id", "text").filter(F.length("text") <= max_chars).join(F.broadcast(named), "doc_id").select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.col("toxic").cast("int").alias("toxic")).limit(2 * sample)
+
+
+def fitted(docs: DataFrame, labels: DataFrame) -> Network:
+    """The network of the labelled sample, trained in one task of an executor: the driver holds neither texts nor training state."""
+    prepare(docs.sparkSession)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = sorted(((i, t or "", y) for b in batches for i, t, y in zip(*(c.to_pylist() for c in b.columns), strict=True)))
+        model = fit([t for _, t, _ in rows], [y for *_, y in rows])
+        model.moments = {}
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(model)], pa.binary())], ["model"])
+
+    found = training_rows(docs, labels).mapInArrow(work, "model binary").collect()
+    return pickle.loads(found[0]["model"]) if found else fit([], [])
 
 
 def score(docs: DataFrame, model: Network, carry: bool = False) -> DataFrame:
@@ -291,11 +304,11 @@ def score(docs: DataFrame, model: Network, carry: bool = False) -> DataFrame:
 
 def toxicity(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """(doc_id, held_out, score, predicted) of every document, by a network fitted on the labelled sample."""
-    model = fit(*training_rows(docs, labels))
+    model = fitted(docs, labels)
     return score(docs, model).select("doc_id", held_out().alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
 
 
 def drop_toxic(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """The documents that score under the threshold, as they came: scored and filtered in one pass."""
-    model = fit(*training_rows(docs, labels))
+    model = fitted(docs, labels)
     return score(docs, model, carry=True).filter(F.col("score") < threshold).select(*(F.col("row").getField(c).alias(c) for c in docs.columns))
