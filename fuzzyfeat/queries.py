@@ -456,7 +456,7 @@ query("stream_dedup", "SELECT DISTINCT event_id, user_id FROM events")(lambda s,
 _LATE = "date_trunc('day', ts)"
 
 
-@query("stream_late", f"WITH cut AS (SELECT median(event_id) AS m FROM events), newer AS (SELECT e.* FROM events e, cut WHERE event_id >= m) SELECT {_LATE} AS window_start, event_type, count(*) AS n, round(avg(value), 4) AS mean_value FROM newer GROUP BY 1, 2 HAVING {_LATE} + INTERVAL 1 DAY <= (SELECT max(ts) FROM newer) - INTERVAL 2 DAY")
+@query("stream_late", f"WITH cut AS (SELECT median(event_id) AS m FROM events), newer AS (SELECT e.* FROM events e, cut WHERE event_id >= m) SELECT {_LATE} AS window_start, event_type, count(*) AS n, round(sum(value), 2) AS total FROM newer GROUP BY 1, 2 HAVING {_LATE} + INTERVAL 1 DAY <= (SELECT max(ts) FROM newer) - INTERVAL 2 DAY")
 def _late(spark, sf_dir):
     """The newer half of the events comes first, in two batches; the older half is late then, and the watermark leaves it out."""
     df = load(spark, sf_dir, "events")
@@ -464,7 +464,7 @@ def _late(spark, sf_dir):
     newer = df.filter(F.col("event_id") >= middle)
     stream = ops.replay([newer.filter("event_id % 2 = 0"), newer.filter("event_id % 2 = 1"), df.filter(F.col("event_id") < middle)])
     out = ops.run_once(ops.tumbling(stream.withColumn("ts", F.col("ts").cast("timestamp"))))
-    return out.select(F.col("window_start").cast("timestamp_ntz").alias("window_start"), "event_type", "n", F.round("mean_value", 4).alias("mean_value"))
+    return out.select(F.col("window_start").cast("timestamp_ntz").alias("window_start"), "event_type", "n", F.round(F.col("n") * F.col("mean_value"), 2).alias("total"))
 
 
 @query("stream_rolling_rates", SQL["rates_traffic"])
