@@ -12,6 +12,7 @@ from uuid import uuid4
 
 from pyspark.sql import DataFrame, SparkSession
 
+ARROW_ROWS, BATCH_ROWS = 2000, "spark.sql.execution.arrow.maxRecordsPerBatch"
 ROOT = str(Path(__file__).resolve().parent.parent)
 
 
@@ -30,7 +31,12 @@ def local_session(cores: int | str = 8, memory: str = "12g", partitions: int = 8
 
 
 def prepare(spark: SparkSession) -> SparkSession:
-    """Let Python workers import this package. On a cluster without a shared file system, ship it with --py-files."""
+    """Let Python workers import this package. On a cluster without a shared file system, ship it with --py-files.
+
+    Batches for Python are kept to ARROW_ROWS rows: whole documents travel in them, and each task holds several at a time.
+    """
+    if int(spark.conf.get(BATCH_ROWS)) > ARROW_ROWS:
+        spark.conf.set(BATCH_ROWS, str(ARROW_ROWS))
     environment = spark.sparkContext.environment
     known = environment.get("PYTHONPATH", os.environ.get("PYTHONPATH", ""))
     if ROOT not in known.split(os.pathsep):
