@@ -63,8 +63,10 @@ def _any_of(words: list[str]) -> str:
     return arms(tree)
 
 
-#: A word of a name. The cheap test of the capital comes first.
-_NAME_WORD = rf"(?=\p{{Lu}})(?<![\p{{L}}\p{{N}}])(?!{_any_of(OPENERS)}(?![\p{{L}}\p{{N}}]))\p{{Lu}}\p{{Ll}}+(?:-\p{{Lu}}\p{{Ll}}+)*(?![\p{{L}}\p{{N}}])"
+#: A word of a name. The cheap test of the capital comes first. Repeated groups are possessive: Java's engine goes through
+#: them in a loop, and through others by a call for each repetition, which a long run of names takes beyond the stack.
+_NAME_PART = r"\p{Lu}\p{Ll}++(?![\p{L}\p{N}])"
+_NAME_WORD = rf"(?=\p{{Lu}})(?<![\p{{L}}\p{{N}}])(?!{_any_of(OPENERS)}(?![\p{{L}}\p{{N}}])){_NAME_PART}(?:-{_NAME_PART})*+"
 
 
 def _bound(value: Column, f) -> Column:
@@ -80,7 +82,7 @@ def _words(text: Column) -> Column:
 
 def template_words(text: Column) -> Column:
     """Words of the template; word for word beside value_words of the same text."""
-    named = F.regexp_replace(text, rf"{_NAME_WORD}(?:\s+{_NAME_WORD})*", NAME)
+    named = F.regexp_replace(text, rf"{_NAME_WORD}(?:\s+{_NAME_WORD})*+", NAME)
     numbered = F.regexp_replace(named, r"[+-]?\p{Nd}(?:[\p{Nd}.,]*\p{Nd})?", NUMBER)
     units = lambda t: F.when(F.contains(t, F.lit(NUMBER)), F.regexp_replace(t, rf"({NUMBER}\s*)(?i:{_any_of(UNITS)})(?![\p{{L}}\p{{N}}])", f"$1{UNIT}")).otherwise(t)
     return _words(_bound(numbered, units))

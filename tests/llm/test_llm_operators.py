@@ -411,6 +411,15 @@ def test_two_texts_of_one_id_are_searched_apart(spark):
     assert [(r["doc_id"], r["item_id"], r["coverage"], r["exact"]) for r in found] == [(1, 4, 1.0, True)]
 
 
+def test_long_runs_of_names_do_not_end_the_stack(spark):
+    texts = {1: "Anna Berta " * 20_000 + "reads", 2: "-".join(["Anna"] * 20_000) + "-LuX reads", 3: "A" + "a" * 200_000}
+    table = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    got = {r[0]: r[1:] for r in table.select("doc_id", decontamination.template_words(F.col("text")), F.size(decontamination.value_words(F.col("text")))).collect()}
+    assert got == {1: ([decontamination.NAME, "reads"], 2), 2: ([decontamination.NAME + "lux", "reads"], 2), 3: ([decontamination.NAME], 1)}
+    item = "A baker sells thirteen loaves before noon and five loaves later, then gives the rest to a friend."
+    assert set(leaks(spark, [texts[1] + ". " + item, texts[1]], [item])) == {(0, 0)}
+
+
 def test_names_that_open_sentences_and_names_of_two_words(spark):
     item = "Tom has 12 apples and 5 pears. Anna gives Tom 7 more apples. How many apples has Tom now?"
     other = "Peter has 31 apples and 8 pears. Linda gives Peter 4 more apples. How many apples has Peter now?"
