@@ -84,6 +84,22 @@ def test_oracle(spark, name):
     assert rows_of(ours) == rows_of(theirs)
 
 
+@pytest.mark.parametrize("name", ["vote_boosting_quality", "vote_k_curve_quality", "vote_k_curve_traffic"])
+def test_votes_count_all_rows_of_tables_beyond_the_reduced_set(spark, monkeypatch, name):
+    monkeypatch.setattr(augmented, "bounded", lambda df, most: df.filter("row_id % 5 = 0"))
+    test_oracle(spark, name)
+
+
+@pytest.mark.parametrize("scope, column", [("paper", None), ("nested", "z")])
+def test_votes_from_counts_are_those_of_the_rows(spark, traffic, monkeypatch, scope, column):
+    settings = dict(q=3, max_iter=3, scope=scope, measure="rate_gap", options={"column": column})
+    counted = augmented.fit_cac(traffic, fixtures.SPECS["traffic"], [2, 3], "vote", 1, **settings)
+    monkeypatch.setitem(augmented.LEARNERS, "rows", augmented.LEARNERS["vote"])
+    plain = augmented.fit_cac(traffic, fixtures.SPECS["traffic"], [2, 3], "rows", 1, **settings)
+    assert counted.k == plain.k and counted.scores == pytest.approx(plain.scores) and counted.learner.said.tolist() == plain.learner.said.tolist()
+    assert counted.learner.chosen == plain.learner.chosen and counted.cost["training_rows"] == plain.cost["training_rows"]
+
+
 def test_distances_stay_in_the_jvm(packed):
     from fuzzyfeat.operators.fcm import distance_column
 
