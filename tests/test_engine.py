@@ -100,6 +100,17 @@ def test_votes_from_counts_are_those_of_the_rows(spark, traffic, monkeypatch, sc
     assert counted.learner.chosen == plain.learner.chosen and counted.cost["training_rows"] == plain.cost["training_rows"]
 
 
+def test_sql_functions_name_their_argument_once(spark):
+    from fuzzyfeat.functions import udx
+
+    udx.register(spark)
+    rows = spark.createDataFrame([([4.0, 1.0, 9.0],), ([0.0, 2.0, 0.0],), (None,)], "d array<double>")
+    got = rows.selectExpr("fuzzy_membership(transform(d, x -> x + 0), 3D) AS p").selectExpr("p", "cluster_id(p) AS z", "cluster_strength(p) AS b")
+    assert [(r["p"] and [round(x, 6) for x in r["p"]], r["z"], r["b"]) for r in got.collect()] == [([0.272727, 0.545455, 0.181818], 1, 0.545455), ([0.5, 0.0, 0.5], 0, 0.5), (None, None, None)]
+    plan = queries.Q["sqlfunc_membership"](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("regexp_replace(") <= 1 and plan.count("split(") <= 4  # measures of a text are worked out once a row
+
+
 def test_distances_stay_in_the_jvm(packed):
     from fuzzyfeat.operators.fcm import distance_column
 
