@@ -111,6 +111,13 @@ def test_sql_functions_name_their_argument_once(spark):
     assert plan.count("regexp_replace(") <= 1 and plan.count("split(") <= 4  # measures of a text are worked out once a row
 
 
+def test_nested_scope_deals_the_rows_once(spark, traffic, monkeypatch):
+    calls, dealt = [], augmented.stratified_folds
+    monkeypatch.setattr(augmented, "stratified_folds", lambda *a: calls.append(a) or dealt(*a))
+    model = augmented.fit_cac(traffic, fixtures.SPECS["traffic"], [2, 3], "dt", 1, q=3, max_iter=2, scope="nested")
+    assert len(calls) == 2 and set(model.scores) == {2, 3}  # for the winner's training rows, and for all folds
+
+
 def test_distances_stay_in_the_jvm(packed):
     from fuzzyfeat.operators.fcm import distance_column
 
