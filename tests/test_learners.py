@@ -95,3 +95,23 @@ def test_kernel_machines_solve_xor(approx):
     f, y = xor_rows()
     model = KernelSVM("poly", 2, approx="explicit", C=100) if approx == "explicit" else KernelSVM("rbf", gamma=10, C=100, approx=approx)
     assert (model.fit(f, y, 2).predict(f) == y).mean() > 0.93
+
+
+@pytest.mark.parametrize("rule", ["both", "either"])
+def test_expanded_rows_serve_all_centroids(rule):
+    from fuzzyfeat.operators.fcm import _sums, distances, expanded
+
+    g = np.random.default_rng(6)
+    x, s, w = g.random((60, 3)), g.integers(-2, 4, (60, 2)), g.random(60)
+    x[g.random(x.shape) < 0.2] = np.nan
+    terms, gn, gc = expanded(x), np.array([0.3, 0.5, 0.2]), np.array([0.4, 0.1])
+    for k in (1, 4):
+        v = Centroids(np.where(g.random((k, 3)) < 0.2, np.nan, g.random((k, 3))), g.integers(-1, 4, (k, 2)))
+        lost = lambda a, b: (a and b) if rule == "both" else (a or b)
+        one = lambda a, b, no, far: 1.0 if lost(no(a), no(b)) else 0.0 if no(a) or no(b) else far(a, b)
+        plain = [[sum(gn[q] * one(x[i, q], v.num[j, q], np.isnan, lambda a, b: (a - b) ** 2) for q in range(3)) + sum(gc[q] * one(s[i, q], v.cat[j, q], lambda a: a == -1, lambda a, b: float(a != b)) for q in range(2)) for j in range(k)] for i in range(60)]
+        assert np.allclose(distances(terms, s, v, gn, gc, rule), plain) and np.allclose(sqdist_block(x, s, v, gn, gc, rule), plain)
+        u = memberships_block(np.array(plain), 3.0) ** 3 * w[:, None]
+        total = _sums(terms, s, w, v, gn, gc, 3.0, rule, [4, 100])  # few levels and many
+        assert np.allclose(total[:, :3], u.T @ np.nan_to_num(x)) and np.allclose(total[:, 6:10], [[u[s[:, 0] == c, j].sum() for c in range(4)] for j in range(k)])
+        assert np.allclose(total[:, 10:14], [[u[s[:, 1] == c, j].sum() for c in range(4)] for j in range(k)]) and np.allclose(total[:, -1], (u * plain).sum(axis=0))
