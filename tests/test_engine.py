@@ -124,3 +124,25 @@ def test_distances_stay_in_the_jvm(packed):
     model = fit(packed, [2], max_iter=1)[2]
     plan = packed[1].select(distance_column(model).alias("d"))._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Cartesian" not in plan
+
+
+def same_tree(a, b):
+    assert (a.feature, sorted(a.children)) == (b.feature, sorted(b.children)) and np.allclose(a.counts, b.counts)
+    assert not a.children or a.threshold == pytest.approx(b.threshold, abs=1e-12)
+    for c in a.children:
+        same_tree(a.children[c], b.children[c])
+
+
+@pytest.mark.parametrize("name, T, scope", [("traffic", 1, "paper"), ("unknowns", 2, "paper"), ("traffic", 3, "nested")])
+def test_trees_beyond_the_reduced_set_are_those_of_all_rows(spark, monkeypatch, name, T, scope):
+    from fuzzyfeat.operators import whole
+
+    df, settings = fixtures.load(spark, SF, name).filter("label IS NOT NULL").cache(), dict(q=2, max_iter=2, scope=scope)
+    plain = augmented.fit_cac(df, fixtures.SPECS[name], [2, 3], "dt", T, **settings)
+    monkeypatch.setattr(whole, "CELLS", 500)  # a feature's values lie in several ranges
+    spread = augmented.fit_cac(df, fixtures.SPECS[name], [2, 3], "dt", T, most=250, local=250, **settings)
+    assert spread.cost["training_rows"] == plain.cost["training_rows"] == df.count() > 250
+    if scope == "paper":
+        assert spread.scores == pytest.approx(plain.scores) and spread.k == plain.k and spread.subset == plain.subset
+        same_tree(spread.learner.root, plain.learner.root)
+        assert plain.learner.root.leaves() > 4
