@@ -146,3 +146,24 @@ def test_trees_beyond_the_reduced_set_are_those_of_all_rows(spark, monkeypatch,
         assert spread.scores == pytest.approx(plain.scores) and spread.k == plain.k and spread.subset == plain.subset
         same_tree(spread.learner.root, plain.learner.root)
         assert plain.learner.root.leaves() > 4
+
+
+@pytest.mark.parametrize("learner, options", [("psvm", {}), ("psvm", {"multiclass": "ovr"}), ("rsvm", {"features": 40}), ("rsvm", {"approx": "rff", "features": 40})])
+def test_kernel_machines_beyond_the_reduced_set_are_those_of_all_rows(spark, learner, options):
+    from fuzzyfeat.operators.learners.svm import newton
+
+    df, spec = fixtures.load(spark, SF, "unknowns").filter("label IS NOT NULL").cache(), fixtures.SPECS["unknowns"]
+    spread = augmented.fit_cac(df, spec, [2, 3], learner, 1, q=2, max_iter=2, options=options, most=150, local=150)
+    assert spread.cost["training_rows"] == df.count() > 150 and spread.learner.approximate == (learner == "rsvm")
+    if spread.learner.approx != "nystrom":  # its landmarks are chosen in another way
+        plain = augmented.fit_cac(df, spec, [2, 3], learner, 1, q=2, max_iter=2, options=options)
+        assert spread.scores == pytest.approx(plain.scores) and spread.k == plain.k
+        assert [m[:2] for m in spread.learner.models] == [m[:2] for m in plain.learner.models]
+        assert all(np.allclose(a[2], b[2], atol=1e-5) for a, b in zip(spread.learner.models, plain.learner.models, strict=True))
+        return
+    data = augmented.reduce_rows(df, spread.scaler, "label", 2, 10**6, spread.classes)
+    z = spread.learner.mapped(augmented.design(data.raw, data.x, data.s, spread.fcm, 1))
+    for a, b, w in spread.learner.models:
+        own = (data.y == a) | (data.y == b)
+        assert np.allclose(w, newton(z[own], np.where(data.y[own] == a, 1.0, -1.0), 1.0), atol=1e-5)
+    assert 5 < len(spread.learner.landmarks) <= 40 and min(spread.scores.values()) > 0.5
