@@ -167,3 +167,13 @@ def test_kernel_machines_beyond_the_reduced_set_are_those_of_all_rows(spark, lea
         own = (data.y == a) | (data.y == b)
         assert np.allclose(w, newton(z[own], np.where(data.y[own] == a, 1.0, -1.0), 1.0), atol=1e-5)
     assert 5 < len(spread.learner.landmarks) <= 40 and min(spread.scores.values()) > 0.5
+
+
+def test_subsets_are_selected_once_for_many_learners(spark, traffic, monkeypatch):
+    calls, counted = [], augmented.associations
+    monkeypatch.setattr(augmented, "associations", lambda *a: calls.append(a) or counted(*a))
+    chosen, fits = {}, []
+    for learner in ("dt", "psvm"):
+        fits.append(augmented.fit_cac(traffic, fixtures.SPECS["traffic"], [2, 3], learner, 3, q=2, max_iter=2, chosen=chosen))
+    alone = augmented.fit_cac(traffic, fixtures.SPECS["traffic"], [2, 3], "psvm", 3, q=2, max_iter=2)
+    assert len(calls) == 2 and set(chosen) == {2, 3} and fits[1].subset == chosen[fits[1].k] == alone.subset and fits[1].scores == pytest.approx(alone.scores)
